@@ -29,8 +29,7 @@ def ascii_lower(c: Column) -> Column:
 
 def words_of(c: Column) -> Column:
     """array of the words of a text column; no word gives an empty array."""
-    trimmed = F.regexp_replace(c, r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$", "")
-    return F.when(trimmed == "", F.array().cast("array<string>")).otherwise(F.split(trimmed, SPACE_CLASS))
+    return F.array_remove(F.split(c, SPACE_CLASS), "")
 
 
 def let(value: Column, body) -> Column:

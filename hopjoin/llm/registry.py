@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from . import op3_mix
+from . import op3_mix, op5_quality
 
 QUERIES = {
     "op3_mix_sources": op3_mix.op3_mix_sources,
+    "op5_quality_rules": op5_quality.op5_quality_rules,
 }
 
 ORACLES = {
     "op3_mix_sources": op3_mix.oracle(),
+    "op5_quality_rules": op5_quality.oracle(),
 }
