@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
-from . import op3_mix, op5_quality, op7_simhash, op10_secrets
+from . import op3_mix, op5_quality, op7_simhash, op9_decontaminate, op10_secrets
 
 QUERIES = {
     "op3_mix_sources": op3_mix.op3_mix_sources,
     "op5_quality_rules": op5_quality.op5_quality_rules,
     "op7_simhash_dedup": op7_simhash.op7_simhash_dedup,
+    "op9_decontaminate": op9_decontaminate.op9_decontaminate,
     "op10_secret_scan": op10_secrets.op10_secret_scan,
 }
 
 ORACLES = {
     "op3_mix_sources": op3_mix.oracle(),
     "op5_quality_rules": op5_quality.oracle(),
+    "op9_decontaminate": op9_decontaminate.oracle(),
 }
