@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import op1_langid, op3_mix, op4_html, op5_quality, op7_simhash, op8_classifier, op9_decontaminate, op10_secrets
+from . import op1_langid, op2_suffix_dedup, op3_mix, op4_html, op5_quality, op7_simhash, op8_classifier, op9_decontaminate, op10_secrets
 
 QUERIES = {
     "op1_language_id": op1_langid.op1_language_id,
+    "op2_suffix_dedup": op2_suffix_dedup.op2_suffix_dedup,
     "op3_mix_sources": op3_mix.op3_mix_sources,
     "op4_html_extract": op4_html.op4_html_extract,
     "op5_quality_rules": op5_quality.op5_quality_rules,
