@@ -34,7 +34,8 @@ def near_dups(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     groups = materialize(shingles.near_duplicate_groups(docs))
     keep = groups.where("d = root").groupBy("d").agg(F.count(F.lit(1)).alias("n"))
     keep = materialize(keep)
-    kept = docs.join(keep.select(F.col("d").alias("doc_id")), "doc_id", "left_semi")
+    # the kept ids grow with the documents: they are never broadcast
+    kept = docs.join(keep.select(F.col("d").alias("doc_id")).hint("merge"), "doc_id", "left_semi")
     if keep.where("n > 1").limit(1).count():  # rows that share an id: one of each stays
         kept = kept.dropDuplicates(["doc_id"])
     return kept.select(*docs.columns).union(docs.where(F.col("doc_id").isNull()))
