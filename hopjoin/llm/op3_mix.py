@@ -113,9 +113,11 @@ def mix_plan(docs: DataFrame, text: str = "text", source: str = "source", doc_id
     cut = cut.select("skey", F.coalesce("cu", lower).alias("cut"), (F.col("rest") - F.coalesce("cw", "base")).alias("left"))
     plan = targets.join(cut, "skey", "left").select("skey", "source_size", "target", "full", F.coalesce("cut", F.lit(-1).cast("long")).alias("cut"), F.coalesce("left", F.lit(0.0)).alias("left"), F.array().cast("array<bigint>").alias("picks"))
     plan = materialize(plan)
-    for _ in range(FIT_ROUNDS):
-        fits = units.join(small(plan), "skey").where((F.col("u") > F.col("cut")) & (F.col("size") > 0) & (F.col("size") <= F.col("left")) & ~F.array_contains("picks", F.col("u")))
-        best = fits.groupBy("skey").agg(F.max(F.struct("size", "u")).alias("b"))
+    for i in range(FIT_ROUNDS + 1):  # the last round may overshoot, if that comes nearer
+        last = i == FIT_ROUNDS
+        room = (F.col("size") > F.col("left")) & (F.col("size") < 2 * F.col("left")) if last else (F.col("size") > 0) & (F.col("size") <= F.col("left"))
+        fits = units.join(small(plan), "skey").where((F.col("u") > F.col("cut")) & room & ~F.array_contains("picks", F.col("u")))
+        best = fits.groupBy("skey").agg((F.min if last else F.max)(F.struct("size", "u")).alias("b"))
         plan = materialize(plan.join(best, "skey", "left").select("skey", "source_size", "target", "full", "cut", (F.col("left") - F.coalesce(F.col("b.size"), F.lit(0))).alias("left"), F.when(F.col("b").isNull(), F.col("picks")).otherwise(F.concat("picks", F.array(F.col("b.u")))).alias("picks")))
 
     # draws: whole copies of each block, then the blocks up to the cut, then one draw for the single documents
@@ -164,9 +166,11 @@ def oracle(docs: str = "documents", weights=WEIGHTS, share: float = 1.5, cap: fl
     """The same rows in DuckDB: no blocks and no tree, the cut is found on the whole permuted order."""
     picks = []
     prev = "cutp"
-    for i in range(FIT_ROUNDS):
-        picks.append(f""", best{i} AS (SELECT p.skey, max(struct_pack(size := u.size, u := u.u)) AS b FROM units u JOIN {prev} p USING (skey)
-          WHERE u.u > p.cut AND u.size > 0 AND u.size <= p.left_words AND NOT list_contains(p.picks, u.u) GROUP BY p.skey),
+    for i in range(FIT_ROUNDS + 1):
+        last = i == FIT_ROUNDS
+        room = "u.size > p.left_words AND u.size < 2 * p.left_words" if last else "u.size > 0 AND u.size <= p.left_words"
+        picks.append(f""", best{i} AS (SELECT p.skey, {'min' if last else 'max'}(struct_pack(size := u.size, u := u.u)) AS b FROM units u JOIN {prev} p USING (skey)
+          WHERE u.u > p.cut AND {room} AND NOT list_contains(p.picks, u.u) GROUP BY p.skey),
         p{i} AS (SELECT p.* REPLACE (p.left_words - coalesce(b.b.size, 0) AS left_words, CASE WHEN b.b IS NULL THEN p.picks ELSE list_append(p.picks, b.b.u) END AS picks) FROM {prev} p LEFT JOIN best{i} b USING (skey))""")
         prev = f"p{i}"
     ws = ", ".join(f"{float(x)}" for x in weights)
