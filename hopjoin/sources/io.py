@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import json
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader
 
@@ -62,7 +64,7 @@ class _MetadataReader(DataSourceReader):
 
 
 class TableMetadataSource(DataSource):
-    """spark.read.format("table_metadata").option("ddl:<db>.<table>", "<ddl>"): one row per column, no data read."""
+    """spark.read.format("table_metadata").option("schema:<db>.<table>", df.schema.json()): one row per column, no data read."""
 
     @classmethod
     def name(cls):
@@ -75,8 +77,8 @@ class TableMetadataSource(DataSource):
         from pyspark.sql.types import StructType
 
         rows = []
-        for key, ddl in sorted(self.options.items()):
-            if key.startswith("ddl:"):
-                db, name = key[4:].split(".", 1)
-                rows += [(db, name, f.name, f.dataType.simpleString(), i) for i, f in enumerate(StructType.fromDDL(ddl).fields)]
+        for key, text in sorted(self.options.items()):
+            if key.startswith("schema:"):
+                db, name = key[7:].split(".", 1)
+                rows += [(db, name, f.name, f.dataType.simpleString(), i) for i, f in enumerate(StructType.fromJson(json.loads(text)).fields)]
         return _MetadataReader(rows)
