@@ -41,16 +41,28 @@ def length_pairs(a: DataFrame, b: DataFrame, t: float, width: int = 4) -> DataFr
     return x.join(b.withColumn("__cls", F.floor(F.length("sy") / width)), "__cls").drop("__cls")
 
 
-def lsh_pairs(a: DataFrame, b: DataFrame, bands: int = 12, rows: int = 2, q: int = 3, max_block: int = 50_000) -> DataFrame:
+def band_keys(c: Column, bands: int = 40, rows: int = 2, q: int = 2) -> Column:
+    """array<bigint>: one key per band of minimum hashes of the padded q-grams.
+
+    With these defaults a pair whose bigram sets have Jaccard 0.35 shares a band with odds 0.995, at 0.25 with 0.92.
+    """
+    def of(grams: Column) -> Column:
+        def least(seed: int) -> Column:
+            return F.array_min(F.transform(grams, lambda g: F.xxhash64(F.lit(seed), g)))
+
+        return F.array(*[F.xxhash64(F.lit(i), *[least(i * rows + r) for r in range(rows)]) for i in range(bands)])
+
+    return F.element_at(F.transform(F.array(qgrams(F.concat(F.lit("^"), c, F.lit("$")), q)), of), 1)
+
+
+def lsh_pairs(a: DataFrame, b: DataFrame, bands: int = 40, rows: int = 2, q: int = 2, max_block: int = 50_000) -> DataFrame:
     """Pairs that share a band of minimum q-gram hashes (lossy; recall is measured, not assumed).
 
     Blocks larger than max_block on one side are split by a further hash of the left value and the right side is repeated
     in the splits, so no pair of theirs is lost and no block meets in one task.
     """
     def banded(df: DataFrame, c: str) -> DataFrame:
-        grams = qgrams(F.concat(F.lit("^"), F.col(c), F.lit("$")), q)
-        key = lambda i: F.xxhash64(F.lit(i), *[F.array_min(F.transform(grams, lambda g, s=i * rows + r: F.xxhash64(F.lit(s), g))) for r in range(rows)])
-        return df.withColumn("__k", F.explode(F.array(*[key(i) for i in range(bands)])))
+        return df.withColumn("__k", F.explode(band_keys(F.col(c), bands, rows, q)))
 
     x, y = banded(a, "sx"), banded(b, "sy")
     big = x.groupBy("__k").agg(F.count(F.lit(1)).alias("n")).select("__k", F.ceil(F.col("n") / max_block).cast("int").alias("__splits"))

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from hopjoin.functions.strings import lcs_udf, ratio_from_lcs, token_sort
+from hopjoin.operators.block import band_keys
 from hopjoin.plans.config import DiscoveryConfig
 
 
@@ -30,9 +31,8 @@ def edge_scores(long: DataFrame, edges: DataFrame, cfg: DiscoveryConfig) -> Data
     small = sizes.where(F.coalesce(F.col("l") * F.col("r"), F.lit(0)) <= cfg.max_pairs).select("edge_id")
     pairs = rest.join(small, "edge_id", "left_semi").join(other, ["edge_id", "side"]).select("edge_id", "side", "v", "cnt", "s", "t")
     big = rest.join(small, "edge_id", "left_anti")
-    key = lambda c: [F.xxhash64(F.lit(i), *[F.array_min(F.transform(F.transform(F.sequence(F.lit(1), F.greatest(F.length(c) - 2, F.lit(1))), lambda p: F.substring(c, p, F.lit(3))), lambda g, s=2 * i + r: F.xxhash64(F.lit(s), g))) for r in range(2)]) for i in range(12)]
-    band_x = big.withColumn("k", F.explode(F.array(*key(F.col("s")))))
-    band_y = other.withColumn("k", F.explode(F.array(*key(F.col("t")))))
+    band_x = big.withColumn("k", F.explode(band_keys(F.col("s"))))
+    band_y = other.join(small, "edge_id", "left_anti").withColumn("k", F.explode(band_keys(F.col("t"))))
     pairs = pairs.unionByName(band_x.join(band_y, ["edge_id", "side", "k"]).select("edge_id", "side", "v", "cnt", "s", "t").distinct())
     sim = ratio_from_lcs(F.col("lcs"), F.col("s"), F.col("t"))
     fuzzy = pairs.withColumn("lcs", lcs_udf(F.col("s"), F.col("t"))).groupBy("edge_id", "side", "v", "cnt").agg(F.max(sim).alias("best"))
