@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from hopjoin import oracle_parts as o
 from hopjoin.functions import names, noise, strings
+from hopjoin.functions import sql as sqlf
 from hopjoin.operators import baselines, block, catalog, execute, measures, overlap, relational, values
 from hopjoin.operators.storage import materialize
 from hopjoin.plans import discover as d
@@ -834,3 +835,33 @@ def profile_windows(spark, sf):
     from hopjoin.streaming import stream
 
     return stream.profile(t(spark, sf, "events")).select("start", F.expr("theta_sketch_estimate(sketch)").cast("long").alias("users"))
+
+
+# --- SQL surface: the same methods from SQL strings -------------------------------------------------------------------------------
+
+
+@query("sql_token_sort_ratio", LCS_SQL)
+def sql_token_sort_ratio(spark, sf):
+    sqlf.register_functions(spark)
+    x, y = parts(spark, sf)
+    pairs = "SELECT x.v AS part_name, y.v AS item_name, round(token_sort_ratio(x.v, y.v), 6) AS sim FROM {x} x CROSS JOIN {y} y"
+    return spark.sql(pairs, x=x, y=y)
+
+
+@query("sql_path_hops", walk_sql(f"SELECT node AS target, unnest(range(1, hops + 1)) AS hop, unnest(nodes[1:-2]) AS left_node, unnest(nodes[2:]) AS right_node FROM best WHERE rn = 1 AND hops > 0"))
+def sql_path_hops(spark, sf):
+    sqlf.register_functions(spark)
+    found = path_recursive(spark, sf)
+    return spark.sql("SELECT target, CAST(hop AS BIGINT) AS hop, left_node, right_node FROM {found}, LATERAL path_hops(nodes)", found=found)
+
+
+@query("sql_grams", "SELECT gram, count(*) AS n FROM (SELECT substr(p_name, i, 3) AS gram FROM (SELECT p_name, unnest(range(1, greatest(length(p_name) - 2, 1) + 1)) AS i FROM part)) GROUP BY gram")
+def sql_grams(spark, sf):
+    sqlf.register_functions(spark)
+    return spark.sql("SELECT gram, count(*) AS n FROM {part} p, LATERAL grams_of(p.p_name, 3) GROUP BY gram", part=t(spark, sf, "part"))
+
+
+@query("sql_edge_weight", f"SELECT edge_id, round(greatest(0.0, -log2(overlap + 1e-9)), 6) AS weight, round(pow(2, -greatest(0.0, -log2(overlap + 1e-9))), 6) AS kept FROM ({FK_SQL})")
+def sql_edge_weight(spark, sf):
+    sqlf.register_functions(spark)
+    return spark.sql("SELECT edge_id, round(edge_weight(overlap), 6) AS weight, round(retained(edge_weight(overlap)), 6) AS kept FROM {e}", e=fk_graph(spark, sf).edges)
