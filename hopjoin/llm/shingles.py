@@ -2,13 +2,18 @@
 
 At similarity 0.8 two SimHash fingerprints of 64 bits differ in 5 to 14 bits, for which covering masks would need thousands
 of tables; covering with radius 2 therefore only proposes the closest pairs.  Further pairs come from 16 bands of 4 minimum
-hashes (a pair at 0.8 shares a band with odds above 0.999).  In a bucket every document is paired with the bucket's least
-document and with its neighbour in fingerprint order - never all pairs - and each proposed pair is verified on sketches:
-the SKETCH smallest 32-bit shingle hashes, which are the whole set for texts of at most SKETCH distinct shingles.
+hashes (a pair at 0.8 shares a band with odds above 0.999).  A first round pairs every document with its bucket's least
+document and with its neighbour in fingerprint order, which settles most copies.  The second round proposes every pair of a
+bucket whose documents are in different groups by then, so that no pair of a bucket is left out, however large the bucket:
+pairs inside a group need no look, and of the others only those leave the task that sizes and all 64 minima leave possible
+(a pair at 0.8 is refused here with odds below a millionth).  Each proposed pair is verified on sketches: the SKETCH
+smallest 32-bit shingle hashes, which are the whole set for texts of at most SKETCH distinct shingles.
 """
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -26,7 +31,7 @@ def _seeds(n: int) -> np.ndarray:
 
 
 def profiles(docs: DataFrame, doc_id: str, text: str, k: int) -> DataFrame:
-    """doc_id, wh (hash of the word sequence), fp, bands, sketch, n (distinct shingles)."""
+    """doc_id, wh (hash of the word sequence), fp, bands, sketch, n (distinct shingles), minima (a byte of each minimum)."""
     low = ascii_lower(whole_text(text))
     words = F.array_join(words_of(low), " ")
     hashed = docs.select(F.col(doc_id).alias("d"), F.sha2(words, 256).alias("wh"), shingle_hashes(whole_text(text), k).alias("h"))
@@ -40,7 +45,7 @@ def profiles(docs: DataFrame, doc_id: str, text: str, k: int) -> DataFrame:
             offsets = np.asarray(lists.offsets, dtype=np.int64)
             values = (np.asarray(lists.values)[offsets[0] : offsets[-1]] if len(lists.values) else np.zeros(0, np.int64)).view(_U)
             fp = majority(values, offsets)
-            bands, sketches, sizes = [], [], []
+            bands, sketches, sizes, minima = [], [], [], []
             for i in range(b.num_rows):
                 s = np.unique(values[offsets[i] - offsets[0] : offsets[i + 1] - offsets[0]])
                 low = np.full(BANDS * ROWS, ~_U(0))
@@ -51,13 +56,77 @@ def profiles(docs: DataFrame, doc_id: str, text: str, k: int) -> DataFrame:
                 for r in range(ROWS):
                     key = (key ^ low[r::ROWS]) * _U(0x9E3779B97F4A7C15)
                     key ^= key >> _U(32)
+                minima.append((low * _U(0x9E3779B97F4A7C15) >> _U(56)).astype(np.uint8).tobytes())
                 bands.append(key.view(np.int64).tolist() if len(s) else [])
                 short = np.unique((s * _U(0xD6E8FEB86659FD93) >> _U(32)).astype(np.uint32))
                 sketches.append(short[:SKETCH].tobytes())
                 sizes.append(len(short))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(fp.view(np.int64)), pa.array(bands, pa.list_(pa.int64())), pa.array(sketches, pa.binary()), pa.array(sizes, pa.int32())], names=["d", "wh", "fp", "bands", "sketch", "n"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(fp.view(np.int64)), pa.array(bands, pa.list_(pa.int64())), pa.array(sketches, pa.binary()), pa.array(sizes, pa.int32()), pa.array(minima, pa.binary())], names=["d", "wh", "fp", "bands", "sketch", "n", "minima"])
+
+    return hashed.mapInArrow(run, f"d {dict(docs.dtypes)[doc_id]}, wh string, fp bigint, bands array<bigint>, sketch binary, n int, minima binary")
+
+
+def least_equal(similarity: float, odds: float = 1e-6) -> int:
+    """The most equal minima that a pair at the similarity has with odds of at least 1 - odds."""
+    n, k, below = BANDS * ROWS, 0, 0.0
+    while k < n and (below := below + math.comb(n, k) * similarity**k * (1 - similarity) ** (n - k)) < odds:
+        k += 1
+    return k
+
+
+def cross_pairs(similarity: float, limit: int = 1 << 16):
+    """Rows (band, key, rep, label, n, minima) sorted by band and key -> the possible pairs of a bucket with two labels."""
+    need = least_equal(similarity)
+
+    def work(t):
+        t = t.combine_chunks()
+        reps = t.column("rep").combine_chunks()
+        reps = pa.concat_arrays(reps.chunks) if isinstance(reps, pa.ChunkedArray) else reps
+        keys = [t.column(c).to_numpy() for c in ("band", "key")]
+        label = np.unique(t.column("label").to_numpy(), return_inverse=True)[1]
+        n = t.column("n").to_numpy().astype(float)
+        minima = np.frombuffer(b"".join(t.column("minima").to_pylist()), np.uint8).reshape(-1, BANDS * ROWS)
+        new = np.flatnonzero(np.r_[True, (keys[0][1:] != keys[0][:-1]) | (keys[1][1:] != keys[1][:-1])])
+        a, b, held = [], [], 0
+        out = lambda: pa.RecordBatch.from_arrays([reps.take(pa.array(np.concatenate(x))) for x in (a, b)], names=["a", "b"])
+        for s, e in zip(new, np.r_[new[1:], len(n)]):
+            _, of, size = np.unique(label[s:e], return_inverse=True, return_counts=True)
+            order = s + np.lexsort((of, size[of]))  # the largest group last: it meets the others, never itself
+            ends = np.cumsum(np.sort(size))
+            for start, end in zip(np.r_[0, ends[:-2]], ends[:-1]):
+                others = order[end:]
+                for i in order[start:end]:
+                    near = others[np.minimum(n[others], n[i]) >= similarity * np.maximum(n[others], n[i]) - 2]
+                    near = near[(minima[near] == minima[i]).sum(axis=1) >= need]
+                    if len(near):
+                        a.append(np.full(len(near), i))
+                        b.append(near)
+                        held += len(near)
+                    if held > limit:
+                        yield out()
+                        a, b, held = [], [], 0
+        if held:
+            yield out()
+
+    def run(batches):
+        held, last = [], None  # rows of the last, unfinished bucket
+        for x in batches:
+            if not x.num_rows:
+                continue
+            band, key = x.column(0).to_numpy(), x.column(1).to_numpy()
+            if last is not None and (band[0], key[0]) != last:
+                yield from work(pa.Table.from_batches(held))
+                held = []
+            last = (band[-1], key[-1])
+            tail = int(np.flatnonzero((band != last[0]) | (key != last[1]))[-1:].sum() + 1) if (band[0], key[0]) != last else 0
+            if tail:
+                yield from work(pa.Table.from_batches([*held, x.slice(0, tail)]))
+                held = []
+            held.append(x.slice(tail))
+        if held:
+            yield from work(pa.Table.from_batches(held))
 
-    return hashed.mapInArrow(run, f"d {dict(docs.dtypes)[doc_id]}, wh string, fp bigint, bands array<bigint>, sketch binary, n int")
+    return run
 
 
 def verify(similarity: float):
@@ -82,7 +151,7 @@ def verify(similarity: float):
 def near_duplicate_groups(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", k: int = 5, similarity: float = 0.8) -> DataFrame:
     """d (the doc_id) and root (least doc_id of its group) of every row with an id; equal word sequences are one class."""
     all_rows = materialize(profiles(docs.where(F.col(doc_id).isNotNull()), doc_id, text, k))
-    classes = all_rows.groupBy("wh").agg(F.min("d").alias("rep"), F.first("fp").alias("fp"), F.first("bands").alias("bands"), F.first("sketch").alias("sketch"), F.first("n").alias("n"))
+    classes = all_rows.groupBy("wh").agg(F.min("d").alias("rep"), F.first("fp").alias("fp"), F.first("bands").alias("bands"), F.first("sketch").alias("sketch"), F.first("n").alias("n"), F.first("minima").alias("minima"))
     classes = materialize(classes)
     texts = classes.where("n > 0")
     # SimHash: equal fingerprints, then covering links between fingerprints
@@ -98,9 +167,21 @@ def near_duplicate_groups(docs: DataFrame, text: str = "text", doc_id: str = "do
     chained = shared.withColumn("prev", F.lag("rep").over(w))
     banded = chained.select(F.explode(F.array(F.struct(F.col("rep").alias("a"), F.col("least").alias("b")), F.struct(F.col("rep").alias("a"), F.col("prev").alias("b")))).alias("p")).select("p.a", "p.b")
     pairs = same.union(cover).union(banded).where("a is not null and b is not null and a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+    pair_type = f"a {dict(docs.dtypes)[doc_id]}, b {dict(docs.dtypes)[doc_id]}"
     sets = texts.select("rep", "sketch")
-    both = pairs.join(sets.select(F.col("rep").alias("a"), F.col("sketch").alias("x")), "a").join(sets.select(F.col("rep").alias("b"), F.col("sketch").alias("y")), "b").select("a", "b", "x", "y")
-    good = materialize(both.mapInArrow(verify(similarity), f"a {dict(docs.dtypes)[doc_id]}, b {dict(docs.dtypes)[doc_id]}"))
-    nodes = components(good)
+
+    def verified(pairs):
+        both = pairs.join(sets.select(F.col("rep").alias("a"), F.col("sketch").alias("x")), "a").join(sets.select(F.col("rep").alias("b"), F.col("sketch").alias("y")), "b").select("a", "b", "x", "y")
+        return materialize(both.mapInArrow(verify(similarity), pair_type))
+
+    nodes = materialize(components(verified(pairs)))
+    # every pair of a bucket that is in two groups so far
+    label = texts.select("rep", "bands").join(nodes.withColumnRenamed("node", "rep"), "rep", "left").select("rep", F.coalesce("root", "rep").alias("label"), F.posexplode("bands").alias("band", "key"))
+    label = materialize(label)
+    mixed = label.groupBy("band", "key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("band", "key")
+    members = materialize(label.join(mixed, ["band", "key"])).join(texts.select("rep", "n", "minima"), "rep").select("band", "key", "rep", "label", "n", "minima")
+    crossed = members.repartition("band", "key").sortWithinPartitions("band", "key").mapInArrow(cross_pairs(similarity), pair_type)
+    crossed = crossed.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+    nodes = components(verified(materialize(crossed)).union(nodes.select(F.col("node").alias("a"), F.col("root").alias("b"))))
     named = classes.select("wh", "rep").join(nodes.withColumnRenamed("node", "rep"), "rep", "left").select("wh", F.coalesce("root", "rep").alias("root"))
     return all_rows.select("d", "wh").join(named, "wh").select("d", "root")

@@ -29,6 +29,34 @@ def test_near_duplicates_at_the_bar(spark):
     assert len(sets[0] & sets[1]) / len(sets[0] | sets[1]) >= 0.8
 
 
+def groups_by_force(rows, bar=0.8):
+    sets = {d: {tuple(t.split()[i : i + 5]) for i in range(len(t.split()) - 4)} for d, t in rows}
+    root = {d: d for d in sets}
+    near = lambda x, y: len(x & y) * (1 + bar) >= bar * (len(x) + len(y)) - 1e-9
+    for a in sets:
+        for b in sets:
+            if b < a and root[a] != root[b] and near(sets[a], sets[b]):
+                low, high = sorted((root[a], root[b]))
+                root = {d: low if r == high else r for d, r in root.items()}
+    return root
+
+
+def test_near_duplicates_in_a_hot_bucket(spark):
+    rng = random.Random(7)
+    word = lambda: "".join(rng.choice("abcdefgh") for _ in range(6))
+    passage = [word() for _ in range(280)]
+    rows = []
+    for g in range(100):
+        own = [word() for _ in range(70)]
+        rows.append((g, " ".join(passage + own)))
+        if g % 2:
+            rows.append((1000 + rng.randrange(100) * 1000 + g, " ".join(passage + own[:40] + [word() for _ in range(30)])))
+    rng.shuffle(rows)
+    got = {r.d: r.root for r in shingles.near_duplicate_groups(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    want = groups_by_force(rows)
+    assert len(set(want.values())) == 100 and got == want
+
+
 def test_stages(spark, sf, odd):
     docs = spark.read.parquet(f"{sf}/documents.parquet").limit(120)
     names = [n for n, _ in corpus_pipeline.STAGES]
