@@ -6,8 +6,9 @@ hashes (a pair at 0.8 shares a band with odds above 0.999).  A first round pairs
 document and with its neighbour in fingerprint order, which settles most copies.  The second round proposes every pair of a
 bucket whose documents are in different groups by then, so that no pair of a bucket is left out, however large the bucket:
 pairs inside a group need no look, and of the others only those leave the task that sizes and all 64 minima leave possible
-(a pair at 0.8 is refused here with odds below a millionth).  Each proposed pair is verified on sketches: the SKETCH
-smallest 32-bit shingle hashes, which are the whole set for texts of at most SKETCH distinct shingles.
+(a pair at 0.8 is refused here with odds below a millionth).  Sketches, the SKETCH smallest 32-bit shingle hashes,
+decide pairs of texts with fewer shingles than that; of the others they only refuse those MARGIN (six standard errors) below
+the bar, and the full sets of distinct shingles decide the rest.
 """
 
 from __future__ import annotations
@@ -23,6 +24,7 @@ from .common import ascii_lower, components, materialize, whole_text, words_of
 from .op7_simhash import class_links, majority, shingle_hashes
 
 BANDS, ROWS, SKETCH = 16, 4, 384
+MARGIN = 0.12
 _U = np.uint64
 
 
@@ -32,9 +34,7 @@ def _seeds(n: int) -> np.ndarray:
 
 def profiles(docs: DataFrame, doc_id: str, text: str, k: int) -> DataFrame:
     """doc_id, wh (hash of the word sequence), fp, bands, sketch, n (distinct shingles), minima (a byte of each minimum)."""
-    low = ascii_lower(whole_text(text))
-    words = F.array_join(words_of(low), " ")
-    hashed = docs.select(F.col(doc_id).alias("d"), F.sha2(words, 256).alias("wh"), shingle_hashes(whole_text(text), k).alias("h"))
+    hashed = docs.select(F.col(doc_id).alias("d"), word_key(text).alias("wh"), shingle_hashes(whole_text(text), k).alias("h"))
 
     def run(batches):
         a, c = _seeds(BANDS * ROWS)
@@ -129,25 +129,46 @@ def cross_pairs(similarity: float, limit: int = 1 << 16):
     return run
 
 
-def verify(similarity: float):
+def screen(similarity: float):
+    """Rows (a, b, sketch, sketch) -> (a, b, sure) without the pairs below the bar; not sure: the full sets must decide."""
+
     def run(batches):
         for b in batches:
-            keep = []
+            keep, sure = [], []
             for x, y in zip(b.column(2).to_pylist(), b.column(3).to_pylist()):
                 p, q = np.frombuffer(x, np.uint32), np.frombuffer(y, np.uint32)
-                if len(p) == SKETCH or len(q) == SKETCH:  # least SKETCH hashes of the union
+                part = len(p) == SKETCH or len(q) == SKETCH
+                if part:  # least SKETCH hashes of the union
                     union = np.union1d(p, q)[:SKETCH]
                     common = np.intersect1d(np.intersect1d(p, q, True), union, True)
                     j = len(common) / max(1, len(union))
                 else:
                     common = len(np.intersect1d(p, q, True))
                     j = common / max(1, len(p) + len(q) - common)
-                keep.append(j >= similarity)
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
+                keep.append(j >= similarity - MARGIN * part)
+                sure.append(not part)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(sure, pa.bool_())], names=["a", "b", "sure"]).filter(pa.array(keep, pa.bool_()))
 
     return run
 
 
+def word_key(text: str):
+    """Hash of the word sequence."""
+    return F.sha2(F.array_join(words_of(ascii_lower(whole_text(text))), " "), 256)
+
+
+def decided(pairs: DataFrame, docs: DataFrame, classes: DataFrame, text: str, doc_id: str, k: int, similarity: float) -> DataFrame:
+    """Pairs (a, b) whose full sets of distinct shingles are at the bar; only the texts of these pairs are read again."""
+    asked = pairs.select(F.explode(F.array("a", "b")).alias("rep")).distinct()
+    asked = materialize(classes.join(asked, "rep", "left_semi").select("rep", "wh"))
+    again = docs.select(F.col(doc_id).alias("rep"), F.col(text).alias("t")).join(asked.select("rep").distinct().hint("merge"), "rep", "left_semi")
+    again = again.withColumn("wh", word_key("t")).dropDuplicates(["rep", "wh"]).join(asked.hint("merge"), ["rep", "wh"], "left_semi")
+    sets = materialize(again.select("rep", F.array_distinct(shingle_hashes(whole_text("t"), k)).alias("s")))
+    x, y = sets.select(F.col("rep").alias("a"), F.col("s").alias("x")), sets.select(F.col("rep").alias("b"), F.col("s").alias("y"))
+    both = pairs.join(x, "a").join(y, "b").withColumn("common", F.size(F.array_intersect("x", "y")))
+    return both.where(F.col("common") / (F.size("x") + F.size("y") - F.col("common")) >= similarity).select("a", "b")
+
+
 def near_duplicate_groups(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", k: int = 5, similarity: float = 0.8) -> DataFrame:
     """d (the doc_id) and root (least doc_id of its group) of every row with an id; equal word sequences are one class."""
     all_rows = materialize(profiles(docs.where(F.col(doc_id).isNotNull()), doc_id, text, k))
@@ -172,7 +193,9 @@ def near_duplicate_groups(docs: DataFrame, text: str = "text", doc_id: str = "do
 
     def verified(pairs):
         both = pairs.join(sets.select(F.col("rep").alias("a"), F.col("sketch").alias("x")), "a").join(sets.select(F.col("rep").alias("b"), F.col("sketch").alias("y")), "b").select("a", "b", "x", "y")
-        return materialize(both.mapInArrow(verify(similarity), pair_type))
+        seen = materialize(both.mapInArrow(screen(similarity), f"{pair_type}, sure boolean"))
+        good, unsure = seen.where("sure").select("a", "b"), seen.where("not sure").select("a", "b")
+        return good.union(decided(unsure, docs, classes, text, doc_id, k, similarity)) if unsure.limit(1).count() else good
 
     nodes = materialize(components(verified(pairs)))
     # every pair of a bucket that is in two groups so far

@@ -57,6 +57,19 @@ def test_near_duplicates_in_a_hot_bucket(spark):
     assert len(set(want.values())) == 100 and got == want
 
 
+def test_long_texts_beside_the_bar(spark):
+    rng = random.Random(9)
+    word = lambda: "".join(rng.choice("abcdefgh") for _ in range(6))
+    rows = []
+    for g in range(40):
+        w = [word() for _ in range(1504)]  # 1,500 shingles; a run of c new words changes c + 4 of them
+        c = (155, 166)[g % 2]  # similarity just over or under 0.8
+        rows += [(2 * g, " ".join(w)), (2 * g + 1, " ".join(w[:200] + [word() for _ in range(c)] + w[200 + c :]))]
+    got = {r.d: r.root for r in shingles.near_duplicate_groups(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    want = groups_by_force(rows)
+    assert len(set(want.values())) == 60 and got == want
+
+
 def test_stages(spark, sf, odd):
     docs = spark.read.parquet(f"{sf}/documents.parquet").limit(120)
     names = [n for n, _ in corpus_pipeline.STAGES]
