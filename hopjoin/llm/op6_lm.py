@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import materialize, safe_prefix, table, whole_text
 from .op9_decontaminate import _arrow_bytes, _mix, word_hashes
 
-ORDER = 2
+ORDER = 3
 BACKOFF = 0.4
 BLOCK_BYTES = 16 << 20
 _U = np.uint64

@@ -190,6 +190,12 @@ def test_backoff_brute_force(spark, docs, order, block):
             assert r.n_words == 0 and r.log_score is None
 
 
+def test_scores_use_two_words_of_context(spark):
+    rows = [(1, "a b c"), (2, "a b c"), (3, "x b d")]
+    got = {r.doc_id: r.log_score for r in op6_lm.lm_scores(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    assert got[1] == got[2] == pytest.approx(math.log(1 / 6))  # b alone is followed by c in one of two places
+
+
 def fingerprint(text, k=3):
     w = SPACE.findall((text or "").translate(LOW))
     s = [" ".join(w[i : i + k]) for i in range(len(w) - k + 1)] if len(w) >= k else [" ".join(w)] if w else []
