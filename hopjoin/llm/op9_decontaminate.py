@@ -4,7 +4,7 @@ Texts are tokenised as bytes (a word is a run of 0-9, a-z after lower-casing A-Z
 64-bit polynomial hash.  Both sides hash all GRAM-word grams and keep, per run of WINDOW-GRAM+1 grams, the leftmost least
 one: a span of WINDOW equal words has the same kept gram on both sides, so no shared span is missed.  Kept grams that meet
 are extended word by word to either side; a run of WINDOW or more words is hit.  Items shorter than a window are matched
-whole: those of GRAM words and more start from any of their grams, shorter ones from a gram of their own length.
+whole, in tables of their own, from their first gram of GRAM words or, if they are shorter, of their own length.
 
 The benchmark is the stated query set: it is gathered in blocks of at most BLOCK_BYTES of text, each block is shipped to
 every task, and the documents are read once per block (one block unless the benchmark is larger than that); hits of
@@ -12,7 +12,7 @@ several blocks are united per document row.  Documents are never shuffled in the
 
 Defined results: a null or wordless document has n_words 0 and is clean; a null or wordless item is never found; items with
 equal text are all reported; repeated rows give repeated results; an empty benchmark leaves every document clean; very long
-texts are processed whole, one Arrow batch at a time.
+texts are processed whole, in chunks cut between words; a null item_id counts as the empty id.
 """
 
 from __future__ import annotations
@@ -29,6 +29,8 @@ from .common import safe_prefix, table
 WINDOW = 13
 GRAM = 5
 BLOCK_BYTES = 32 << 20
+#: bytes of text that are hashed at once, and bytes of an Arrow batch that are looked up at once
+STEP, SLICE_BYTES = 1 << 19, 1 << 21
 
 _U = np.uint64
 _MULT, _INV = 0x9E3779B97F4A7C15, pow(0x9E3779B97F4A7C15, -1, 1 << 64)
@@ -58,31 +60,56 @@ def _mix(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> _U(27))
 
 
-def word_hashes(data: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of all words of the byte strings data[bounds[i]:bounds[i+1]], and the words' counts per string."""
-    hashes, owner = [], np.zeros(len(bounds) - 1, np.int64)
-    step = 1 << 22
-    first = 0
-    while first < len(bounds) - 1:  # strings in runs of about `step` bytes: scratch memory stays bounded
-        last = max(first + 1, int(np.searchsorted(bounds, bounds[first] + step, "right")) - 1)
-        lo, hi = int(bounds[first]), int(bounds[last])
+def _chunk_end(data: np.ndarray, bounds: np.ndarray, lo: int, step: int) -> int:
+    """About lo + step, at the end of a string or just behind a separator, so that no word is cut."""
+    hi = lo + step
+    if hi >= len(data):
+        return len(data)
+    inner = int(bounds[np.searchsorted(bounds, hi, "right") - 1])
+    for near in (min(step, 4096), step):
+        marks = np.flatnonzero(VALUES[data[hi - near : hi]] == 0)
+        back = max(inner, hi - near + int(marks[-1]) + 1 if len(marks) else lo)
+        if back > lo:
+            return back
+    stop = int(bounds[np.searchsorted(bounds, hi, "left")])
+    while hi < stop:  # one word longer than a chunk
+        marks = np.flatnonzero(VALUES[data[hi : min(stop, hi + step)]] == 0)
+        if len(marks):
+            return hi + int(marks[0]) + 1
+        hi += step
+    return stop
+
+
+def word_hashes(data: np.ndarray, bounds: np.ndarray, step: int = STEP) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all words of the byte strings data[bounds[i]:bounds[i+1]], and the words' counts per string.
+
+    The bytes are read in chunks of about `step`, cut between words: scratch memory depends on neither batch nor text.
+    """
+    hashes, begun, lo = [], [], 0
+    powers, inverse = (_powers(x, min(step, len(data)) + 1) for x in (_MULT, _INV))
+    while lo < len(data):
+        hi = _chunk_end(data, bounds, lo, step)
         v = VALUES[data[lo:hi]]
         on = v != 0
-        cut = bounds[first : last + 1] - lo
         begins = on.copy()
         begins[1:] &= ~on[:-1]
-        inner = cut[(cut > 0) & (cut < hi - lo)]
-        begins[inner] |= on[inner]
+        cut = bounds[np.searchsorted(bounds, lo, "right") : np.searchsorted(bounds, hi, "left")] - lo
+        begins[cut] |= on[cut]
         starts = np.flatnonzero(begins)
         ends_at = on.copy()
         ends_at[:-1] &= ~on[1:] | begins[1:]
         ends = np.flatnonzero(ends_at) + 1
-        sums = np.cumsum(np.r_[_U(0), v * _powers(_MULT, hi - lo)])
-        h = (sums[ends] - sums[starts]) * _powers(_INV, hi - lo + 1)[starts]
+        if hi - lo >= len(powers):
+            powers, inverse = (_powers(x, hi - lo + 1) for x in (_MULT, _INV))
+        v *= powers[: hi - lo]
+        sums = np.zeros(hi - lo + 1, _U)
+        np.cumsum(v, out=sums[1:])
+        h = (sums[ends] - sums[starts]) * inverse[starts]
         hashes.append(_mix(h + (ends - starts).astype(_U) * _U(0xC2B2AE3D27D4EB4F)))
-        owner[first:last] = np.diff(np.searchsorted(starts, cut))
-        first = last
-    return (np.concatenate(hashes) if hashes else np.zeros(0, _U)), owner
+        begun.append(starts + lo)
+        lo = hi
+    starts = np.concatenate(begun) if begun else np.zeros(0, np.int64)
+    return (np.concatenate(hashes) if hashes else np.zeros(0, _U)), np.diff(np.searchsorted(starts, bounds))
 
 
 def grams(words: np.ndarray, n: int) -> np.ndarray:
@@ -116,17 +143,23 @@ class Index:
         self.item_of = np.repeat(np.arange(len(items)), counts)
         self.need = np.minimum(counts, window)  # words that must agree
         self.ids = [i for i, _ in items]
+        #: (words of a gram, whether documents look up winnowed positions only) -> sorted hashes and their places
         self.tables = {}
-        by_size = {}
+        groups: dict[tuple[int, bool], list[int]] = {}
         for k, n in enumerate(counts):
             if n:
-                by_size.setdefault(int(min(n, gram)), []).append(k)
-        for size, mine in by_size.items():
+                groups.setdefault((int(min(n, gram)), bool(n >= window)), []).append(k)
+        for (size, long), mine in groups.items():
             h = grams(self.words, size)
-            at = np.concatenate([np.arange(self.begin[k], self.begin[k + 1] - size + 1) for k in mine])
+            if long:
+                at = winnow(h, window - gram + 1)
+                ours = np.zeros(len(items), bool)
+                ours[mine] = True
+                at = at[ours[self.item_of[at]] & (self.item_of[at] == self.item_of[at + size - 1])]
+            else:
+                at = self.begin[mine]  # found whole from the first gram
             order = np.argsort(h[at], kind="stable")
-            self.tables[size] = (h[at][order], at[order])
-        self.short = bool(np.any((counts >= gram) & (counts < window)))
+            self.tables[size, long] = (h[at][order], at[order])
 
 
 def find(index: Index, words: np.ndarray, counts: np.ndarray):
@@ -135,13 +168,10 @@ def find(index: Index, words: np.ndarray, counts: np.ndarray):
     pairs = []
     begin = np.r_[0, np.cumsum(counts)]
     owner = np.repeat(np.arange(len(counts)), counts)
-    for size, (known, places) in index.tables.items():
+    for (size, long), (known, places) in index.tables.items():
         h = grams(words, size)
-        if size == index.gram and not index.short:
-            at = winnow(h, index.window - index.gram + 1)
-            # strings are joined end to end: windows at their seams only add positions
-        else:
-            at = np.arange(len(h))
+        # strings are joined end to end: windows at their seams only add positions
+        at = winnow(h, index.window - index.gram + 1) if long else np.arange(len(h))
         at = at[owner[at] == owner[at + size - 1]] if len(at) else at
         lo = np.searchsorted(known, h[at], "left")
         n = np.searchsorted(known, h[at], "right") - lo
@@ -196,6 +226,19 @@ def _arrow_bytes(column) -> tuple[np.ndarray, np.ndarray]:
     return raw[bounds[0] : bounds[-1]], bounds - bounds[0]
 
 
+def sliced(batch: pa.RecordBatch, column: str, limit: int | None = None):
+    """The batch in runs of rows of about `limit` bytes of a string column (a longer text alone)."""
+    limit = limit or SLICE_BYTES
+    if not batch.num_rows:
+        return
+    _, bounds = _arrow_bytes(batch.column(column))
+    first = 0
+    while first < batch.num_rows:
+        last = max(first + 1, int(np.searchsorted(bounds, bounds[first] + limit, "right")) - 1)
+        yield batch.slice(first, last - first)
+        first = last
+
+
 def benchmark_blocks(benchmark: DataFrame, item_id: str, text: str, block_bytes: int = BLOCK_BYTES) -> list[DataFrame]:
     """The benchmark in blocks of at most about block_bytes of text, dealt by a hash of the item's id."""
     total = benchmark.agg(F.coalesce(F.sum(F.octet_length(text)), F.lit(0))).first()[0]
@@ -205,7 +248,7 @@ def benchmark_blocks(benchmark: DataFrame, item_id: str, text: str, block_bytes:
 
 
 def overlaps(docs: DataFrame, benchmark: DataFrame, text: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = WINDOW, gram: int = GRAM) -> tuple[DataFrame, str]:
-    """docs' columns but the text, with <p>n_words, <p>n_hit, <p>items (sorted ids) and, kept by keep_text, the text itself."""
+    """docs' columns with <p>n_words, <p>n_hit and <p>items (sorted ids of the items with an occurring window)."""
     p = safe_prefix(docs, "bd")
     blocks = benchmark_blocks(benchmark, item_id, item_text)
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema) + f", `{p}n_words` bigint, `{p}n_hit` bigint, `{p}items` array<string>, `{p}runs` array<bigint>"
@@ -213,13 +256,12 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, text: str = "text", item_id:
 
     def scan(block: DataFrame, with_runs: bool, source: DataFrame) -> DataFrame:
         items = sorted((r.i or "", r.t.encode()) for r in block.collect())  # at most BLOCK_BYTES of text
-        shipped = spark.sparkContext.broadcast(items)
+        shipped = spark.sparkContext.broadcast(vars(Index(items, window, gram)))  # plain arrays, made once
 
         def run(batches):
-            index = Index(shipped.value, window, gram)
-            for b in batches:
-                if not b.num_rows:
-                    continue
+            index = object.__new__(Index)
+            index.__dict__ = shipped.value
+            for b in (part for batch in batches for part in sliced(batch, text)):
                 words, counts = word_hashes(*_arrow_bytes(b.column(text)))
                 hit, s, k = find(index, words, counts)
                 begin = np.r_[0, np.cumsum(counts)]
