@@ -7,16 +7,22 @@ windows therefore lie in pieces of equal anchors, at equal distance from it, and
 1. Anchors and piece digests are computed where the text is read; equal pieces within a task are settled there and only the
    first goes on, so a passage that a third of all documents share costs one row per task.
 2. Sorted by (anchor, piece, place), all but the first of equal pieces are marked whole; the first of each piece goes on
-   only if its anchor has several different pieces - the rims of copies.
+   only if its anchor has several different pieces - the rims of copies.  Equal pieces are recognised by 128 bits (the
+   64-bit anchor and a 64-bit digest of all bytes, length and anchor place).
 3. Those pieces' bytes are gathered in shards of whole anchors; each shard's suffix array is built by induced sorting, its
    permuted common prefixes computed, and runs of suffixes that agree in LENGTH bytes give the repeats: all but the first
-   place of a run are marked.  Anchors with more than HOT different pieces take their windows one by one through the sorted
-   comparison of step 2 instead, which holds no group in memory.
+   place of a run are marked.
 4. Marks are united per document and the kept bytes digested.
 
+Frequent anchors (a greeting that a third of all documents begin with, each going on differently) are never one task's work:
+those that a hashed sample of the documents shows often are dealt by anchor and piece in step 2, and in step 3 they, and
+any anchor with more than HOT different pieces, take their windows one by one through the sorted comparison of step 2,
+dealt by the window's bytes.  Which way an anchor goes changes no result.
+
 Defined results: a null text is empty; texts under LENGTH bytes lose nothing; a null doc_id comes before all others; rows
-that share an id are one document if their texts are equal (each such row has the same result) and otherwise are ordered by
-a text hash; ids are integers.  Long texts are read whole, in overlapping blocks.
+that share an id are one document if their texts are equal (each such row has the same result) and otherwise are documents
+of their own, ordered by a 64-bit text hash; ids are integers; input columns named like a result column are replaced by it;
+an empty table gives no rows.  Long texts are read whole, in overlapping blocks.
 """
 
 from __future__ import annotations
@@ -29,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, table, whole_text
+from .common import materialize, safe_prefix, table, whole_text
 from .suffixes import common_prefixes, suffix_array
 
 LENGTH = 100
@@ -40,8 +46,10 @@ FLUSH = 1 << 21
 BLOCK = 1 << 22
 _U = np.uint64
 _BASE = 0x9E3779B97F4A7C15
-#: place = text hash (16 bits), byte offset (37 bits), windows (10 bits)
-OFF_BITS, CNT_BITS = 37, 10
+#: place = byte offset (any), windows (10 bits)
+CNT_BITS = 10
+#: one document in SAMPLE is looked at for frequent anchors; those with OFTEN pieces there are dealt by piece, MOST at most
+SAMPLE, OFTEN, MOST = 64, 50, 20_000
 
 
 def _weights() -> np.ndarray:
@@ -95,92 +103,111 @@ def merged(start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return start[new], end[np.r_[np.flatnonzero(new)[1:] - 1, len(end) - 1]]
 
 
-SCHEMA = "kind int, ah bigint, ph bigint, d bigint, place bigint"  # kind 0: a piece; 1: a mark, ah and ph being its start and end
-NAMES = ["kind", "ah", "ph", "d", "place"]
-
-
-def _rows(kind: int, *cols: np.ndarray) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(np.full(len(cols[0]), kind, np.int32)), *[pa.array(c.astype(np.int64, copy=False)) for c in cols]], names=NAMES)
+#: kind 0: a piece, 3: a piece of a frequent anchor; 1: a mark, ah and ph being its start and end; 2 and 4: pieces of 0 and 3 that go on.
+#: A document is (d, t): its id and, where an id has several texts, the text's hash.
+SCHEMA = "kind int, ah bigint, ph bigint, d bigint, t bigint, place bigint"
+NAMES = ["kind", "ah", "ph", "d", "t", "place"]
 
 
-def _offset(place):
-    return (place >> CNT_BITS) & ((1 << OFF_BITS) - 1)
+def _rows(kind, *cols: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(np.broadcast_to(np.int32(kind), len(cols[0])) if np.isscalar(kind) else kind.astype(np.int32)), *[pa.array(c.astype(np.int64, copy=False)) for c in cols]], names=NAMES)
 
 
-def _settle(a, p, d, place):
+def _settle(a, p, d, t, place):
     """Sorted by piece: flags of the first row of each piece, and of the rows that repeat it at another place."""
     new = np.r_[True, (a[1:] != a[:-1]) | (p[1:] != p[:-1])] if len(a) else np.zeros(0, bool)
     head = np.maximum.accumulate(np.where(new, np.arange(len(a)), 0))
-    return new, ~new & ((d != d[head]) | (place != place[head]))
+    return new, ~new & ((d != d[head]) | (t != t[head]) | (place != place[head]))
 
 
-def _marks(d, place):
-    """Marks of whole pieces, united per document row."""
+def _marks(d, t, place):
+    """Marks of whole pieces, united per document."""
     if not len(d):
         return
-    text = place >> (OFF_BITS + CNT_BITS)
-    start = _offset(place)
+    start = place >> CNT_BITS
     end = start + (place & ((1 << CNT_BITS) - 1)) + LENGTH - 1
-    order = np.lexsort((start, text, d))
-    d, text, start, end = d[order], text[order], start[order], end[order]
-    doc = np.cumsum(np.r_[0, (d[1:] != d[:-1]) | (text[1:] != text[:-1])])
+    order = np.lexsort((start, t, d))
+    d, t, start, end = d[order], t[order], start[order], end[order]
+    doc = np.cumsum(np.r_[0, (d[1:] != d[:-1]) | (t[1:] != t[:-1])])
     shift = doc << 40
     s, e = merged(start + shift, end + shift)
     k = np.searchsorted(doc, s >> 40)
-    yield _rows(1, s - ((s >> 40) << 40), e - ((s >> 40) << 40), d[k], text[k])
-
-
-def anchor_rows(batches):
-    """Texts (d, t16, text) -> pieces that are first in the task and marks of those that are not."""
-    powers, inverse, held, count = np.zeros(0, _U), np.zeros(0, _U), [], 0
-
-    def flush():
-        a, p, d, place = (np.concatenate(c) for c in zip(*held))
-        order = np.lexsort((place, d, p, a))
-        a, p, d, place = a[order], p[order], d[order], place[order]
-        new, again = _settle(a, p, d, place)
-        yield _rows(0, a[new], p[new], d[new], place[new])
-        yield from _marks(d[again], place[again])
-
-    for batch in batches:
-        for d, t16, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2)):
-            raw = text.as_buffer()
-            b = np.frombuffer(raw, np.uint8) if raw is not None and raw.size else np.zeros(0, np.uint8)
-            for at in range(0, max(0, len(b) - LENGTH + 1), BLOCK):
-                part = b[at : at + BLOCK + LENGTH - 1]
-                if len(part) > len(powers):
-                    n = max(2 * len(powers), len(part))
-                    powers = np.cumprod(np.r_[_U(1), np.full(n - 1, _BASE, _U)])
-                    inverse = np.cumprod(np.r_[_U(1), np.full(n - 1, pow(_BASE, -1, 1 << 64), _U)])
-                a, p, first, cnt = pieces_of(part, powers, inverse)
-                held.append((a.view(np.int64), p.view(np.int64), np.full(len(a), d, np.int64), (t16 << (OFF_BITS + CNT_BITS)) | ((first + at) << CNT_BITS) | cnt))
-                count += len(a)
-                if count >= FLUSH:
-                    yield from flush()
-                    held, count = [], 0
-    if held:
-        yield from flush()
+    yield _rows(1, s - ((s >> 40) << 40), e - ((s >> 40) << 40), d[k], t[k], np.zeros(len(k), np.int64))
+
+
+def anchor_rows(frequent=None):
+    """mapInArrow function over texts (d, t, text) -> pieces that are first in the task and marks of those that are not.
+
+    frequent: a broadcast sorted array of anchors whose pieces get kind 3.
+    """
+
+    def run(batches):
+        powers, inverse, held, count = np.zeros(0, _U), np.zeros(0, _U), [], 0
+        often = frequent.value if frequent is not None else np.zeros(0, np.int64)
+
+        def flush():
+            a, p, d, t, place = (np.concatenate(c) for c in zip(*held))
+            order = np.lexsort((place, t, d, p, a))
+            a, p, d, t, place = a[order], p[order], d[order], t[order], place[order]
+            new, again = _settle(a, p, d, t, place)
+            yield _rows(np.where(np.isin(a[new], often), 3, 0), a[new], p[new], d[new], t[new], place[new])
+            yield from _marks(d[again], t[again], place[again])
+
+        for batch in batches:
+            for d, t, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2)):
+                raw = text.as_buffer()
+                b = np.frombuffer(raw, np.uint8) if raw is not None and raw.size else np.zeros(0, np.uint8)
+                for at in range(0, max(0, len(b) - LENGTH + 1), BLOCK):
+                    part = b[at : at + BLOCK + LENGTH - 1]
+                    if len(part) > len(powers):
+                        n = max(2 * len(powers), len(part))
+                        powers = np.cumprod(np.r_[_U(1), np.full(n - 1, _BASE, _U)])
+                        inverse = np.cumprod(np.r_[_U(1), np.full(n - 1, pow(_BASE, -1, 1 << 64), _U)])
+                    a, p, first, cnt = pieces_of(part, powers, inverse)
+                    held.append((a.view(np.int64), p.view(np.int64), np.full(len(a), d, np.int64), np.full(len(a), t, np.int64), ((first + at) << CNT_BITS) | cnt))
+                    count += len(a)
+                    if count >= FLUSH:
+                        yield from flush()
+                        held, count = [], 0
+        if held:
+            yield from flush()
+
+    return run
 
 
 def resolve(batches):
-    """Rows sorted by (kind, ah, ph, d, place): marks of repeated pieces, and (kind 2) the first of each piece where an anchor has several."""
-    last = None  # the first row (ah, ph, d, place) of the piece that was read last
+    """Rows sorted by (kind, ah, ph, d, t, place): marks of repeated pieces, and the first of each piece that may share windows with others.
+
+    Those are (kind 2) the pieces of an anchor that has several, and (kind 4) all of a frequent anchor.
+    """
+    last = None  # the first row (ah, ph, d, t, place) of the piece that was read last
     waiting = None  # the only piece so far of the anchor that was read last
+    often = None  # the same for pieces of frequent anchors, which come after the others
     for batch in batches:
-        cols = [np.asarray(batch.column(i)) for i in range(5)]
+        cols = [np.asarray(batch.column(i)) for i in range(6)]
         kind = cols[0]
         if (kind == 1).any():
             yield _rows(1, *[c[kind == 1] for c in cols[1:]])
-        a, p, d, place = (c[kind == 0] for c in cols[1:])
+        if (kind == 3).any():
+            x = [c[kind == 3] for c in cols[1:]]
+            lead = often is not None
+            if lead:
+                x = [np.r_[np.int64(v), c] for v, c in zip(often, x)]
+            new, again = _settle(*x)
+            yield from _marks(*[c[again] for c in x[2:]])
+            f = np.flatnonzero(new)
+            often = tuple(int(c[f[-1]]) for c in x)
+            yield _rows(4, *[c[f[lead:]] for c in x])
+        a, p, d, t, place = (c[kind == 0] for c in cols[1:])
         if not len(a):
             continue
         lead = last is not None
         if lead:
-            a, p, d, place = (np.r_[np.int64(x), c] for x, c in zip(last, (a, p, d, place)))
-        new, again = _settle(a, p, d, place)
-        yield from _marks(d[again], place[again])
+            a, p, d, t, place = (np.r_[np.int64(x), c] for x, c in zip(last, (a, p, d, t, place)))
+        new, again = _settle(a, p, d, t, place)
+        yield from _marks(d[again], t[again], place[again])
         f = np.flatnonzero(new)
-        last = tuple(int(c[f[-1]]) for c in (a, p, d, place))
+        last = tuple(int(c[f[-1]]) for c in (a, p, d, t, place))
         # firsts per anchor; the carried row leads the list but was announced before unless it waits
         fa = a[f]
         group = np.cumsum(np.r_[0, fa[1:] != fa[:-1]])
@@ -191,16 +218,18 @@ def resolve(batches):
             several[0] = False
         give = f[several]
         if len(give):
-            yield _rows(2, a[give], p[give], d[give], place[give])
+            yield _rows(2, a[give], p[give], d[give], t[give], place[give])
         alone = size[-1] == 1 and not several[-1] and not (lead and waiting is None and group[-1] == 0)
         waiting = last if alone else None
 
 
 def shard_marks(batches):
-    """Pieces (ah, d, place, bytes) sorted by ah: suffix array of each block of whole anchors, marks of repeats (single windows, united)."""
+    """Pieces (ah, d, t, place, bytes) sorted by ah: suffix array of each block of whole anchors, marks of repeats (single windows, united)."""
 
-    def work(d, place, texts):
-        size = np.array([len(t) for t in texts], np.int64)
+    def work(held):
+        d, t, place = (np.array([h[i] for h in held], np.int64) for i in (1, 2, 3))
+        texts = [h[4] for h in held]
+        size = np.array([len(x) for x in texts], np.int64)
         begin = np.r_[0, np.cumsum(size + 1)]
         b = np.frombuffer(b"\xff".join(texts) + b"\xff", np.uint8)
         sa = suffix_array(b)
@@ -210,27 +239,26 @@ def shard_marks(batches):
         valid = within + LENGTH <= size[owner]
         same &= valid & np.r_[False, valid[:-1]]
         run = np.cumsum(~same)
-        text, start = place[owner] >> (OFF_BITS + CNT_BITS), _offset(place[owner]) + within
         keep = np.flatnonzero(same | np.r_[same[1:], False])
         if not len(keep):
             return
-        r, dd, tt, ss = run[keep], d[owner[keep]], text[keep], start[keep]
-        order = np.lexsort((ss, tt, dd, r))
-        r, dd, tt, ss = r[order], dd[order], tt[order], ss[order]
-        spot = (tt << (OFF_BITS + CNT_BITS)) | (ss << CNT_BITS) | 1
-        _, again = _settle(r, np.zeros(len(r), np.int64), dd, spot)
-        yield from _marks(dd[again], spot[again])
+        o = owner[keep]
+        r, dd, tt, spot = run[keep], d[o], t[o], (((place[o] >> CNT_BITS) + within[keep]) << CNT_BITS) | 1
+        order = np.lexsort((spot, tt, dd, r))
+        r, dd, tt, spot = r[order], dd[order], tt[order], spot[order]
+        _, again = _settle(r, np.zeros(len(r), np.int64), dd, tt, spot)
+        yield from _marks(dd[again], tt[again], spot[again])
 
     held, total = [], 0
     for batch in batches:
-        for a, d, place, t in zip(*[batch.column(i).to_pylist() for i in range(4)]):
-            if total >= SHARD_BYTES and held[-1][0] != a:
-                yield from work(*[np.array([h[i] for h in held], np.int64) for i in (1, 2)], [h[3] for h in held])
+        for row in zip(*[batch.column(i).to_pylist() for i in range(5)]):
+            if total >= SHARD_BYTES and held[-1][0] != row[0]:
+                yield from work(held)
                 held, total = [], 0
-            held.append((a, d, place, t))
-            total += len(t) + 1
+            held.append(row)
+            total += len(row[4]) + 1
     if held:
-        yield from work(*[np.array([h[i] for h in held], np.int64) for i in (1, 2)], [h[3] for h in held])
+        yield from work(held)
 
 
 def _apply(batches):
@@ -259,49 +287,66 @@ def _release(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
-def repeated_spans(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
-    """Marks (d, t16, s, e): byte ranges to remove, not yet united, of the document rows with key (d, t16)."""
-    spark = docs.sparkSession
+def _document_keys(docs: DataFrame, text: str, doc_id: str):
+    """Columns (d, t) that tell the documents apart: t is 0 unless some id has several texts."""
     d = F.coalesce(F.col(doc_id).cast("long"), F.lit(-(1 << 63)))
-    t16 = F.pmod(F.xxhash64(whole_text(text)), F.lit(1 << 16))
-    keyed = docs.select(d.alias("d"), t16.alias("t16"), whole_text(text).cast("binary").alias("t"))
-    long_enough = keyed.where(F.octet_length("t") >= LENGTH)
-    order = NAMES[:3] + ["d", "place"]
-    rows = long_enough.mapInArrow(anchor_rows, SCHEMA)
-    first = materialize(rows.repartition(F.when(F.col("kind") == 0, F.col("ah")).otherwise(F.col("d"))).sortWithinPartitions(*order).mapInArrow(resolve, SCHEMA))
+    t = F.xxhash64(whole_text(text))
+    shared = docs.select(d.alias("d"), t.alias("t")).groupBy("d").agg(F.min("t").alias("x"), F.max("t").alias("y")).where("x <> y")
+    return d, t if shared.limit(1).count() else F.lit(0).cast("long")
+
+
+def frequent_anchors(texts: DataFrame) -> np.ndarray:
+    """Anchors (sorted, at most MOST) that have at least OFTEN different pieces in a task's share of one document in SAMPLE.
+
+    Only the work's distribution depends on them."""
+    picked = texts.where(F.pmod(F.xxhash64(F.lit(64), "d", "t", F.octet_length("x")), F.lit(SAMPLE)) == 0)
+    counts = picked.mapInArrow(anchor_rows(), SCHEMA).where("kind = 0").groupBy("ah").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= OFTEN)
+    found = counts.orderBy(F.desc("n"), "ah").limit(MOST).collect()
+    return np.array(sorted(r.ah for r in found), np.int64)
+
+
+def repeated_spans(texts: DataFrame) -> DataFrame:
+    """texts(d, t, x bytes) -> marks (d, t, s, e): byte ranges to remove, not yet united, of the documents (d, t)."""
+    spark = texts.sparkSession
+    long_enough = texts.where(F.octet_length("x") >= LENGTH)
+    order = [*NAMES[:3], "d", "t", "place"]
+    rows = long_enough.mapInArrow(anchor_rows(spark.sparkContext.broadcast(frequent_anchors(long_enough))), SCHEMA)
+    dealt = F.when(F.col("kind") == 0, F.col("ah")).when(F.col("kind") == 1, F.xxhash64("d", "t")).otherwise(F.xxhash64("ah", "ph"))
+    first = materialize(rows.repartition(dealt).sortWithinPartitions(*order).mapInArrow(resolve, SCHEMA))
     _release(spark)
     marks = first.where("kind = 1")
     asked = first.where("kind = 2").distinct()
     hot = asked.groupBy("ah").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > HOT).select("ah", F.lit(True).alias("hot"))
-    asked = asked.join(hot, "ah", "left").select("ah", "d", "place", F.coalesce("hot", F.lit(False)).alias("hot"))
-    wanted = asked.groupBy("d", F.shiftright("place", OFF_BITS + CNT_BITS).alias("t16")).agg(F.collect_list(F.struct("ah", "place", "hot")).alias("w"))
-    found = long_enough.join(wanted, ["d", "t16"]).select("d", "t", F.explode("w").alias("w"))
-    off = F.shiftright(F.col("w.place"), CNT_BITS).bitwiseAND(F.lit((1 << OFF_BITS) - 1))
-    cnt = F.col("w.place").bitwiseAND(F.lit((1 << CNT_BITS) - 1))
-    pieces = materialize(found.select(F.col("w.ah").alias("ah"), "d", F.col("w.place").alias("place"), F.substring(F.col("t"), (off + 1).cast("int"), (cnt + LENGTH - 1).cast("int")).alias("t"), F.col("w.hot").alias("hot")))
+    asked = asked.join(hot, "ah", "left").select("ah", "d", "t", "place", F.coalesce("hot", F.lit(False)).alias("hot"))
+    asked = asked.union(first.where("kind = 4").distinct().select("ah", "d", "t", "place", F.lit(True)))
+    wanted = asked.groupBy("d", "t").agg(F.collect_list(F.struct("ah", "place", "hot")).alias("w"))
+    found = long_enough.join(wanted, ["d", "t"]).select("d", "t", "x", F.explode("w").alias("w"))
+    off, cnt = F.shiftright("w.place", CNT_BITS), F.col("w.place").bitwiseAND(F.lit((1 << CNT_BITS) - 1))
+    pieces = materialize(found.select(F.col("w.ah").alias("ah"), "d", "t", F.col("w.place").alias("place"), F.substring(F.col("x"), (off + 1).cast("int"), (cnt + LENGTH - 1).cast("int")).alias("x"), F.col("w.hot").alias("hot")))
     _release(spark)
-    sharded = pieces.where("not hot").distinct().repartition("ah").sortWithinPartitions("ah", "d", "place").select("ah", "d", "place", "t").mapInArrow(shard_marks, SCHEMA)
-    window = pieces.where("hot").select("d", "place", F.posexplode(F.transform(F.sequence(F.lit(1), F.length("t") - LENGTH + 1), lambda i: F.substring(F.col("t"), i, F.lit(LENGTH)))).alias("i", "x"))
+    sharded = pieces.where("not hot").distinct().repartition("ah").sortWithinPartitions("ah", "d", "t", "place").select("ah", "d", "t", "place", "x").mapInArrow(shard_marks, SCHEMA)
+    window = pieces.where("hot").select("d", "t", "place", F.posexplode(F.transform(F.sequence(F.lit(1), F.length("x") - LENGTH + 1), lambda i: F.substring(F.col("x"), i, F.lit(LENGTH)))).alias("i", "y"))
     single = F.shiftleft(F.shiftright("place", CNT_BITS) + F.col("i"), CNT_BITS).bitwiseOR(F.lit(1).cast("long"))
-    windows = window.select(F.lit(0).alias("kind"), F.xxhash64("x").alias("ah"), F.xxhash64(F.lit(77), "x").alias("ph"), "d", single.alias("place"))
+    windows = window.select(F.lit(0).alias("kind"), F.xxhash64("y").alias("ah"), F.xxhash64(F.lit(77), "y").alias("ph"), "d", "t", single.alias("place"))
     hot_marks = windows.repartition("ah").sortWithinPartitions(*order).mapInArrow(resolve, SCHEMA).where("kind = 1")
-    every = marks.unionByName(sharded).unionByName(hot_marks)
-    return every.select("d", F.col("place").alias("t16"), F.col("ah").alias("s"), F.col("ph").alias("e"))
+    return marks.unionByName(sharded).unionByName(hot_marks).select("d", "t", F.col("ah").alias("s"), F.col("ph").alias("e"))
+
+
+RESULT = {"n_bytes": "bigint", "n_removed": "bigint", "n_spans": "bigint", "kept_sha256": "string"}
 
 
 def deduplicate(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
     """docs' columns but the text, with n_bytes, n_removed, n_spans and kept_sha256 per row."""
-    spark = docs.sparkSession
-    marks = materialize(repeated_spans(docs, text, doc_id))
+    spark, p = docs.sparkSession, safe_prefix(docs, "sd")
+    d, t = _document_keys(docs, text, doc_id)
+    x = whole_text(text).cast("binary")
+    marks = materialize(repeated_spans(docs.select(d.alias("d"), t.alias("t"), x.alias("x"))))
     _release(spark)
-    spans = marks.groupBy("d", "t16").agg(F.collect_list("s").alias("__s"), F.collect_list("e").alias("__e"))
-    d = F.coalesce(F.col(doc_id).cast("long"), F.lit(-(1 << 63)))
-    t16 = F.pmod(F.xxhash64(whole_text(text)), F.lit(1 << 16))
-    keep = [c for c in docs.columns if c != text]
-    rows = docs.select(*keep, d.alias("__d"), t16.alias("__t16"), whole_text(text).cast("binary").alias("__t"))
-    spans = spans.withColumnsRenamed({"d": "__d", "t16": "__t16"})
-    joined = rows.join(spans, ["__d", "__t16"], "left").select(*keep, "__t", "__s", "__e")
-    schema = ", ".join([*[f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*keep).schema], "n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string"])
+    spans = marks.groupBy(F.col("d").alias(f"{p}d"), F.col("t").alias(f"{p}t")).agg(F.collect_list("s").alias(f"{p}s"), F.collect_list("e").alias(f"{p}e"))
+    keep = [c for c in docs.columns if c != text and c not in RESULT]
+    rows = docs.select(*keep, d.alias(f"{p}d"), t.alias(f"{p}t"), x.alias(f"{p}x"))
+    joined = rows.join(spans, [f"{p}d", f"{p}t"], "left").select(*keep, f"{p}x", f"{p}s", f"{p}e")
+    schema = ", ".join([*[f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*keep).schema], *[f"{c} {k}" for c, k in RESULT.items()]])
     return joined.mapInArrow(_apply, schema)
 
 
