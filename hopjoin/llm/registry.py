@@ -20,5 +20,6 @@ QUERIES = {
 ORACLES = {
     "op3_mix_sources": op3_mix.oracle(),
     "op5_quality_rules": op5_quality.oracle(),
+    "op6_lm_score": op6_lm.oracle(),
     "op9_decontaminate": op9_decontaminate.oracle(),
 }

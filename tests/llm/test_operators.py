@@ -71,9 +71,12 @@ def brute_repeats(rows):
     return out
 
 
-@pytest.mark.parametrize("hot", [20_000, 2])
-def test_repeats_brute_force(spark, docs, monkeypatch, hot):
+@pytest.mark.parametrize("hot,often,block", [(20_000, 50, 1 << 22), (2, 50, 150), (20_000, 2, 333)])
+def test_repeats_brute_force(spark, docs, monkeypatch, hot, often, block):
     monkeypatch.setattr(op2_suffix_dedup, "HOT", hot)
+    monkeypatch.setattr(op2_suffix_dedup, "OFTEN", often)
+    monkeypatch.setattr(op2_suffix_dedup, "SAMPLE", 1 if often == 2 else 64)
+    monkeypatch.setattr(op2_suffix_dedup, "BLOCK", block)
     rng = random.Random(5)
     base = "".join(rng.choice("abc de") for _ in range(400))
     made = [(10_000 + i, base[rng.randrange(200) :][: rng.randrange(90, 260)] + "".join(rng.choice("xyz") for _ in range(rng.randrange(120)))) for i in range(60)] + [(20_000, "ab" * 300), (20_001, "ab" * 120)]
@@ -82,6 +85,20 @@ def test_repeats_brute_force(spark, docs, monkeypatch, hot):
     assert {r.doc_id: tuple(r[1:]) for r in got} == brute_repeats(rows)
 
 
+def test_repeats_of_rows_that_share_an_id(spark):
+    """Rows without an id, or with the same one, are documents of their own; the order among them is that of a text hash."""
+    rng = random.Random(8)
+    made = lambda n: "".join(rng.choice("abcdefgh ") for _ in range(n))
+    passage = made(150)
+    rows = [(rng.choice([None, 7, 8]), made(200) + (passage if i % 2 else made(150)) + made(rng.randrange(80))) for i in range(400)]
+    df = spark.createDataFrame([(d, t, 1) for d, t in rows], "doc_id bigint, text string, n_spans int")
+    keyed = df.withColumns({"d": F.coalesce("doc_id", F.lit(-(1 << 63))), "h": F.xxhash64("text")}).collect()
+    want = brute_repeats([((r.d, r.h), r.text) for r in keyed])
+    got = op2_suffix_dedup.deduplicate(df).collect()
+    assert sorted(tuple(r[1:]) for r in got) == sorted(want.values()) and got[0].__fields__ == ["doc_id", *op2_suffix_dedup.RESULT]
+    assert sum(r.n_removed > 0 for r in got) == sum(v[1] > 0 for v in want.values()) == 199
+
+
 def test_repeats_odd(spark, odd):
     got = op2_suffix_dedup.deduplicate(odd).collect()
     assert len(got) == odd.count()
