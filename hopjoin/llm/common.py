@@ -46,9 +46,11 @@ def safe_prefix(df: DataFrame, stem: str) -> str:
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
-    """The shared folder the session names; one of our own only where none is set (tests on one machine)."""
+    """The shared folder the session names; one of our own only where none is set and driver and executors are one process."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         found = "/tmp/checkpoints"
     if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
         spark.sparkContext.setCheckpointDir(found)
@@ -76,8 +78,8 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Connected components of edges(a, b): rows (node, root), root the least node reachable.
 
     Alternating large-star and small-star rounds (published map-reduce scheme), each a group-by with map-side combine and
-    each written to the shared folder.  Hubs are never gathered: a star needs only the least neighbour of a node, which is
-    a partial aggregate joined back to the edges.
+    each written to the shared folder.  A star needs only the least neighbour of a node, which is a partial aggregate joined
+    back to the edges: one row per node on that side, so adaptive execution may cut a hub's edges into several tasks.
     """
     links = edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a != b").distinct()
     links = materialize(links)

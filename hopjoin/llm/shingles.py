@@ -2,13 +2,18 @@
 
 At similarity 0.8 two SimHash fingerprints of 64 bits differ in 5 to 14 bits, for which covering masks would need thousands
 of tables; covering with radius 2 therefore only proposes the closest pairs.  Further pairs come from 16 bands of 4 minimum
-hashes (a pair at 0.8 shares a band with odds above 0.999).  A first round pairs every document with its bucket's least
-document and with its neighbour in fingerprint order, which settles most copies.  The second round proposes every pair of a
+hashes (a pair at 0.8 shares a band with odds above 0.999).  A first round cuts a bucket by the fingerprint's first byte and
+pairs every document with the least of its part, and those with the bucket's least, which settles most copies.  The second round proposes every pair of a
 bucket whose documents are in different groups by then, so that no pair of a bucket is left out, however large the bucket:
 pairs inside a group need no look, and of the others only those leave the task that sizes and all 64 minima leave possible
 (a pair at 0.8 is refused here with odds below a millionth).  Sketches, the SKETCH smallest 32-bit shingle hashes,
 decide pairs of texts with fewer shingles than that; of the others they only refuse those MARGIN (six standard errors) below
 the bar, and the full sets of distinct shingles decide the rest.
+
+Defined results: a null or wordless text has no shingle and is a group of all such rows; fewer words than a shingle are one
+shingle; equal word sequences are one class and need no comparison; rows without an id get no group; rows that share an id
+are in the group of each of their texts; a group's root is its least id; an empty table gives no rows; other columns play
+no part.  Texts are hashed whole.
 """
 
 from __future__ import annotations
@@ -17,7 +22,7 @@ import math
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import ascii_lower, components, materialize, whole_text, words_of
@@ -38,9 +43,7 @@ def profiles(docs: DataFrame, doc_id: str, text: str, k: int) -> DataFrame:
 
     def run(batches):
         a, c = _seeds(BANDS * ROWS)
-        for b in batches:
-            if not b.num_rows:
-                continue
+        for b in (x.slice(at, 1000) for x in batches for at in range(0, x.num_rows, 1000)):
             lists = b.column(2)
             offsets = np.asarray(lists.offsets, dtype=np.int64)
             values = (np.asarray(lists.values)[offsets[0] : offsets[-1]] if len(lists.values) else np.zeros(0, np.int64)).view(_U)
@@ -181,12 +184,12 @@ def near_duplicate_groups(docs: DataFrame, text: str = "text", doc_id: str = "do
     links = class_links(fps.select("fp"))
     cover = links.join(fps.select(F.col("fp").alias("a"), F.col("least").alias("x")), "a").join(fps.select(F.col("fp").alias("b"), F.col("least").alias("y")), "b").select(F.col("x").alias("a"), F.col("y").alias("b"))
     # bands
-    rows = texts.select("rep", "fp", F.posexplode("bands").alias("band", "key"))
-    w = Window.partitionBy("band", "key").orderBy("fp", "rep")
-    least = rows.groupBy("band", "key").agg(F.min("rep").alias("least"), F.count(F.lit(1)).alias("m")).where("m > 1")
-    shared = rows.join(least, ["band", "key"])
-    chained = shared.withColumn("prev", F.lag("rep").over(w))
-    banded = chained.select(F.explode(F.array(F.struct(F.col("rep").alias("a"), F.col("least").alias("b")), F.struct(F.col("rep").alias("a"), F.col("prev").alias("b")))).alias("p")).select("p.a", "p.b")
+    rows = texts.select("rep", F.shiftright("fp", 56).alias("part"), F.posexplode("bands").alias("band", "key"))
+    parts = rows.groupBy("band", "key", "part").agg(F.min("rep").alias("first"), F.count(F.lit(1)).alias("m"))
+    least = parts.groupBy("band", "key").agg(F.min("first").alias("least"), F.sum("m").alias("m")).where("m > 1").drop("m")
+    heads = parts.drop("m").join(least, ["band", "key"])  # the first of each part of a bucket meets the bucket's first,
+    shared = rows.join(heads.drop("least"), ["band", "key", "part"])  # the others the first of their part
+    banded = shared.select(F.col("rep").alias("a"), F.col("first").alias("b")).union(heads.select(F.col("first").alias("a"), F.col("least").alias("b")))
     pairs = same.union(cover).union(banded).where("a is not null and b is not null and a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
     pair_type = f"a {dict(docs.dtypes)[doc_id]}, b {dict(docs.dtypes)[doc_id]}"
     sets = texts.select("rep", "sketch")
