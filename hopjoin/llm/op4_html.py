@@ -3,17 +3,23 @@
 A page is cut into a tree of elements; consecutive siblings of one signature (tag and classes) fold into one repeated node.
 The most frequent tree of a host is its reference; every other tree is aligned to it by simple tree matching (the largest
 order-preserving match of children, level by level).  Text is compared per aligned node over the host's distinct pages: a
-text that most of them show at one node is template and goes, varying slots are content.  What a slot is for - menu,
-header, footer, sidebar, notice, advert, form, script, style, reader comments - is read from element names, roles and class
-words; such slots are template even where their text varies.  The article element (else main, else body) bounds the content.
+text that SHARE of them show at one node is template and goes, varying slots are content.  All blocks take part, also those
+whose markup tells what they are for, and `induced` says how many blocks of a page the alignment alone took out.
+
+Menus, adverts and comments may vary from page to page, where no alignment can tell them from the article; and a host may
+have too few pages.  There element names, roles and class words decide: a slot for a menu, header, footer, sidebar, notice,
+advert, form, script, style or reader comments is template even where its text varies.  The article and main elements bound
+the content where they hold most of the text that is left (a page may have but a teaser in an article element).
 
 Statistics are grouped sums over all pages with map-side combine (one row per host, node and text hash); a host with a third
 of all pages is one key of tiny rows.  The template table (a tree and a few hashes per host) is shipped to the tasks when its
 checked size is at most TEMPLATE_BYTES and joined by host otherwise.
 
-Defined results: a null or empty html gives empty text; broken or cut markup is read as far as it goes; a null or odd url is
-host "" ; hosts with fewer than MIN_PAGES distinct pages have no constant text; repeated rows give repeated results (they
-count once in the statistics); an empty table gives no rows.
+Defined results: a null or empty html gives empty text; broken or cut markup is read as far as it goes, an element that is
+never closed hides nothing but an open script or style; blocks nested deeper than DEPTH are compared by their plain place;
+a null or odd url is host ""; hosts with fewer than MIN_PAGES distinct pages have no constant text; repeated rows give repeated
+results (they count once in the statistics); input columns named like a result column are replaced by it; an empty table
+gives no rows.
 """
 
 from __future__ import annotations
@@ -26,15 +32,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, table
+from .common import materialize, safe_prefix, table
 
-MIN_PAGES, SHARE, TEMPLATE_BYTES = 10, 0.8, 64 << 20
+MIN_PAGES, SHARE, TEMPLATE_BYTES, DEPTH = 6, 0.8, 64 << 20, 200
 
 TAG = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^\"'>]|\"[^\"]*\"|'[^']*')*+)(?:>|\Z)", re.S)
 ATTR = re.compile(r"([a-zA-Z_:][-a-zA-Z0-9_:.]*)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
 SPLIT = re.compile(r"[^a-z0-9]+")
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style noscript template textarea title svg math iframe object select xmp".split())
+#: elements whose inside is no text of the page; the open ones end with the page
+RAW = frozenset("script style template textarea title svg iframe select".split())
+OPEN = frozenset(("script", "style"))
 BLOCK = frozenset("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre section summary table tbody tfoot thead tr ul caption".split())
 CLOSES_P = BLOCK - {"html", "body"}
 DROP = frozenset("nav footer aside form button input menu dialog fieldset head".split())
@@ -63,7 +71,7 @@ def _judge(tag: str, attrs: dict[str, str], inside: bool) -> tuple[str, bool]:
     """The signature of an element and whether it is there for something else than the article."""
     names = (attrs.get("class", "") + " " + attrs.get("id", "")).lower() if attrs else ""
     sig = tag + "".join("." + x for x in sorted(set(attrs.get("class", "").lower().split()))) if attrs else tag
-    if tag in DROP or tag == "header" and not inside:
+    if tag in DROP or tag in ("header", "noscript") and not inside:
         return sig, True
     if attrs:
         if attrs.get("role", "").lower() in DROP_ROLES or "hidden" in attrs or attrs.get("aria-hidden") == "true" or "display:none" in attrs.get("style", "").replace(" ", "").lower():
@@ -103,7 +111,9 @@ def parse(page: str) -> Node:
             lower = page.lower() if lower is None else lower
             close = lower.find("</" + tag, pos)
             if close < 0:
-                break
+                if tag in OPEN:
+                    break
+                continue
             stop = page.find(">", close)
             pos = end if stop < 0 else stop + 1
             continue
@@ -194,7 +204,7 @@ def shape(root: Node) -> list:
         return kids
 
     def build(sig: str, nodes: list[Node], depth: int) -> list:
-        return [sig, [build(s, k, depth + 1) for s, k in fold(nodes)] if depth < 40 else []]
+        return [sig, [build(s, k, depth + 1) for s, k in fold(nodes)] if depth < DEPTH else []]
 
     return build("#", root.kids, 0)
 
@@ -247,9 +257,47 @@ def _place(path: tuple, aligned: dict) -> str:
     return "/".join(map(str, aligned[path])) if path in aligned else "?" + "/".join(map(str, path))
 
 
+def _signature(tree: list, path: tuple) -> str:
+    """The element signatures from the root of a folded tree down a path."""
+    out = []
+    for k in path[:DEPTH]:
+        tree = tree[1][k] if k < len(tree[1]) else ["", []]
+        out.append(tree[0])
+    return "/".join(out)
+
+
+def judge(root: Node, ref: str, fixed: frozenset, cache: dict):
+    """A function (path, text) -> whether a block of the page stays, given its host's template.
+
+    A block that the alignment leaves over (an element came between, so its siblings fold otherwise) is template where
+    the same text is constant under the same signatures.
+    """
+    tree = shape(root)
+    to = _remembered(cache, json.dumps(tree, separators=(",", ":")), ref)
+    if (ref, fixed) not in cache:
+        whole = json.loads(ref)
+        placed = (x.split(":") for x in fixed if not x.startswith("?"))
+        cache[ref, fixed] = {f"{_signature(whole, tuple(int(k) for k in node.split('/') if k))}:{h}" for node, h in placed}
+    under = cache[ref, fixed]
+
+    def stays(path, text):
+        h = _hash(text)
+        return f"{_place(path, to)}:{h}" not in fixed and (path in to or f"{_signature(tree, path)}:{h}" not in under)
+
+    return stays
+
+
 def main_text(found: list, keep) -> str:
-    scope = max((s for _, _, drop, s in found if not drop), default=0)
-    return "\n\n".join(t for path, t, drop, s in found if not drop and s == scope and keep(path, t))
+    """The blocks that stay, of the article and main elements if these hold at least half of the text, else of the page."""
+    left = [(t, s) for path, t, drop, s in found if not drop and keep(path, t)]
+    bounded = [t for t, s in left if s > 0]
+    whole = sum(len(t) for t, _ in left)
+    return "\n\n".join(bounded if bounded and 2 * sum(map(len, bounded)) >= whole else [t for t, _ in left])
+
+
+def induced(found: list, keep) -> int:
+    """Blocks that only the alignment takes out."""
+    return sum(not drop and not keep(path, t) for path, t, drop, _ in found)
 
 
 def _hash(text: str) -> int:
@@ -271,7 +319,7 @@ def templates(pages: DataFrame, url: str = "url", page: str = "html") -> DataFra
             for h, p in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
                 root = parse(p or "")
                 found = blocks(root)
-                rows.append((h, json.dumps(shape(root), separators=(",", ":")), ["/".join(map(str, path)) for path, _, drop, _ in found if not drop], [_hash(t) for _, t, drop, _ in found if not drop]))
+                rows.append((h, json.dumps(shape(root), separators=(",", ":")), ["/".join(map(str, path)) for path, *_ in found], [_hash(t) for _, t, *_ in found]))
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate((pa.string(), pa.string(), pa.list_(pa.string()), pa.list_(pa.int64())))], names=["host", "tree", "paths", "hashes"])
 
     slim = pages.select(host_of(F.col(url)).alias("host"), F.col(page).alias("page"))
@@ -296,35 +344,40 @@ def templates(pages: DataFrame, url: str = "url", page: str = "html") -> DataFra
     return refs.join(fixed, "host", "left").select("host", "ref", F.coalesce("fixed", F.array().cast("array<string>")).alias("fixed"))
 
 
-def extract(pages: DataFrame, url: str = "url", page: str = "html", out: str = "text") -> DataFrame:
-    """pages without the html column, with the main text."""
+def extract(pages: DataFrame, url: str = "url", page: str = "html", out: str = "text", count: str = "n_induced") -> DataFrame:
+    """pages without the html column, with the main text and the number of blocks that the alignment alone took out."""
+    p = safe_prefix(pages, "wi")
     found = materialize(templates(pages, url, page).where(F.size("fixed") > 0))
     size = found.agg(F.coalesce(F.sum(F.length("host") + F.length("ref") + F.length(F.concat_ws(",", "fixed"))), F.lit(0))).first()[0]
-    keep = [c for c in pages.columns if c != page]
-    rows = pages.select(*keep, F.col(page).alias("__page"), host_of(F.col(url)).alias("__host"))
+    keep = [c for c in pages.columns if c not in (page, out, count)]
+    rows = pages.select(*keep, F.col(page).alias(f"{p}page"), host_of(F.col(url)).alias(f"{p}host"))
     small = size <= TEMPLATE_BYTES
     shipped = pages.sparkSession.sparkContext.broadcast({r.host: (r.ref, frozenset(r.fixed)) for r in found.collect()}) if small else None
     if not small:
-        rows = rows.join(found.select(F.col("host").alias("__host"), F.col("ref").alias("__ref"), F.col("fixed").alias("__fixed")), "__host", "left").select(*keep, "__page", "__host", "__ref", "__fixed")
+        named = found.select(*[F.col(c).alias(f"{p}{c}") for c in ("host", "ref", "fixed")])
+        rows = rows.join(named, f"{p}host", "left").select(*keep, *[f"{p}{c}" for c in ("page", "host", "ref", "fixed")])
     n = len(keep)
 
     def run(batches):
         cache = {}
         for b in batches:
-            texts = []
+            texts, gone = [], []
             refs = zip(b.column(n + 2).to_pylist(), b.column(n + 3).to_pylist()) if shipped is None else (shipped.value.get(h, (None, None)) for h in b.column(n + 1).to_pylist())
-            for p, (ref, fixed) in zip(b.column(n).to_pylist(), refs):
-                root = parse(p or "")
+            for raw, (ref, fixed) in zip(b.column(n).to_pylist(), refs):
+                root = parse(raw or "")
+                found = blocks(root)
                 if ref is None:
-                    texts.append(main_text(blocks(root), lambda path, t: True))
+                    stays = lambda path, t: True
                 else:
-                    to = _remembered(cache, json.dumps(shape(root), separators=(",", ":")), ref)
-                    texts.append(main_text(blocks(root), lambda path, t: f"{_place(path, to)}:{_hash(t)}" not in fixed))
-            yield pa.RecordBatch.from_arrays([*b.columns[:n], pa.array(texts, pa.string())], names=[*keep, out])
+                    stays = judge(root, ref, frozenset(fixed), cache)
+                texts.append(main_text(found, stays))
+                gone.append(induced(found, stays))
+            yield pa.RecordBatch.from_arrays([*b.columns[:n], pa.array(texts, pa.string()), pa.array(gone, pa.int32())], names=[*keep, out, count])
 
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pages.select(*keep).schema) + f", `{out}` string"
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pages.select(*keep).schema) + f", `{out}` string, `{count}` int"
     return rows.mapInArrow(run, schema)
 
 
 def op4_html_extract(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return extract(table(spark, sf_dir, "pages").select("page_id", "url", "html")).withColumn("n_chars", F.length("text").cast("long"))
+    out = extract(table(spark, sf_dir, "pages").select("page_id", "url", "html"))
+    return out.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"), "n_induced")
