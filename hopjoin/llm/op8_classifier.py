@@ -10,11 +10,15 @@ Sites: a document's host is its source, its path the pair of source and language
 are averaged per host and per path with grouped aggregation; each mean is shrunk towards its parent (path to host, host to
 all) by a beta prior whose strength is estimated from the spread of the means (method of moments), so sparse sites sit at
 their parent.  The final log-odds are the document's plus the path's shift from the global rate.  All documents count in
-the site statistics; only the token table is learned on the sample.
+the site statistics - one grouped sum over paths for both heads, from which the hosts follow -; only the token table is
+learned on the sample.  The posteriors, one row per path, go back to the documents by broadcast up to SITES paths, by a join
+beyond.
 
 Defined results: without labels every document has probability 1/2 for quality and 0 for toxicity and is kept; a null or
-empty text has no evidence and gets its site's rate; a null source or language is a site of its own; documents labelled
-more than once count once per label row; repeated rows give repeated results; an empty table gives no rows.
+empty text has no evidence and gets its site's rate; a null source or language is a site of its own; a text labelled more
+than once (by several label rows, or in several documents) is learned from once, with the larger label of each head; label
+rows with a null are not learned from; repeated rows give repeated results; an empty table gives no rows; columns named
+like a result column are no concern, only the key, text, host and path columns are read.
 """
 
 from __future__ import annotations
@@ -36,6 +40,8 @@ RIDGE = 0.3
 #: lengths of the word beginnings that are tokens of their own
 PREFIXES = (4, 5, 6, 7)
 HEADS = ("quality", "toxic")
+#: paths whose posteriors are broadcast (some 150 bytes each)
+SITES = 100_000
 TOKEN = re.compile(r"[^\W_]+|[^\w\s]+|_+")
 
 
@@ -134,14 +140,18 @@ def _logit(p: Column) -> Column:
     return F.log(safe / (1 - safe))
 
 
-def shrink(rows: DataFrame, keys: list[str], p: str, parent: str, out: str) -> DataFrame:
-    """keys -> mean of p shrunk towards the mean of the parent column with a moment estimate of the prior's strength."""
-    sites = rows.groupBy(*keys).agg(F.count(F.lit(1)).alias("n"), F.avg(p).alias("m"), F.first(parent).alias("up"))
-    spread = sites.agg(F.avg(F.pow(F.col("m") - F.col("up"), 2)).alias("v"), F.avg(F.col("up") * (1 - F.col("up"))).alias("w"), F.avg(1 / F.col("n")).alias("i")).first()
-    v, w, i = (spread.v or 0.0), (spread.w or 0.0), (spread.i or 0.0)
-    between = max(v - w * i, 0.0)
-    strength = min(1e6, max(1.0, w / between - 1)) if between > 1e-12 else 1e6
-    return sites.select(*keys, ((F.col("n") * F.col("m") + strength * F.col("up")) / (F.col("n") + strength)).alias(out))
+def shrink(sites: DataFrame, keys: list[str], up: dict[str, Column]) -> DataFrame:
+    """sites(keys, n, sum_<head>) -> keys and up_<head>: each mean shrunk towards up[head] with a moment estimate of the prior's strength."""
+    mean = {h: F.col(f"sum_{h}") / F.col("n") for h in HEADS}
+    stats = [x for h in HEADS for x in (F.avg(F.pow(mean[h] - up[h], 2)).alias(f"v_{h}"), F.avg(up[h] * (1 - up[h])).alias(f"w_{h}"))]
+    found = sites.agg(F.avg(1 / F.col("n")).alias("i"), *stats).first()
+    out = []
+    for h in HEADS:
+        v, w, i = (found[f"v_{h}"] or 0.0), (found[f"w_{h}"] or 0.0), (found.i or 0.0)
+        between = max(v - w * i, 0.0)
+        strength = min(1e6, max(1.0, w / between - 1)) if between > 1e-12 else 1e6
+        out.append(((F.col(f"sum_{h}") + strength * up[h]) / (F.col("n") + strength)).alias(f"up_{h}"))
+    return sites.select(*keys, *out)
 
 
 def classify(docs: DataFrame, labels: DataFrame, text: str = "text", key: str = "doc_id", host: str = "source", path: str = "lang", rows: int = ROWS) -> DataFrame:
@@ -162,14 +172,18 @@ def classify(docs: DataFrame, labels: DataFrame, text: str = "text", key: str =
     kind = dict(docs.dtypes)[key]
     slim = docs.select(F.col(key).alias("k"), F.coalesce(F.concat(F.lit("s"), F.col(host)), F.lit("n")).alias("host"), F.coalesce(F.concat(F.lit("s"), F.col(path)), F.lit("n")).alias("path"), F.col(text).alias("t"))
     slim = materialize(slim.mapInArrow(run, f"k {kind}, host string, path string, eq double, et double"))
-    out = slim
-    for h, e in (("quality", "eq"), ("toxic", "et")):
-        base = F.lit(intercept[h])
-        out = out.withColumn(f"p_{h}", 1 / (1 + F.exp(-(base + F.col(e))))).withColumn("up", F.lit(rate[h]))
-        out = out.join(shrink(out, ["host"], f"p_{h}", "up", f"host_{h}"), "host")
-        out = out.join(shrink(out, ["host", "path"], f"p_{h}", f"host_{h}", f"path_{h}"), ["host", "path"])
+    odds = {"quality": F.lit(intercept["quality"]) + F.col("eq"), "toxic": F.lit(intercept["toxic"]) + F.col("et")}
+    sure = {h: 1 / (1 + F.exp(-odds[h])) for h in HEADS}
+    paths = materialize(slim.groupBy("host", "path").agg(F.count(F.lit(1)).alias("n"), *[F.sum(sure[h]).alias(f"sum_{h}") for h in HEADS]))
+    hosts = paths.groupBy("host").agg(F.sum("n").alias("n"), *[F.sum(f"sum_{h}").alias(f"sum_{h}") for h in HEADS])
+    hosts = materialize(shrink(hosts, ["host"], {h: F.lit(rate[h]) for h in HEADS})).withColumnsRenamed({f"up_{h}": f"host_{h}" for h in HEADS})
+    both = paths.join(hosts, "host")
+    sites = shrink(both, ["host", "path", *[f"host_{h}" for h in HEADS]], {h: F.col(f"host_{h}") for h in HEADS}).withColumnsRenamed({f"up_{h}": f"path_{h}" for h in HEADS})
+    sites = materialize(sites)
+    out = slim.join(F.broadcast(sites) if paths.count() <= SITES else sites, ["host", "path"])
+    for h in HEADS:
         shift = _logit(F.col(f"path_{h}")) - _logit(F.lit(rate[h]))
-        out = out.withColumn(f"p_{h}", 1 / (1 + F.exp(-(base + F.col(e) + shift)))).drop("up")
+        out = out.withColumn(f"p_{h}", 1 / (1 + F.exp(-(odds[h] + shift))))
     kept = (F.col("p_quality") >= 0.5) & (F.col("p_toxic") < 0.5)
     return out.select(F.col("k").alias(key), *[f"{a}_{h}" for h in HEADS for a in ("p", "host", "path")], kept.alias("kept"))
 
