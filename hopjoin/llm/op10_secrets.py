@@ -7,10 +7,12 @@ The battery takes unbroken tokens of 20 or more characters that mix letters and
 or lower alphanumeric, base64) and asks four questions whose statistics are near standard normal for uniform random
 symbols: chi-squared uniformity over the alphabet, runs above and below the middle, lag-one serial correlation, and the
 share of digits.  The squared statistics add up to a chi-squared value of four degrees of freedom with a closed p-value.
-Non-randomness is decided per encoding and length class by a Benjamini-Hochberg step on a histogram of p-values over all
-documents; tokens it does not reject, and whose p-value is above a floor that is higher for short tokens (where the tests
-have little power), are reported as kind `random`.  Only the histogram's thresholds (at most 4 encodings x 12 length
-classes) reach the driver.
+Tokens with a large p-value are reported as kind `random`; where the cut lies is decided per encoding and length class, so
+that the false ones among the reported stay below a share q.  Random tokens have uniform p-values and others have few above
+1/2, so twice the tokens above 1/2 (and one more, for classes with few) estimate how many random ones the class holds; the
+reported beyond that number times (1 - cut) count as false.  The lowest cut whose estimated share is at most q is taken, on
+a histogram of p-values over all documents, and a floor that is higher for short tokens, where the tests have little power,
+holds besides.  Only the histogram (at most 5 encodings x 12 length classes x 64 bins) reaches the driver.
 
 Defined results: a null text is empty (no spans); long texts are scanned whole; an empty table gives no rows; repeated rows
 give repeated results; other columns pass through `secret_spans` untouched.
@@ -33,6 +35,8 @@ BASE = (
 KINDS = ("assign", "access", "hex", "random")
 TOKEN = r"(?<![A-Za-z0-9+/_-])(?=[A-Za-z+/_-]*[0-9])(?=[0-9+/_-]*[A-Za-z])[A-Za-z0-9+/_-]{20,}+"
 SPAN = "struct<start:bigint,kind:int,end:bigint>"
+#: matches that are folded together
+FOLD = 128
 MIXED = "0123456789ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz+/"
 ALPHABETS = {"hex": "0123456789abcdef", "HEX": "0123456789ABCDEF", "upper": MIXED[:36], "lower": "0123456789abcdefghijklmnopqrstuvwxyz", "base64": MIXED}
 
@@ -53,7 +57,19 @@ def located(text: Column, pattern: str) -> Column:
                 return F.struct(e.alias("at"), F.concat(acc["out"], F.array(F.struct(x["m"].alias("m"), s.cast("long").alias("start"), e.cast("long").alias("end")))).alias("out"))
 
             pairs = F.zip_with(found, F.slice(g, 1, F.size(found)), lambda m, gap: F.struct(m.alias("m"), gap.alias("g")))
-            return F.aggregate(pairs, start, step, lambda a: a["out"])
+
+            def in_runs(all_pairs: Column) -> Column:
+                # a fold copies what it has gathered: runs of FOLD matches are folded apart and then moved to their places
+                runs = F.transform(F.sequence(F.lit(0), F.floor((F.size(all_pairs) - 1) / FOLD).cast("int")), lambda k: F.aggregate(F.slice(all_pairs, k * FOLD + 1, F.lit(FOLD)), start, step))
+
+                def moved(rs: Column) -> Column:
+                    zero = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast("array<bigint>").alias("out"))
+                    begins = F.aggregate(rs, zero, lambda acc, r: F.struct((acc["at"] + r["at"]).alias("at"), F.concat(acc["out"], F.array(acc["at"])).alias("out")), lambda acc: acc["out"])
+                    return F.flatten(F.zip_with(rs, begins, lambda r, at: F.transform(r["out"], lambda x: F.struct(x["m"].alias("m"), (x["start"] + at).alias("start"), (x["end"] + at).alias("end")))))
+
+                return let(runs, moved)
+
+            return let(pairs, in_runs)
 
         return let(gaps, with_gaps)
 
@@ -110,6 +126,19 @@ def p_floor(n: Column) -> Column:
     return F.when(n < 24, F.lit(0.2)).when(n < 32, F.lit(0.1)).otherwise(F.lit(0.02))
 
 
+def discovery_cut(bins: dict[int, int], q: float) -> float:
+    """The lowest cut 2**-e for p-values, given how many lie in each bin (2**-(bin+1), 2**-bin], at which the estimated share of
+    tokens reported that are not random is at most q; 1 (nothing is reported) if there is none."""
+    half = bins.get(0, 0) + 1
+    cut, above = 1.0, 0
+    for e in range(1, 65):
+        above += bins.get(e - 1, 0)
+        random = min(float(above), 2 * half * (1 - 2.0**-e))
+        if above and (above - random) <= q * above:
+            cut = 2.0**-e
+    return cut
+
+
 def secret_spans(docs: DataFrame, text: str = "text", q: float = 0.05, keep_text: bool = True) -> tuple[DataFrame, str]:
     """docs with <p>base and <p>spans (arrays of start, kind number, end; sorted); returns the frame and the prefix p.
 
@@ -123,21 +152,17 @@ def secret_spans(docs: DataFrame, text: str = "text", q: float = 0.05, keep_text
     free = F.filter(F.col(f"{p}tok"), lambda x: (F.length(F.translate(x["m"], "-_", "")) >= 16) & ~F.exists(b, lambda y: (y["start"] < x["end"]) & (x["start"] < y["end"])))
     found = found.withColumn(f"{p}tok", F.transform(free, lambda x: let(battery(x["m"]), lambda r: F.struct(x["start"].alias("start"), x["end"].alias("end"), r["encoding"].alias("encoding"), r["n"].alias("n"), r["p"].alias("p")))))
     found = materialize(found if keep_text else found.drop(text))
-    # Benjamini-Hochberg on 64 logarithmic bins of p per encoding and length class
+    # 64 logarithmic bins of p per encoding and length class
     tests = found.select(F.explode(F.col(f"{p}tok")).alias("x")).select("x.encoding", length_class(F.col("x.n")).alias("cls"), F.least(F.floor(-F.log2(F.greatest(F.col("x.p"), F.lit(1e-19)))), F.lit(63)).cast("int").alias("bin"))
     counts = tests.groupBy("encoding", "cls", "bin").agg(F.count(F.lit(1)).alias("n")).collect()  # at most 5 x 12 x 64 rows
-    limit = {}
-    for e, cls in {(r.encoding, r.cls) for r in counts}:
-        mine = {r.bin: r.n for r in counts if (r.encoding, r.cls) == (e, cls)}
-        m, cut = sum(mine.values()), 0.0
-        for edge in range(63, -1, -1):  # p of bin `edge` and beyond is at most 2**-edge
-            if sum(v for k, v in mine.items() if k >= edge) * q >= m * 2.0**-edge:
-                cut = 2.0**-edge
-        limit[f"{e}:{cls}"] = cut
+    bins: dict[str, dict[int, int]] = {}
+    for r in counts:
+        bins.setdefault(f"{r.encoding}:{r.cls}", {})[r.bin] = r.n
+    limit = {k: discovery_cut(v, q) for k, v in bins.items()}
     table_of = F.create_map(*[F.lit(v) for kv in limit.items() for v in kv]) if limit else None
 
     def random_enough(x: Column) -> Column:
-        cut = F.coalesce(F.try_element_at(table_of, F.concat_ws(":", x["encoding"], length_class(x["n"]))), F.lit(0.0)) if limit else F.lit(0.0)
+        cut = F.coalesce(F.try_element_at(table_of, F.concat_ws(":", x["encoding"], length_class(x["n"]))), F.lit(1.0)) if limit else F.lit(1.0)
         return (x["p"] > cut) & (x["p"] >= p_floor(x["n"]))
 
     more = F.transform(F.filter(F.col(f"{p}tok"), random_enough), lambda x: F.struct(x["start"].alias("start"), F.lit(3).alias("kind"), x["end"].alias("end")))
