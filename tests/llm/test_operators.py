@@ -171,6 +171,48 @@ def test_html_template(spark, sf):
     assert all(r.n_chars == len(r.text) for r in out)
 
 
+CHROME = "<html><body><div><div>Home</div><div>About us and more</div></div>{extra}<div><h2>Title {i}</h2><p>Text number {i} of the page.</p></div><div>Copyright by someone</div></body></html>"
+
+
+def test_html_template_without_telling_names(spark):
+    """Nothing in the markup says what is template: only the alignment of the host's pages does."""
+    rows = [(i, "http://plain.example.com/x", CHROME.format(i=i, extra="<section>Special offer of the day</section>" if i == 5 else "")) for i in range(12)]
+    rows += [(100 + i, f"http://few{i}.example.com/", CHROME.format(i=i, extra="")) for i in range(3)]
+    got = {r.page_id: r for r in op4_html.extract(spark.createDataFrame(rows, "page_id bigint, url string, html string")).collect()}
+    assert got[3].text == "Title 3\n\nText number 3 of the page." and got[3].n_induced == 3
+    assert got[5].text == "Special offer of the day\n\nTitle 5\n\nText number 5 of the page."
+    assert got[101].text.startswith("Home") and got[101].n_induced == 0
+
+
+def test_html_keeps_unusual_content():
+    text = lambda page: op4_html.main_text(op4_html.blocks(op4_html.parse(page)), lambda p, t: True)
+    assert text("<article><p>one <svg><p>two</p></article>") == "one\n\ntwo"
+    assert text("<article><p>a <math><mi>x</mi></math> b</p><object>shown</object><title>t</article>") == "a x b\n\nshownt"
+    assert text("<main><h1>Head</h1><p>Lead</p><article><p>Body of the text</p></article></main>") == "Head\n\nLead\n\nBody of the text"
+    assert text("<article><p>teaser</p></article><div><p>" + "long body " * 9 + "</p></div>").startswith("teaser\n\nlong body")
+    assert text("<p>x</p><script>var a = 1") == "x"
+
+
+def brute_match(a, b):
+    if a[0] != b[0]:
+        return 0
+
+    def best(i, j):
+        if i == len(a[1]) or j == len(b[1]):
+            return 0
+        return max(best(i + 1, j), best(i, j + 1), brute_match(a[1][i], b[1][j]) + best(i + 1, j + 1))
+
+    return 1 + best(0, 0)
+
+
+def test_tree_matching_by_force():
+    rng = random.Random(3)
+    tree = lambda depth: [rng.choice("xy"), [tree(depth - 1) for _ in range(rng.randrange(4))] if depth else []]
+    for _ in range(200):
+        a, b = tree(3), tree(3)
+        assert op4_html.match(a, b)[0] == brute_match(a, b)
+
+
 def test_tree_matching():
     a = ["r", [["x", []], ["y", [["z", []]]], ["w", []]]]
     b = ["r", [["y", [["z", []]]], ["q", []], ["w", []]]]
@@ -281,6 +323,29 @@ def test_classifier(spark, sf, odd):
     assert len(none) == odd.count() and all(r.kept for r in none)
 
 
+def test_classifier_held_out(spark, docs):
+    """Learned on three quarters of the labels, judged on the others; and on no documents at all."""
+    labels = spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    fold = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 == 2
+    got = op8_classifier.classify(docs, labels.where(~fold)).join(labels.where(fold), "doc_id").collect()
+    right = lambda h: sum((r[f"p_{h}"] >= 0.5) == bool(r[h]) for r in got) / len(got)
+    assert len(got) > 80 and right("quality") >= 0.85 and right("toxic") >= 0.9, (right("quality"), right("toxic"))
+    assert op8_classifier.classify(docs.limit(0), labels).count() == 0
+
+
+def test_shrinkage_by_hand(spark):
+    sites = [("a", 100, 80.0, 1.0), ("b", 4, 0.0, 0.0), ("c", 1, 1.0, 0.0), ("d", 50, 20.0, 10.0)]
+    df = spark.createDataFrame(sites, "host string, n bigint, sum_quality double, sum_toxic double")
+    got = {r.host: r for r in op8_classifier.shrink(df, ["host"], {"quality": F.lit(0.6), "toxic": F.lit(0.1)}).collect()}
+    for i, (h, up) in enumerate((("quality", 0.6), ("toxic", 0.1))):
+        m, n = [s[2 + i] / s[1] for s in sites], [s[1] for s in sites]
+        between = max(sum((x - up) ** 2 for x in m) / 4 - up * (1 - up) * sum(1 / k for k in n) / 4, 0.0)
+        strength = min(1e6, max(1.0, up * (1 - up) / between - 1)) if between > 1e-12 else 1e6
+        for s, k in zip(sites, n):
+            assert got[s[0]][f"up_{h}"] == pytest.approx((s[2 + i] + strength * up) / (k + strength))
+
+
 def test_logistic_finds_the_word():
     rows = np.repeat(np.arange(200), 2)
     cols = np.stack([np.arange(200) % 2, 2 + np.arange(200) % 5], 1).reshape(-1)
@@ -325,6 +390,29 @@ def test_secrets_brute_force(spark, docs):
     assert special.s == "random:4:44" and "[SECRET]" in special.r and "design-2020" in special.r
 
 
+def test_false_discoveries_stay_few(spark):
+    """Random tokens beside ones that only look the part: most of the first are reported, few of the second among them."""
+    rng = random.Random(12)
+    mixed = op10_secrets.MIXED[:62]
+    made = lambda n: "".join(rng.choice(mixed) for _ in range(n))
+    words = ["report", "Final", "version", "data", "Station", "north", "release", "candidate", "Build", "summary"]
+    fake = lambda: "".join(rng.choice(words) for _ in range(6)) + str(rng.randrange(1900, 2030))
+    rows = [(i, f"see {made(40)} here", True) for i in range(400)] + [(1000 + i, f"see {fake()} here", False) for i in range(1200)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, random boolean")
+    found, p = op10_secrets.secret_spans(df)
+    got = found.where(F.size(f"{p}spans") > F.size(f"{p}base")).groupBy("random").count().collect()
+    n = {r.random: r["count"] for r in got}
+    assert n[True] >= 0.85 * 400 and n.get(False, 0) <= 0.08 * (n[True] + n.get(False, 0)), n
+    assert op10_secrets.discovery_cut({}, 0.05) == 1.0 and op10_secrets.discovery_cut({60: 500}, 0.05) == 1.0
+    assert op10_secrets.discovery_cut({0: 50, 1: 25, 2: 13, 3: 6, 60: 900}, 0.05) <= 2.0**-4
+
+
+def test_many_matches_in_one_text(spark):
+    text = "é " + " x ".join(f"token={'a' * 8}{i:05d}" for i in range(1000))
+    found, p = op10_secrets.secret_spans(spark.createDataFrame([(1, text)], "doc_id bigint, text string"))
+    assert found.select(op10_secrets.span_list(F.col(f"{p}base"))).first()[0] == brute_secrets(text)
+
+
 def test_clash_and_empty(spark, odd):
     for f in (lambda d: op5_quality.quality_rules(d)[0], lambda d: op10_secrets.secret_spans(d)[0], lambda d: op3_mix.mix_plan(d)[0]):
         assert f(odd).count() == odd.count() and f(odd.limit(0)).count() == 0
