@@ -42,8 +42,12 @@ def fuzzify(df: DataFrame, column: str, key: Column, plan: list[Column], out: st
     return df.withColumn(out, F.when(F.pmod(key, F.lit(of)) < rate, choose(key, plan)).otherwise(F.col(column)))
 
 
+def hashed(key: Column, seed: int) -> Column:
+    """32 bits of a digest of seed and key: the same under any partitioning, and in any engine that has MD5."""
+    return F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}:"), key.cast("string")).cast("binary")), 1, 8), 16, 10).cast("long")
+
+
 def fuzzify_random(df: DataFrame, column: str, key: Column, plan: list[Column], out: str, rate: float, seed: int) -> DataFrame:
-    """The same with hashed randomness: stable under any partitioning, unlike rand()."""
-    draw = F.pmod(F.xxhash64(key, F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)
-    kind = F.pmod(F.xxhash64(key, F.lit(seed + 1)), F.lit(len(plan)))
+    """The same with hashed randomness instead of rand()."""
+    draw, kind = hashed(key, seed) / float(1 << 32), F.pmod(hashed(key, seed + 1), F.lit(len(plan)))
     return df.withColumn(out, F.when(draw < rate, choose(kind, plan)).otherwise(F.col(column)))

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from hopjoin.operators.storage import materialize
 from hopjoin.plans.config import TableRef
 
 FAMILIES = (("integral", (T.ByteType, T.ShortType, T.IntegerType, T.LongType)), ("fractional", (T.FloatType, T.DoubleType, T.DecimalType)), ("temporal", (T.DateType, T.TimestampType, T.TimestampNTZType)), ("boolean", (T.BooleanType,)), ("binary", (T.BinaryType,)), ("string", (T.StringType,)))
@@ -17,8 +18,8 @@ def family(kind: T.DataType) -> str:
     return next((name for name, kinds in FAMILIES if isinstance(kind, kinds)), "other")
 
 
-def reflect(spark: SparkSession, tables: list[TableRef]) -> DataFrame:
-    """columns(db, table, column, type, family, ordinal) from schemas alone; struct fields are flattened, maps and arrays are `other`."""
+def flat_columns(schema: T.StructType) -> list[tuple[str, T.DataType]]:
+    """(column, type) of all columns, the fields of structs as struct.field."""
 
     def flat(fields, prefix=""):
         for f in fields:
@@ -27,7 +28,12 @@ def reflect(spark: SparkSession, tables: list[TableRef]) -> DataFrame:
             else:
                 yield f"{prefix}{f.name}", f.dataType
 
-    rows = [(r.db, r.table, c, k.simpleString(), family(k), i) for r in tables for i, (c, k) in enumerate(flat(r.df.schema.fields))]
+    return list(flat(schema.fields))
+
+
+def reflect(spark: SparkSession, tables: list[TableRef]) -> DataFrame:
+    """columns(db, table, column, type, family, ordinal) from schemas alone; struct fields are flattened, maps and arrays are `other`."""
+    rows = [(r.db, r.table, c, k.simpleString(), family(k), i) for r in tables for i, (c, k) in enumerate(flat_columns(r.df.schema))]
     return spark.createDataFrame(rows, "db string, table string, column string, type string, family string, ordinal int")
 
 
@@ -55,17 +61,19 @@ def fk_orphans(src: DataFrame, dst: DataFrame, src_columns: list[str], dst_colum
 
 def infer_fk(tables: list[TableRef], min_containment: float = 1.0) -> DataFrame:
     """Proposed keys by inclusion: (src_node, src_column, dst_node, dst_column, containment) where a column's values are found in a
-    unique column of another table of the same database.  One shuffle over distinct values; sets of columns per value are metadata-sized."""
+    unique column of another table of the same database.  One scan a table and one shuffle over distinct values."""
     parts = []
     for r in tables:
-        for f in r.df.schema.fields:
-            if family(f.dataType) in ("integral", "string"):
-                parts.append(r.df.select(F.lit(r.db).alias("db"), F.lit(r.node).alias("node"), F.lit(f.name).alias("column"), F.lit(family(f.dataType)).alias("family"), F.col(f.name).cast("string").alias("v")).where("v is not null"))
+        cells = [F.struct(F.lit(c).alias("column"), F.lit(family(k)).alias("family"), F.col(c).cast("string").alias("v")) for c, k in flat_columns(r.df.schema) if family(k) in ("integral", "string")]
+        if cells:
+            parts.append(r.df.select(F.lit(r.db).alias("db"), F.lit(r.node).alias("node"), F.explode(F.array(*cells)).alias("x")).select("db", "node", "x.*").where("v is not null"))
     long = reduce(DataFrame.unionByName, parts).groupBy("db", "family", "node", "column", "v").agg(F.count(F.lit(1)).alias("n"))
+    long = materialize(long)
     profile = long.groupBy("db", "family", "node", "column").agg(F.count(F.lit(1)).alias("d"), F.max("n").alias("most"))
-    per_value = long.groupBy("db", "family", "v").agg(F.collect_set(F.struct("node", "column")).alias("cols"))
-    pairs = per_value.select("db", "family", F.explode("cols").alias("x"), "cols").select("db", "family", "x", F.explode("cols").alias("y")).where("x.node <> y.node")
-    common = pairs.groupBy("db", "family", F.col("x.node").alias("src_node"), F.col("x.column").alias("src_column"), F.col("y.node").alias("dst_node"), F.col("y.column").alias("dst_column")).agg(F.count(F.lit(1)).alias("common"))
+    # values found in the same columns are counted together: pairs of columns are made once per distinct set, not once per value
+    sets = long.groupBy("db", "family", "v").agg(F.sort_array(F.collect_set(F.struct("node", "column"))).alias("cols")).groupBy("db", "family", "cols").agg(F.count(F.lit(1)).alias("k"))
+    pairs = sets.select("db", "family", "k", F.explode("cols").alias("x"), "cols").select("db", "family", "k", "x", F.explode("cols").alias("y")).where("x.node <> y.node")
+    common = pairs.groupBy("db", "family", F.col("x.node").alias("src_node"), F.col("x.column").alias("src_column"), F.col("y.node").alias("dst_node"), F.col("y.column").alias("dst_column")).agg(F.sum("k").alias("common"))
     src = profile.select("db", "family", F.col("node").alias("src_node"), F.col("column").alias("src_column"), F.col("d").alias("src_d"))
     dst = profile.where("most = 1").select("db", "family", F.col("node").alias("dst_node"), F.col("column").alias("dst_column"))
     out = common.join(src, ["db", "family", "src_node", "src_column"]).join(dst, ["db", "family", "dst_node", "dst_column"])

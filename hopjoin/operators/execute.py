@@ -8,28 +8,35 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from hopjoin.operators import values
+from hopjoin.operators.catalog import flat_columns
+from hopjoin.operators.storage import materialize
 from hopjoin.plans.config import DiscoveryConfig
 
 
-def qualify(df: DataFrame, node: str) -> DataFrame:
-    """Columns renamed to table__column, unambiguous on long chains."""
-    table = node.rsplit(".", 1)[-1]
-    return df.select(*[F.col(f"`{c}`").alias(f"{table}__{c}") for c in df.columns])
+def labels(nodes: list[str]) -> dict[str, str]:
+    """Node -> prefix of its columns: the table's name, or db__table where several nodes have tables of one name."""
+    tables = [n.rsplit(".", 1)[-1] for n in set(nodes)]
+    return {n: n.replace(".", "__") if tables.count(n.rsplit(".", 1)[-1]) > 1 else n.rsplit(".", 1)[-1] for n in nodes}
+
+
+def qualify(df: DataFrame, label: str) -> DataFrame:
+    """Columns renamed to label__column, unambiguous on long chains; struct fields become label__struct.field."""
+    plain = set(df.columns)
+    return df.select(*[F.col(f"`{c}`" if c in plain else c).alias(f"{label}__{c}") for c, _ in flat_columns(df.schema)])
 
 
 def fk_hop(rows: DataFrame, right: DataFrame, left_on: list[str], right_on: list[str], how: str = "inner") -> DataFrame:
-    cond = reduce(lambda x, y: x & y, [rows[a] == right[b] for a, b in zip(left_on, right_on)])
+    cond = reduce(lambda x, y: x & y, [rows[f"`{a}`"] == right[f"`{b}`"] for a, b in zip(left_on, right_on)])
     return rows.join(right, cond, how)
 
 
 def match_table(left: DataFrame, right: DataFrame, left_on: str, right_on: str, cfg: DiscoveryConfig, pairs: DataFrame | None = None) -> DataFrame:
     """(x, y, sim): the assignment on distinct values; filters of the rows never move below it."""
-    from hopjoin.plans import planner
-
-    x, y = values.dictionary(left, left_on, cfg.normalize), values.dictionary(right, right_on, cfg.normalize)
+    x, y = values.dictionary(left, f"`{left_on}`", cfg.normalize), values.dictionary(right, f"`{right_on}`", cfg.normalize)
+    if cfg.assignment == "best" and pairs is None:
+        return values.best_match(x, y).where(F.col("sim") > cfg.min_score).select("x", F.col("best_y").alias("y"), "sim")
     if pairs is None:
-        n = [d.count() for d in (x, y)]
-        pairs = values.scored_pairs(x, y, min_score=cfg.min_score, way=planner.way(*n, cfg.min_score, cfg.max_pairs))
+        pairs = materialize(values.scored_pairs(x, y, min_score=cfg.min_score, way="bounded"))
     return values.ASSIGNMENTS[cfg.assignment](pairs, cfg.min_score)
 
 
@@ -37,27 +44,32 @@ def fuzzy_hop(rows: DataFrame, right: DataFrame, left_on: str, right_on: str, cf
     """rows joined to right through the match table of distinct values; adds the score."""
     m = match_table(rows, right, left_on, right_on, cfg) if matches is None else matches
     m = m.select(F.col("x").alias("__x"), F.col("y").alias("__y"), F.col("sim").alias(score))
-    step = rows.join(m, rows[left_on].cast("string") == F.col("__x"), how)
-    return step.join(right, F.col("__y") == right[right_on].cast("string"), how).drop("__x", "__y")
+    step = rows.join(m, F.col(f"`{left_on}`").cast("string") == F.col("__x"), how)
+    return step.join(right, F.col("__y") == F.col(f"`{right_on}`").cast("string"), how).drop("__x", "__y")
 
 
 def run_path(g, path, select: list[str] | None = None, how: str = "inner", cfg: DiscoveryConfig = None) -> DataFrame:
-    """All hops of a path, left-deep; fuzzy hop i adds fuzzy_score_i (the only one: fuzzy_score), and path_score is their product."""
+    """All hops of a path, left-deep; fuzzy hop i adds fuzzy_score_i (the only one: fuzzy_score), and path_score is their product.
+
+    The matches that validation left in the graph are joined again, not made again.
+    """
     cfg = cfg or DiscoveryConfig()
-    rows = qualify(g.tables[path.source].df, path.source)
+    label = labels(path.nodes)
+    rows = qualify(g.tables[path.source].df, label[path.source])
     n_fuzzy, scores = sum(h.kind == "fuzzy" for h in path.hops), []
-    name = lambda node, c: f"{node.rsplit('.', 1)[-1]}__{c}"
+    name = lambda node, c: f"{label[node]}__{c}"
     for h in path.hops:
-        right = qualify(g.tables[h.to_node].df, h.to_node)
+        right = qualify(g.tables[h.to_node].df, label[h.to_node])
         a, b = [name(h.from_node, c) for c in h.from_columns], [name(h.to_node, c) for c in h.to_columns]
         if h.kind == "fk":
             rows = fk_hop(rows, right, a, b, how)
         else:
             scores.append("fuzzy_score" if n_fuzzy == 1 else f"fuzzy_score_{len(scores) + 1}")
-            rows = fuzzy_hop(rows, right, a[0], b[0], cfg, how, scores[-1], g.matches.get(h.edge_id))
+            rows = fuzzy_hop(rows, right, a[0], b[0], cfg, how, scores[-1], g.matches_of(h, cfg))
     if scores:
         rows = rows.withColumn("path_score", reduce(lambda x, y: x * y, [F.col(s) for s in scores]))
-    return rows.select(*select, *scores, "path_score") if select and scores else rows.select(*select) if select else rows
+    picked = [F.col(f"`{c}`") for c in select or ()]
+    return rows.select(*picked, *scores, "path_score") if picked and scores else rows.select(*picked) if picked else rows
 
 
 def composite_key(columns: list[str], sep: str = " ") -> Column:

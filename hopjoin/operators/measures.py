@@ -45,6 +45,12 @@ def work(x: DataFrame, y: DataFrame, t: float) -> DataFrame:
     return n.select(F.explode(F.map_from_arrays(F.array(*[F.lit(c) for c in n.columns]), F.array(*n.columns))).alias("bound", "pairs_kept"))
 
 
+def comparisons(x: DataFrame, y: DataFrame, floor: float | None = None) -> DataFrame:
+    """One row: pairs there are, and pairs whose similarity the block comparison computed - with a floor for all pairs above it, else for the best of each x."""
+    n = x.agg(F.count(F.lit(1)).alias("a")).crossJoin(y.agg(F.count(F.lit(1)).alias("b")))
+    return n.select((F.col("a") * F.col("b")).alias("pairs")).crossJoin(block.compared(x, y, floor))
+
+
 def sketch_error(exact: DataFrame, estimate: DataFrame) -> DataFrame:
     return exact.select("edge_id", F.col("overlap").alias("exact")).join(estimate.select("edge_id", F.col("overlap").alias("estimate")), "edge_id").withColumn("error", F.abs(F.col("exact") - F.col("estimate")))
 

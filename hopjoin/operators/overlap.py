@@ -29,10 +29,21 @@ def ratio() -> Column:
     return F.coalesce(F.col("n_common") / F.nullif(union, F.lit(0)), F.lit(0.0))
 
 
+def value_rows(frames: dict[str, DataFrame], wanted: list[tuple[str, list[str]]]) -> DataFrame:
+    """(col_id, v), nulls left out, of the wanted (node, columns) pairs: each table is scanned once, reading only those columns."""
+    by_node: dict[str, list[list[str]]] = {}
+    for node, cols in wanted:
+        by_node.setdefault(node, []).append(cols)
+    parts = []
+    for node, lists in by_node.items():
+        cells = F.array(*[F.struct(F.lit(col_id(node, c)).alias("col_id"), key_of(c).alias("v")) for c in lists])
+        parts.append(frames[node].select(F.explode(cells).alias("x")).select("x.col_id", "x.v").where("v is not null"))
+    return reduce(DataFrame.unionAll, parts)
+
+
 def value_table(frames: dict[str, DataFrame], wanted: list[tuple[str, list[str]]]) -> DataFrame:
-    """Distinct (col_id, v) of the wanted (node, columns) pairs; only those columns are read."""
-    parts = [frames[node].select(F.lit(col_id(node, cols)).alias("col_id"), key_of(cols).alias("v")).where("v is not null") for node, cols in wanted]
-    return reduce(DataFrame.unionAll, parts).distinct()
+    """Distinct (col_id, v) of the wanted (node, columns) pairs."""
+    return value_rows(frames, wanted).distinct()
 
 
 def col_id(node: str, columns: list[str]) -> str:
@@ -42,11 +53,13 @@ def col_id(node: str, columns: list[str]) -> str:
 def jaccard_all(values: DataFrame, pairs: DataFrame) -> DataFrame:
     """pairs(edge_id, left_id, right_id) -> n_common, n_left, n_right, overlap, all edges in one job.
 
-    A value's set of columns is at most the number of profiled columns; it meets the pair list, which is metadata.
+    A value's set of columns is at most the number of profiled columns, and few sets differ; each column of a set looks up
+    the pairs it leads.
     """
     sizes = values.groupBy("col_id").agg(F.count(F.lit(1)).alias("n"))
-    sets = values.groupBy("v").agg(F.collect_set("col_id").alias("cols")).groupBy("cols").agg(F.count(F.lit(1)).alias("n"))  # few distinct sets
-    common = sets.join(pairs, F.array_contains("cols", F.col("left_id")) & F.array_contains("cols", F.col("right_id"))).groupBy("edge_id").agg(F.sum("n").alias("n_common"))
+    sets = values.groupBy("v").agg(F.sort_array(F.collect_set("col_id")).alias("cols")).groupBy("cols").agg(F.count(F.lit(1)).alias("n"))  # few distinct sets
+    led = sets.select(F.explode("cols").alias("left_id"), "cols", "n").join(pairs, "left_id").where(F.array_contains("cols", F.col("right_id")))
+    common = led.groupBy("edge_id").agg(F.sum("n").alias("n_common"))
     side = lambda c, out: sizes.select(F.col("col_id").alias(c), F.col("n").alias(out))
     out = pairs.join(side("left_id", "n_left"), "left_id", "left").join(side("right_id", "n_right"), "right_id", "left").join(common, "edge_id", "left")
     zero = F.lit(0).cast("long")

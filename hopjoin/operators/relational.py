@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import reduce
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from hopjoin.functions.names import cosine
+#: queries of a nearest-row search that meet the rows together
+QUERY_BLOCK = 4096
+ROW_BLOCK = 20_000
 
 
 def project(df: DataFrame, mapping: dict[str, Column | str]) -> DataFrame:
@@ -77,6 +82,27 @@ def rank_top_k(df: DataFrame, keys: list[str], order: list[Column], k: int) -> D
     return df.withColumn("rank", F.row_number().over(Window.partitionBy(*keys).orderBy(*order))).where(F.col("rank") <= k)
 
 
+def ranks(df: DataFrame, keys: list[str], order: list[Column], tiles: int) -> DataFrame:
+    """df with rank, dense_rank and ntile under one ordering."""
+    w = Window.partitionBy(*keys).orderBy(*order)
+    return df.withColumns({"rank": F.rank().over(w), "dense_rank": F.dense_rank().over(w), "ntile": F.ntile(tiles).over(w)})
+
+
+def lateral_best(left: DataFrame, right: DataFrame, score: Callable[[Column, Column], Column], left_on: str, right_on: str, k: int = 1) -> DataFrame:
+    """Each row of left beside its k best rows of right (a small dictionary) as a lateral join: ties to the least right value."""
+    mine = right.withColumn("score", score(F.col(left_on).outer(), F.col(right_on)))
+    return left.lateralJoin(mine.orderBy(F.desc("score"), right_on).limit(k))
+
+
+def approximate(df: DataFrame, value: str, item: str, k: int = 3, accuracy: int = 10_000) -> DataFrame:
+    """One row of approximate aggregates: distinct items (HLL sketch), the k most frequent items, median and 90th percentile of a value."""
+    return df.agg(
+        F.hll_sketch_estimate(F.hll_sketch_agg(item, 14)).alias("n_items"),
+        F.expr(f"transform(approx_top_k({item}, {k}), t -> t.item)").alias("top"),
+        F.percentile_approx(value, [0.5, 0.9], accuracy).alias("quantiles"),
+    )
+
+
 def running(df: DataFrame, keys: list[str], order: list, expr: Column, out: str, frame: tuple[int, int] | None = None) -> DataFrame:
     w = Window.partitionBy(*keys).orderBy(*order)
     return df.withColumn(out, expr.over(w.rowsBetween(*(frame or (Window.unboundedPreceding, Window.currentRow)))))
@@ -114,7 +140,41 @@ def explode_tokens(df: DataFrame, column: str, keys: list[str]) -> DataFrame:
 
 
 def vector_top_k(df: DataFrame, queries: DataFrame, key: str, vector: str, k: int) -> DataFrame:
-    """The k nearest rows by cosine for a stated query set; ties to the least key."""
+    """The k nearest rows by cosine for a stated query set; ties to the least key.
+
+    Queries are dealt to blocks of QUERY_BLOCK, each block meets the rows one Arrow batch at a time as a matrix product, and
+    only the best k of a batch leave it.
+    """
     q = queries.select(F.col(key).alias("q"), F.col(vector).alias("u"))
-    pairs = q.join(df.select(F.col(key).alias("neighbour"), F.col(vector).alias("w")), F.col("q") != F.col("neighbour")).select("q", "neighbour", F.round(cosine(F.col("u"), F.col("w")), 6).alias("cosine"))
-    return rank_top_k(pairs, ["q"], [F.desc("cosine"), F.col("neighbour")], k)
+    n = max(1, -(-q.count() // QUERY_BLOCK))
+    packed = q.withColumn("b", F.pmod(F.xxhash64("q"), F.lit(n)).cast("int")).groupBy("b").agg(F.collect_list(F.struct("q", "u")).alias("z")).select("b", "z.q", "z.u")
+    spread = df.select(F.col(key).alias("neighbour"), F.col(vector).alias("w")).withColumn("b", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
+    kind = dict(df.dtypes)[key]
+
+    def unit(m):
+        return m / np.maximum(np.sqrt((m * m).sum(1, keepdims=True)), 1e-300)
+
+    def run(left: pa.Table, right: pa.Table):
+        if not left.num_rows or not right.num_rows:
+            return pa.table([pa.array([], t) for t in (left.schema.field("q").type.value_type if left.num_rows else pa.int64(), right.schema.field("neighbour").type, pa.float64())], names=["q", "neighbour", "cosine"])
+        names = np.concatenate([np.array(x) for x in left.column("q").to_pylist()])
+        u = unit(np.array([v for x in left.column("u").to_pylist() for v in x], float))
+        near = np.array(right.column("neighbour").to_pylist())
+        w = unit(np.array(right.column("w").to_pylist(), float))
+        out = []
+        for at in range(0, len(names), 64):
+            cos = np.round(u[at : at + 64] @ w.T, 6)
+            for i, row in enumerate(cos):
+                row = np.where(near == names[at + i], -np.inf, row)
+                edge = np.partition(row, -min(k, len(row)))[-min(k, len(row))]
+                some = np.flatnonzero((row >= edge) & np.isfinite(row))
+                for j in some[np.lexsort((near[some], -row[some]))][:k]:
+                    out.append((names[at + i], near[j], row[j]))
+        return pa.table([pa.array([r[i] for r in out]) for i in range(3)], names=["q", "neighbour", "cosine"]).cast(pa.schema([("q", right.schema.field("neighbour").type), ("neighbour", right.schema.field("neighbour").type), ("cosine", pa.float64())]))
+
+    # the rows that meet a block are dealt further: a task holds about ROW_BLOCK of them, and small tables still use all cores
+    parts = max(-(-df.count() // ROW_BLOCK), df.sparkSession.sparkContext.defaultParallelism // n, 1)
+    spread = spread.withColumn("p", F.pmod(F.xxhash64("neighbour"), F.lit(parts)).cast("int"))
+    copies = packed.withColumn("p", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))))
+    found = copies.groupBy("b", "p").cogroup(spread.groupBy("b", "p")).applyInArrow(run, f"q {kind}, neighbour {kind}, cosine double")
+    return rank_top_k(found, ["q"], [F.desc("cosine"), F.col("neighbour")], k)

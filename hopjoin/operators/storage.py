@@ -10,7 +10,11 @@ from pyspark.sql import DataFrame
 def materialize(df: DataFrame) -> DataFrame:
     """df written as Parquet and read again: iterations neither grow a plan nor depend on live executors."""
     spark = df.sparkSession
-    folder = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if not folder:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        folder = "/tmp/checkpoints"
     path = f"{folder}/tables/{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from hopjoin.functions.strings import lcs_sql, lcs_udf, ratio_from_lcs, token_sort
 from hopjoin.operators import block
+from hopjoin.operators.storage import materialize
 
 
 def dictionary(df: DataFrame, column: str, normalize: str | None = None) -> DataFrame:
@@ -18,52 +19,56 @@ def dictionary(df: DataFrame, column: str, normalize: str | None = None) -> Data
 
 
 def scored_pairs(x: DataFrame, y: DataFrame, min_score: float | None = None, native: bool = False, way: str = "brute") -> DataFrame:
-    """(x, cx, y, cy, sim) of two dictionaries.  Pairs of equal sorted form have sim 1 and skip the table of the LCS.
+    """(x, cx, y, cy, sim) of two dictionaries; with min_score only pairs above it.
 
-    min_score turns on the lossless bounds; way="brute" pairs all, "bounded" joins on length classes, "lsh" on MinHash bands.
+    way="brute" pairs all, "bounded" (needs min_score) compares blocks behind the character-bag bound - both exact -, "lsh"
+    joins on MinHash bands (lossy: its recall is measured, nothing is decided on it).
     """
-    a = x.select(F.col("v").alias("x"), F.col("cnt").alias("cx"), F.col("s").alias("sx"))
-    b = y.select(F.col("v").alias("y"), F.col("cnt").alias("cy"), F.col("s").alias("sy"))
-    if way == "lsh":
-        pairs = block.lsh_pairs(a, b)
-    elif way == "bounded":
+    if way == "bounded":
         if min_score is None:
             raise ValueError("bounded pairs need min_score")
-        pairs = block.length_pairs(a, b, min_score)
-    else:
-        pairs = a.crossJoin(b)
+        return with_counts(block.pairs_above(x, y, min_score), x, y).select("x", "cx", "y", "cy", "sim")
+    a = x.select(F.col("v").alias("x"), F.col("cnt").alias("cx"), F.col("s").alias("sx"))
+    b = y.select(F.col("v").alias("y"), F.col("cnt").alias("cy"), F.col("s").alias("sy"))
+    pairs = block.lsh_pairs(a, b) if way == "lsh" else a.crossJoin(b)
     if min_score is not None:
         pairs = pairs.where(block.bounds(F.col("sx"), F.col("sy"), min_score))
-    same = pairs.where("sx = sy").withColumn("sim", F.lit(1.0))
     lcs = lcs_sql(F.col("sx"), F.col("sy")) if native else lcs_udf(F.col("sx"), F.col("sy"))
-    rest = pairs.where("sx <> sy").withColumn("lcs", lcs).withColumn("sim", ratio_from_lcs(F.col("lcs"), F.col("sx"), F.col("sy"))).drop("lcs")
-    out = same.unionByName(rest).select("x", "cx", "y", "cy", "sim")
+    out = pairs.withColumn("lcs", lcs).withColumn("sim", ratio_from_lcs(F.col("lcs"), F.col("sx"), F.col("sy"))).select("x", "cx", "y", "cy", "sim")
     return out if min_score is None else out.where(F.col("sim") > min_score)
 
 
+def with_counts(pairs: DataFrame, x: DataFrame, y: DataFrame) -> DataFrame:
+    """pairs(x, y, ...) with the dictionaries' counts cx and cy."""
+    return pairs.join(x.select(F.col("v").alias("x"), F.col("cnt").alias("cx")), "x").join(y.select(F.col("v").alias("y"), F.col("cnt").alias("cy")), "y")
+
+
 def _first(score: str, name: str) -> Column:
     """Largest score, ties to the least name."""
     return F.min(F.struct((-F.col(score)).alias("m"), F.col(name).alias("n")))
 
 
-def best_match(x: DataFrame, y: DataFrame, **options) -> DataFrame:
-    """(x, best_y, sim) per distinct x.  Values that hit exactly leave early: only the rest meets the whole dictionary."""
+def best_match(x: DataFrame, y: DataFrame, pairs: DataFrame | None = None) -> DataFrame:
+    """(x, best_y, sim) per distinct x, exact.  Values that hit exactly leave early: only the rest meets the whole dictionary."""
+    if pairs is not None:
+        return pairs.groupBy("x").agg(_first("sim", "y").alias("b")).select("x", F.col("b.n").alias("best_y"), (-F.col("b.m")).alias("sim"))
     hits = x.select(F.col("v").alias("x"), "s").join(y.groupBy("s").agg(F.min("v").alias("best_y")), "s").select("x", "best_y", F.lit(1.0).alias("sim"))
     rest = x.join(y.select("s"), "s", "left_anti")
-    best = scored_pairs(rest, y, **options).groupBy("x").agg(_first("sim", "y").alias("b")).select("x", F.col("b.n").alias("best_y"), (-F.col("b.m")).alias("sim"))
-    return hits.union(best)
+    return hits.union(block.best_pairs(rest, y).select("x", F.col("y").alias("best_y"), "sim"))
 
 
-def value_scores(x: DataFrame, y: DataFrame, weighted: bool = True, pairs: DataFrame | None = None, **options) -> DataFrame:
-    """lr, rl, n_left, n_right: mean over rows of x of the best similarity to y, and the other way, over one set of pairs.
+def value_scores(x: DataFrame, y: DataFrame, weighted: bool = True, pairs: DataFrame | None = None) -> DataFrame:
+    """lr, rl, n_left, n_right: mean over rows of x of the best similarity to y, and the other way.
 
-    No row on one side gives score 0.
+    No row on one side gives score 0.  `pairs` is a pair table that is there anyway.
     """
-    pairs = scored_pairs(x, y, **options) if pairs is None else pairs
-    mean = lambda v, c: pairs.groupBy(v, c).agg(F.max("sim").alias("m")).agg(F.coalesce((F.sum(F.col(c) * F.col("m")) / F.sum(c)) if weighted else F.avg("m"), F.lit(0.0)))
-    size = lambda d: d.agg(F.coalesce(F.sum("cnt") if weighted else F.count("v"), F.lit(0)).cast("long"))
-    out = mean("x", "cx").toDF("lr").crossJoin(mean("y", "cy").toDF("rl"))
-    return out.crossJoin(size(x).toDF("n_left")).crossJoin(size(y).toDF("n_right"))
+    turned = pairs.select(F.col("y").alias("x"), F.col("x").alias("y"), "sim") if pairs is not None else None
+
+    def mean(a, b, given):
+        best = a.join(best_match(a, b, given).select(F.col("x").alias("v"), "sim"), "v", "left").withColumn("m", F.coalesce("sim", F.lit(0.0)))
+        return best.agg(F.coalesce((F.sum(F.col("cnt") * F.col("m")) / F.sum("cnt")) if weighted else F.avg("m"), F.lit(0.0)), F.coalesce(F.sum("cnt") if weighted else F.count("v"), F.lit(0)).cast("long"))
+
+    return mean(x, y, pairs).toDF("lr", "n_left").crossJoin(mean(y, x, turned).toDF("rl", "n_right")).select("lr", "rl", "n_left", "n_right")
 
 
 def directed(lr: Column, rl: Column, direction: str) -> Column:
@@ -71,21 +76,22 @@ def directed(lr: Column, rl: Column, direction: str) -> Column:
     return {"left": lr, "right": rl, "min": F.least(lr, rl), "max": F.greatest(lr, rl), "mean": (lr + rl) / 2}[direction]
 
 
-def value_score_sampled(df: DataFrame, column: str, key: str, y: DataFrame, eps: float = 0.01, delta: float = 0.05, **options) -> DataFrame:
+def value_score_sampled(df: DataFrame, column: str, key: str, y: DataFrame, eps: float = 0.01, delta: float = 0.05) -> DataFrame:
     """lr and its half-width on a hashed sample of x rows of Hoeffding size ln(2/delta)/(2 eps^2); y is never sampled (it would bias the maxima down)."""
     need = math.ceil(math.log(2 / delta) / (2 * eps * eps))
     total = df.where(F.col(column).isNotNull()).count()
     share = min(1.0, need / max(1, total))
-    picked = df.where(F.pmod(F.xxhash64(F.col(key)), F.lit(1 << 30)) < int(share * (1 << 30))) if share < 1 else df
-    return value_scores(dictionary(picked, column), y, **options).select("lr", "n_left", F.lit(0.0 if share == 1 else eps).alias("half_width"))
+    draw = F.conv(F.substring(F.md5(F.col(key).cast("string").cast("binary")), 1, 8), 16, 10).cast("long")
+    picked = df.where(draw < int(share * (1 << 32))) if share < 1 else df
+    x = dictionary(picked, column)
+    best = x.join(best_match(x, y).select(F.col("x").alias("v"), "sim"), "v", "left").withColumn("m", F.coalesce("sim", F.lit(0.0)))
+    return best.agg(F.coalesce(F.sum(F.col("cnt") * F.col("m")) / F.sum("cnt"), F.lit(0.0)).alias("lr"), F.coalesce(F.sum("cnt"), F.lit(0)).alias("n_left"), F.lit(0.0 if share == 1 else eps).alias("half_width"))
 
 
 def can_pass(x: DataFrame, y: DataFrame, threshold: float) -> DataFrame:
     """(bound, possible): an upper bound of the value score from character bags only; False means the pair can be dropped unseen."""
-    a = x.select(F.col("v").alias("x"), F.col("cnt").alias("cx"), F.col("s").alias("sx"))
-    b = y.select(F.col("s").alias("sy"))
-    best = a.crossJoin(b).groupBy("x", "cx").agg(F.max(block.bag_bound(F.col("sx"), F.col("sy"))).alias("m"))
-    bound = F.coalesce(F.sum(F.col("cx") * F.col("m")) / F.sum("cx"), F.lit(0.0))
+    best = x.join(block.best_bounds(x, y).withColumnRenamed("x", "v"), "v", "left").withColumn("m", F.coalesce("bound", F.lit(0.0)))
+    bound = F.coalesce(F.sum(F.col("cnt") * F.col("m")) / F.sum("cnt"), F.lit(0.0))
     return best.agg(bound.alias("bound"), (bound > threshold).alias("possible"))
 
 
@@ -104,24 +110,37 @@ def assign_mutual(pairs: DataFrame, min_score: float) -> DataFrame:
     return ok.withColumn("rx", F.row_number().over(by_x)).withColumn("ry", F.row_number().over(by_y)).where("rx = 1 and ry = 1").select("x", "y", "sim")
 
 
-def assign_one_to_one(pairs: DataFrame, min_score: float, max_rounds: int = 200) -> DataFrame:
-    """Greedy one-to-one by (score desc, x, y), as rounds of locally greatest pairs under that total order.
+def tie_order() -> Column:
+    """Order among equal scores: pairs of one sorted form by name, others by a digest of the pair, so that rounds stay few."""
+    return F.when(F.col("sim") >= 1.0, F.lit("")).otherwise(F.md5(F.concat_ws("|", "x", "y").cast("binary")))
 
-    A pair that is first for both its x and its y among what is left is taken by the greedy too; every round takes at least
-    the globally first pair.  Rounds are written out, so lineage and lost executors are no concern.
-    """
-    from hopjoin.operators.storage import materialize
 
-    left = materialize(pairs.where(F.col("sim") > min_score).select("x", "y", "sim"))
-    taken = None
-    by_x, by_y = Window.partitionBy("x").orderBy(F.desc("sim"), "x", "y"), Window.partitionBy("y").orderBy(F.desc("sim"), "x", "y")
+def assign_one_to_one(pairs: DataFrame, min_score: float, keys: list[str] | None = None, max_rounds: int = 1000) -> DataFrame:
+    """Greedy one-to-one by (score desc, tie order, x, y), as rounds of locally greatest pairs under that total order.
+
+    A pair that is first for both its x and its y among what is left is taken by the greedy too.  Values of one sorted form
+    (score 1: every x of the form pairs with every y of it) are settled at once, by rank.  Rounds are written out, so lineage
+    and lost executors are no concern; rounds that do not settle are an error, never a partial result.
+    """
+    keys = keys or []
+    left = materialize(pairs.where(F.col("sim") > min_score).select(*keys, "x", "y", "sim"))
+    ones = left.where("sim >= 1")
+    form = ones.groupBy(*keys, "x").agg(F.min("y").alias("form"))
+    ones = ones.join(form, [*keys, "x"])
+    rank = lambda c: ones.select(*keys, "form", c).distinct().withColumn("i", F.row_number().over(Window.partitionBy(*keys, "form").orderBy(c)))
+    taken = materialize(rank("x").join(rank("y"), [*keys, "form", "i"]).select(*keys, "x", "y", F.lit(1.0).alias("sim")))
+    drop = lambda rest, now: rest.join(now.select(*keys, "x"), [*keys, "x"], "left_anti").join(now.select(*keys, "y"), [*keys, "y"], "left_anti").select(*keys, "x", "y", "sim")
+    left = materialize(drop(left, taken))
+    order = [F.desc("sim"), "tie", "x", "y"]
+    by_x, by_y = Window.partitionBy(*keys, "x").orderBy(*order), Window.partitionBy(*keys, "y").orderBy(*order)
     for _ in range(max_rounds):
-        now = materialize(left.withColumn("rx", F.row_number().over(by_x)).withColumn("ry", F.row_number().over(by_y)).where("rx = 1 and ry = 1").select("x", "y", "sim"))
-        if not now.limit(1).count():
-            break
-        taken = now if taken is None else taken.union(now)
-        left = materialize(left.join(now.select("x"), "x", "left_anti").join(now.select("y"), "y", "left_anti").select("x", "y", "sim"))
-    return left if taken is None else taken
+        if not left.limit(1).count():
+            return taken
+        ranked = left.withColumn("tie", tie_order()).withColumn("rx", F.row_number().over(by_x)).withColumn("ry", F.row_number().over(by_y))
+        now = materialize(ranked.where("rx = 1 and ry = 1").select(*keys, "x", "y", "sim"))
+        taken = taken.union(now)
+        left = materialize(drop(left, now))
+    raise RuntimeError("the one-to-one assignment did not settle")
 
 
 ASSIGNMENTS = {"best": assign_best, "mutual": assign_mutual, "one_to_one": assign_one_to_one}

@@ -57,6 +57,56 @@ def dictionaries(x: str, xc: str, y: str, yc: str) -> str:
     return f"dx AS ({one(x, xc)}), dy AS ({one(y, yc)}), pairs AS (SELECT dx.v AS x, dx.cnt AS cx, dy.v AS y, dy.cnt AS cy, {ratio('dx.s', 'dy.s')} AS sim FROM dx, dy)"
 
 
+def near_dictionaries(x: str, xc: str, y: str, yc: str, names: tuple[str, str, str] = ("dx", "dy", "pairs"), above: float | None = None) -> str:
+    """The same CTEs for larger sides: pairs holds every pair that may be best for its x or its y (or, with `above`, reach it).
+
+    With n the two lengths and e the edit distance, the ratio lies between 1 - 2 e / n and 1 - e / n.
+    """
+    dx, dy, pairs = names
+    one = lambda t, c: f"SELECT {c} AS v, count(*) AS cnt, {token_sort(c)} AS s FROM {t} WHERE {c} IS NOT NULL GROUP BY {c}"
+    bar = f"{above}" if above is not None else "least(lo_x, lo_y)"
+    return f"""{dx} AS ({one(x, xc)}), {dy} AS ({one(y, yc)}),
+    {pairs}_e AS (SELECT a.v AS x, a.cnt AS cx, b.v AS y, b.cnt AS cy, a.s AS sx, b.s AS sy, CASE WHEN length(a.s) + length(b.s) = 0 THEN 0.0 ELSE levenshtein(a.s, b.s) / (length(a.s) + length(b.s))::DOUBLE END AS far FROM {dx} a, {dy} b),
+    {pairs}_c AS (SELECT * FROM (SELECT *, max(1 - 2 * far) OVER (PARTITION BY x) AS lo_x, max(1 - 2 * far) OVER (PARTITION BY y) AS lo_y FROM {pairs}_e) WHERE 1 - far >= {bar} - 1e-9),
+    {pairs} AS (SELECT x, cx, y, cy, {ratio('sx', 'sy')} AS sim FROM {pairs}_c)"""
+
+
+def fuzzy_edge(i: int, edge: str, x: str, xc: str, y: str, yc: str, bar: float) -> tuple[str, str]:
+    """CTEs of one fuzzy edge and a row (edge_id, lr, rl, exact, fuzzy): scores, exact and one-to-one overlap above `bar`.
+
+    The one-to-one assignment: values of one sorted form by rank, then mutually best pairs, then the greedy walk over what is left.
+    """
+    def pairs_of(name: str, a: str, b: str, keep: str) -> str:
+        far = "CASE WHEN length(a.s) + length(b.s) = 0 THEN 0.0 ELSE levenshtein(a.s, b.s) / (length(a.s) + length(b.s))::DOUBLE END"
+        return f"""{name}_e AS (SELECT a.v AS x, b.v AS y, a.s AS sx, b.s AS sy, {far} AS far FROM {a} a, {b} b),
+    {name}_c AS (SELECT * FROM (SELECT *, max(1 - 2 * far) OVER (PARTITION BY x) AS lo_x, max(1 - 2 * far) OVER (PARTITION BY y) AS lo_y FROM {name}_e) WHERE 1 - far >= {keep} - 1e-9),
+    {name} AS (SELECT *, CASE WHEN sim >= 1 THEN '' ELSE md5(x || '|' || y) END AS tie FROM (SELECT x, y, {ratio('sx', 'sy')} AS sim FROM {name}_c) WHERE sim > {bar})"""
+
+    form = lambda side: f"SELECT v, s, row_number() OVER (PARTITION BY s ORDER BY v) AS rn FROM d{side}{i}"
+    rest = lambda side, taken, of: f"SELECT v, s FROM {of} WHERE v NOT IN (SELECT {side} FROM {taken})"
+    ctes = f"""{near_dictionaries(x, xc, y, yc, (f'dx{i}', f'dy{i}', f'p{i}'))},
+    f{i} AS (SELECT a.v AS x, b.v AS y FROM ({form('x')}) a JOIN ({form('y')}) b ON a.s = b.s AND a.rn = b.rn),
+    ax{i} AS ({rest('x', f'f{i}', f'dx{i}')}), ay{i} AS ({rest('y', f'f{i}', f'dy{i}')}), {pairs_of(f'q{i}', f'ax{i}', f'ay{i}', 'least(lo_x, lo_y)')},
+    m{i} AS (SELECT x, y FROM (SELECT *, row_number() OVER (PARTITION BY x ORDER BY sim DESC, tie, x, y) AS rx, row_number() OVER (PARTITION BY y ORDER BY sim DESC, tie, x, y) AS ry FROM q{i}) WHERE rx = 1 AND ry = 1),
+    bx{i} AS ({rest('x', f'm{i}', f'ax{i}')}), by{i} AS ({rest('y', f'm{i}', f'ay{i}')}), {pairs_of(f'w{i}', f'bx{i}', f'by{i}', str(bar))},
+    o{i} AS MATERIALIZED (SELECT x, y, row_number() OVER (ORDER BY sim DESC, tie, x, y) AS i FROM w{i}),
+    g{i} AS (SELECT 0::BIGINT AS i, []::VARCHAR[] AS xs, []::VARCHAR[] AS ys
+      UNION ALL SELECT o.i, CASE WHEN list_contains(xs, o.x) OR list_contains(ys, o.y) THEN xs ELSE list_append(xs, o.x) END, CASE WHEN list_contains(xs, o.x) OR list_contains(ys, o.y) THEN ys ELSE list_append(ys, o.y) END FROM g{i} JOIN o{i} o ON o.i = g{i}.i + 1),
+    n{i} AS (SELECT (SELECT count(*) FROM f{i}) + (SELECT count(*) FROM m{i}) + (SELECT max(len(xs)) FROM g{i}) AS m, (SELECT count(*) FROM dx{i}) AS l, (SELECT count(*) FROM dy{i}) AS r, (SELECT count(*) FROM dx{i} WHERE v IN (SELECT v FROM dy{i})) AS both_)"""
+    mean = lambda v, c: f"(SELECT sum({c} * m) / sum({c}) FROM (SELECT {v}, {c}, max(sim) AS m FROM p{i} GROUP BY {v}, {c}))"
+    row = f"SELECT '{edge}' AS edge_id, {mean('x', 'cx')} AS lr, {mean('y', 'cy')} AS rl, both_ / (l + r - both_)::DOUBLE AS exact, m / (l + r - m)::DOUBLE AS fuzzy FROM n{i}"
+    return ctes, row
+
+
+def plain_edge(i: int, edge: str, x: str, xc: str, y: str, yc: str) -> tuple[str, str]:
+    """The same for columns that are compared by equality."""
+    ctes = f"dx{i} AS (SELECT {xc}::VARCHAR AS v, count(*) AS cnt FROM {x} WHERE {xc} IS NOT NULL GROUP BY 1), dy{i} AS (SELECT {yc}::VARCHAR AS v, count(*) AS cnt FROM {y} WHERE {yc} IS NOT NULL GROUP BY 1)"
+    share = lambda a, b: f"(SELECT coalesce(sum(cnt) FILTER (WHERE v IN (SELECT v FROM {b}{i})), 0) / sum(cnt)::DOUBLE FROM {a}{i})"
+    both = f"(SELECT count(*) FROM dx{i} WHERE v IN (SELECT v FROM dy{i}))"
+    exact = f"{both} / ((SELECT count(*) FROM dx{i}) + (SELECT count(*) FROM dy{i}) - {both})::DOUBLE"
+    return ctes, f"SELECT '{edge}' AS edge_id, {share('dx', 'dy')} AS lr, {share('dy', 'dx')} AS rl, {exact} AS exact, {exact} AS fuzzy"
+
+
 def edges(rows: list[tuple[str, str, str, str, str]]) -> str:
     """One row per key edge with n_common, n_left, n_right, overlap."""
     parts = []

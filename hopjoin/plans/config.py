@@ -54,7 +54,8 @@ class DiscoveryConfig:
     blocking: bool = False
     cast_to_string: bool = False
     kinds: tuple[str, ...] = ("fk", "fuzzy")
-    max_pairs: int = 5_000_000
+    #: columns with a longer value are compared by equality
+    long_text: int = 256
 
     def __post_init__(self):
         weights = (self.alpha, self.beta, self.gamma)

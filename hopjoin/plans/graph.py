@@ -50,6 +50,7 @@ class Hop:
     to_columns: tuple[str, ...]
     overlap: float
     weight: float
+    forward: bool = True
 
 
 @dataclass(frozen=True)
@@ -92,7 +93,7 @@ class JoinGraph:
     tables: dict[str, TableRef] = field(default_factory=dict)
     base: float = 2.0
     max_driver_edges: int = 1_000_000
-    matches: dict[str, DataFrame] = field(default_factory=dict)
+    found: object = None
     _hops: list[Hop] | None = None
 
     def hops(self, kinds=("fk", "fuzzy")) -> list[Hop]:
@@ -101,9 +102,13 @@ class JoinGraph:
             rows = self.edges.select("edge_id", "kind", "left_node", "left_columns", "right_node", "right_columns", "overlap", "weight").limit(self.max_driver_edges + 1).collect()
             if len(rows) > self.max_driver_edges:
                 raise ValueError("too many edges for the driver: use all_pairs")
-            self._hops = [h for r in rows for h in (Hop(r.edge_id, r.kind, r.left_node, tuple(r.left_columns), r.right_node, tuple(r.right_columns), r.overlap, r.weight), Hop(r.edge_id, r.kind, r.right_node, tuple(r.right_columns), r.left_node, tuple(r.left_columns), r.overlap, r.weight))]
+            self._hops = [h for r in rows for h in (Hop(r.edge_id, r.kind, r.left_node, tuple(r.left_columns), r.right_node, tuple(r.right_columns), r.overlap, r.weight), Hop(r.edge_id, r.kind, r.right_node, tuple(r.right_columns), r.left_node, tuple(r.left_columns), r.overlap, r.weight, False))]
         return [h for h in self._hops if h.kind in kinds]
 
+    def matches_of(self, hop: Hop, cfg) -> DataFrame | None:
+        """(x, y, sim) that validation found for a fuzzy hop, in the hop's direction; None for a graph read from elsewhere."""
+        return self.found.of(hop.edge_id, hop.forward, cfg.assignment, cfg.min_score) if self.found is not None else None
+
 
 def build(fk: DataFrame, fuzzy: DataFrame | None, tables: list[TableRef] = (), epsilon: float = 1e-9, base: float = 2.0) -> JoinGraph:
     """Union of declared and fuzzy edges (with overlap), weighted."""
@@ -202,17 +207,15 @@ def paths_sql(edges: DataFrame, source: str, max_hops: int = 4) -> DataFrame:
     """Every target's best simple path from a source by a recursive query (small graphs): source, target, hops, nodes, total_weight."""
     spark = edges.sparkSession
     both = edges.select("edge_id", F.col("left_node").alias("u"), F.col("right_node").alias("v"), "weight").union(edges.select("edge_id", "right_node", "left_node", "weight"))
-    name = f"hops_{abs(hash((source, max_hops, id(edges)))):x}"
-    materialize(both).createOrReplaceTempView(name)
     quoted = source.replace("'", "''")
     return spark.sql(f"""
         WITH RECURSIVE walk(node, hops, nodes, names, total) AS (
             SELECT '{quoted}', 0, array('{quoted}'), '', CAST(0.0 AS DOUBLE)
             UNION ALL
             SELECT e.v, w.hops + 1, array_append(w.nodes, e.v), concat(w.names, '|', e.edge_id), w.total + e.weight
-            FROM walk w JOIN {name} e ON e.u = w.node WHERE w.hops < {max_hops} AND NOT array_contains(w.nodes, e.v)),
+            FROM walk w JOIN {{both}} e ON e.u = w.node WHERE w.hops < {max_hops} AND NOT array_contains(w.nodes, e.v)),
         ranked AS (SELECT *, row_number() OVER (PARTITION BY node ORDER BY round(total, 6), hops, names) AS rn FROM walk)
-        SELECT '{quoted}' AS source, node AS target, hops, nodes, total AS total_weight FROM ranked WHERE rn = 1""")
+        SELECT '{quoted}' AS source, node AS target, hops, nodes, total AS total_weight FROM ranked WHERE rn = 1""", both=materialize(both))
 
 
 def to_frames(g: JoinGraph) -> tuple[DataFrame, DataFrame]:

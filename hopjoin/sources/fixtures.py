@@ -33,6 +33,39 @@ FOREIGN_KEYS = (
 )
 
 
+_I, _S, _F, _T = "integral", "string", "fractional", "temporal"
+#: The columns of the given tables and their type families.
+COLUMNS = {
+    "region": (("r_regionkey", _I), ("r_name", _S)),
+    "nation": (("n_nationkey", _I), ("n_name", _S), ("n_regionkey", _I)),
+    "customer": (("c_custkey", _I), ("c_name", _S), ("c_nationkey", _I), ("c_acctbal", _F), ("c_mktsegment", _S)),
+    "supplier": (("s_suppkey", _I), ("s_name", _S), ("s_nationkey", _I), ("s_acctbal", _F)),
+    "part": (("p_partkey", _I), ("p_name", _S), ("p_brand", _S), ("p_type", _S), ("p_size", _I), ("p_retailprice", _F)),
+    "orders": (("o_orderkey", _I), ("o_custkey", _I), ("o_orderstatus", _S), ("o_totalprice", _F), ("o_orderdate", _T), ("o_orderpriority", _S)),
+    "lineitem": (
+        ("l_orderkey", _I), ("l_partkey", _I), ("l_suppkey", _I), ("l_linenumber", _I), ("l_quantity", _F), ("l_extendedprice", _F),
+        ("l_discount", _F), ("l_tax", _F), ("l_returnflag", _S), ("l_linestatus", _S), ("l_shipdate", _T),
+    ),
+    "events": (("event_id", _I), ("ts", _T), ("user_id", _I), ("event_type", _S), ("value", _F), ("props", _S)),
+    "documents": (("doc_id", _I), ("text", _S), ("lang", _S), ("source", _S), ("n_chars", _I)),
+    "labels": (("doc_id", _I), ("quality", _I), ("toxic", _I)),
+    "benchmark": (("item_id", _I), ("text", _S)),
+    "pages": (("page_id", _I), ("url", _S), ("html", _S)),
+    "embeddings": (("vec_id", _I), ("embedding", "other"), ("label", _I)),
+    "conversations": (("conv_id", _I), ("turn", _I), ("role", _S), ("text", _S)),
+}
+#: the stand-ins with names, and the derived tables
+DERIVED = {
+    "nation": (("n_nationkey", _I), ("place_name", _S), ("n_regionkey", _I)),
+    "customer": (("c_custkey", _I), ("person_name", _S), ("c_nationkey", _I), ("c_acctbal", _F), ("c_mktsegment", _S)),
+    "part": (("p_partkey", _I), ("part_name", _S), ("p_brand", _S), ("p_type", _S), ("p_size", _I), ("p_retailprice", _F)),
+    "place_survey": (("survey_id", _I), ("territory_name", _S), ("satisfaction", _F)),
+    "resident_registry": (("citizen_id", _I), ("resident_name", _S), ("household", _I)),
+    "part_watchlist": (("watch_id", _I), ("item_name", _S), ("risk", _I)),
+}
+PUBLIC = ("place_survey", "resident_registry", "part_watchlist")
+
+
 def load(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
     """All given tables by name (footers only until an action)."""
     return {t: spark.read.parquet(f"{sf_dir}/{t}.parquet") for ts in DATABASES.values() for t in ts}

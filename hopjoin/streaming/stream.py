@@ -4,8 +4,10 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupStateTimeout
 
 from hopjoin.operators import execute
 from hopjoin.plans.config import DiscoveryConfig
@@ -34,6 +36,28 @@ def first_seen(df: DataFrame, column: str = "user_id", watermark: str = "1 day")
     return df.withWatermark("ts", watermark).dropDuplicatesWithinWatermark([column])
 
 
+def first_seen_stateful(df: DataFrame, column: str = "user_id", ts: str = "ts") -> DataFrame:
+    """(value, first_ts, n) when a value appears and whenever an earlier time of it arrives late: state per value, no watermark.
+
+    Late rows correct the first time instead of being dropped; a null value is no value.
+    """
+    kind = dict(df.dtypes)[column]
+
+    def run(key, frames, state):
+        first, n = state.get if state.exists else (None, 0)
+        best = first
+        for pdf in frames:
+            n += len(pdf)
+            low = pdf[ts].min()
+            best = low if best is None or low < best else best
+        state.update((best, n))
+        if first is None or best < first:
+            yield pd.DataFrame({"value": [key[0]], "first_ts": [best], "n": [n]})
+
+    rows = df.where(F.col(column).isNotNull()).select(F.col(column).alias("value"), F.col(ts).alias(ts))
+    return rows.groupBy("value").applyInPandasWithState(run, f"value {kind}, first_ts timestamp, n bigint", "first_ts timestamp, n bigint", "update", GroupStateTimeout.NoTimeout)
+
+
 def interval_join(a: DataFrame, b: DataFrame, key: str = "user_id", within: str = "1 hour", watermark: str = "2 hours") -> DataFrame:
     """Rows of b within an interval after a row of a, both streams; a(key, ts), b(key, ts) with other columns prefixed by the caller."""
     x = a.withWatermark("ts", watermark).select(F.col(key).alias("ka"), F.col("ts").alias("ta"), *[c for c in a.columns if c not in (key, "ts")])

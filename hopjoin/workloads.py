@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -55,15 +56,15 @@ def parts(spark, sf):
     return values.dictionary(fx.part_named(p), "part_name"), values.dictionary(fx.part_watchlist(p), "item_name")
 
 
-def people(spark, sf, top=150):
-    c = t(spark, sf, "customer").where(F.col("c_custkey") < top)
+def people(spark, sf):
+    c = t(spark, sf, "customer")
     return values.dictionary(fx.customer_named(c), "person_name"), values.dictionary(fx.resident_registry(c), "resident_name")
 
 
 PAIRS = {
     "places": (places, o.dictionaries("places", "place_name", "survey", "territory_name")),
     "parts": (parts, o.dictionaries("part", "p_name", "watch", "item_name")),
-    "people": (people, o.dictionaries("(SELECT * FROM people WHERE c_custkey < 150)", "person_name", "(SELECT * FROM registry WHERE citizen_id < 150)", "resident_name")),
+    "people": (people, o.near_dictionaries("people", "person_name", "registry", "resident_name")),
 }
 
 
@@ -116,10 +117,12 @@ def jaccard_theta(spark, sf):
     return overlap.jaccard_theta(*fk_overlaps(spark, sf)).withColumn("overlap", r6("overlap"))
 
 
-@query("sketch_error")
+@query("sketch_error", f"SELECT edge_id, round(overlap, 6) AS exact, true AS within FROM ({FK_SQL})")
 def sketch_error(spark, sf):
+    """Exact overlap of every key edge, and whether the sketched one lies within three standard errors of 4,096 entries."""
     vals, pairs = fk_overlaps(spark, sf)
-    return measures.sketch_error(overlap.jaccard_all(vals, pairs), overlap.jaccard_theta(vals, pairs)).select("edge_id", *[r6(c, c) for c in ("exact", "estimate", "error")])
+    e = measures.sketch_error(overlap.jaccard_all(vals, pairs), overlap.jaccard_theta(vals, pairs))
+    return e.select("edge_id", r6("exact", "exact"), (F.col("error") <= 3 / 64).alias("within"))
 
 
 @query("edge_weights", f"SELECT edge_id, round(overlap, 6) AS overlap, round(greatest(0.0, -log2(overlap + 1e-9)), 6) AS weight FROM ({FK_SQL})")
@@ -137,20 +140,23 @@ def fk_orphans(spark, sf):
     return out
 
 
-@query("fk_inferred", """WITH c AS (SELECT count(*) FILTER (WHERE l_suppkey IN (SELECT s_suppkey FROM supplier)) AS hit, count(*) AS n FROM (SELECT DISTINCT l_suppkey FROM lineitem WHERE l_suppkey IS NOT NULL)),
-    g AS (SELECT count(*) FILTER (WHERE s_nationkey IN (SELECT n_nationkey FROM nation)) AS hit, count(*) AS n FROM (SELECT DISTINCT s_nationkey FROM supplier WHERE s_nationkey IS NOT NULL))
-    SELECT * FROM (SELECT 'trade_db.lineitem' AS src_node, 'l_suppkey' AS src_column, 'trade_db.supplier' AS dst_node, 's_suppkey' AS dst_column, hit / n::DOUBLE AS containment FROM c
-    UNION ALL SELECT 'trade_db.supplier', 's_nationkey', 'trade_db.nation', 'n_nationkey', hit / n::DOUBLE FROM g) WHERE containment >= 1""")
+def _fk_inferred_sql() -> str:
+    cells = " UNION ALL ".join(f"SELECT '{db}' AS db, '{db}.{n}' AS node, '{c}' AS col, '{k}' AS fam, {c}::VARCHAR AS v, count(*) AS n FROM {n} WHERE {c} IS NOT NULL GROUP BY {c}" for db, ns in fx.DATABASES.items() for n in ns for c, k in fx.COLUMNS[n] if k in ("integral", "string"))
+    return f"""WITH l AS ({cells}), p AS (SELECT node, col, count(*) AS d, max(n) AS most FROM l GROUP BY node, col),
+    x AS (SELECT a.node AS src_node, a.col AS src_column, b.node AS dst_node, b.col AS dst_column, count(*) AS k FROM l a JOIN l b ON a.db = b.db AND a.fam = b.fam AND a.v = b.v AND a.node <> b.node GROUP BY ALL)
+    SELECT src_node, src_column, dst_node, dst_column, round(k / s.d::DOUBLE, 6) AS containment FROM x JOIN p s ON s.node = src_node AND s.col = src_column JOIN p t ON t.node = dst_node AND t.col = dst_column WHERE t.most = 1 AND k >= s.d"""
+
+
+@query("fk_inferred", _fk_inferred_sql)
 def fk_inferred(spark, sf):
-    refs = [TableRef("trade_db", "lineitem", t(spark, sf, "lineitem").select("l_suppkey")), TableRef("trade_db", "supplier", t(spark, sf, "supplier").select("s_suppkey", "s_nationkey")), TableRef("trade_db", "nation", t(spark, sf, "nation").select("n_nationkey"))]
-    out = catalog.infer_fk(refs)
-    return out.where("(src_column = 'l_suppkey' and dst_column = 's_suppkey') or (src_column = 's_nationkey' and dst_column = 'n_nationkey')")
+    """Every key that inclusion proposes, over all tables."""
+    return catalog.infer_fk(given_refs(spark, sf)).withColumn("containment", r6("containment"))
 
 
-CATALOG_TABLES = ("region", "nation", "customer", "supplier", "part", "labels", "benchmark")
+CATALOG_TABLES = tuple(n for ns in fx.DATABASES.values() for n in ns)
 
 
-@query("column_catalog", " UNION ALL ".join(f"SELECT '{n}' AS \"table\", column_name AS \"column\", CASE WHEN column_type IN ('INTEGER', 'BIGINT') THEN 'integral' WHEN column_type = 'DOUBLE' THEN 'fractional' ELSE 'string' END AS family FROM (DESCRIBE {n})" for n in CATALOG_TABLES))
+@query("column_catalog", " UNION ALL ".join(f"SELECT '{n}' AS \"table\", column_name AS \"column\", CASE WHEN column_type IN ('INTEGER', 'BIGINT') THEN 'integral' WHEN column_type = 'DOUBLE' THEN 'fractional' WHEN column_type LIKE 'TIMESTAMP%' THEN 'temporal' WHEN column_type = 'VARCHAR' THEN 'string' ELSE 'other' END AS family FROM (DESCRIBE {n})" for n in CATALOG_TABLES))
 def column_catalog(spark, sf):
     return catalog.reflect(spark, [r for r in given_refs(spark, sf) if r.table in CATALOG_TABLES]).select("table", "column", "family")
 
@@ -158,6 +164,7 @@ def column_catalog(spark, sf):
 # --- S2: names --------------------------------------------------------------------------------------------------------------
 
 NAME_PAIRS = [("doctor_name", "assigned_doctor_name"), ("drug_name", "medication_name"), ("clinic_name", "hospital_name"), ("c_custkey", "o_custkey"), ("c_custkey", "p_partkey"), ("person_name", "resident_name"), ("place_name", "territory_name"), ("part_name", "item_name"), ("place_name", "item_name"), ("c_custkey", "user_id"), ("c_name", "p_name"), ("orderDate", "order_date")]
+FRIENDS = [("c_custkey", "p_partkey"), ("doc_id", "vec_id"), ("conv_id", "doc_id")]
 PAIR_VALUES = "(VALUES " + ", ".join(f"('{a}', '{b}')" for a, b in NAME_PAIRS) + ") n(a, b)"
 
 
@@ -185,8 +192,8 @@ def _canonical_sql(c: str, lexicon) -> str:
     return f"array_to_string(list_transform(list_filter(regexp_split_to_array(lower(regexp_replace({c}, '([a-z0-9])([A-Z])', '\\1_\\2', 'g')), '[^a-z0-9]+'), lambda t: t <> ''), lambda t: {word}), '_')"
 
 
-def _cosine_ctes(lexicon) -> str:
-    return f"""np AS (SELECT * FROM {PAIR_VALUES}), nm AS (SELECT DISTINCT name, {_canonical_sql('name', lexicon)} AS c FROM (SELECT a AS name FROM np UNION SELECT b FROM np)),
+def _cosine_ctes(lexicon, pairs: str = PAIR_VALUES) -> str:
+    return f"""np AS (SELECT * FROM {pairs}), nm AS (SELECT DISTINCT name, {_canonical_sql('name', lexicon)} AS c FROM (SELECT a AS name FROM np UNION SELECT b FROM np)),
     gr AS (SELECT name, gram, count(*)::DOUBLE AS n FROM (SELECT name, unnest(list_transform(range(1, greatest(length(c) - 2, 1) + 1), lambda i: substring(c, i, 3))) AS gram FROM nm) GROUP BY name, gram),
     no AS (SELECT name, sqrt(sum(n * n)) AS norm FROM gr GROUP BY name),
     cs AS (SELECT np.a, np.b, coalesce((SELECT sum(x.n * y.n) FROM gr x JOIN gr y ON x.gram = y.gram WHERE x.name = np.a AND y.name = np.b) / (na.norm * nb.norm), 0) AS cos FROM np JOIN no na ON na.name = np.a JOIN no nb ON nb.name = np.b)"""
@@ -218,10 +225,10 @@ def external_embedder(spark, sf):
     return names.semantic_sim(name_pairs(spark), names.UdfEmbedder(_letters)).select("a", "b", r6("semantic_sim", "semantic_sim"))
 
 
-def _gestalt_values() -> str:
+def _gestalt_values(pairs=NAME_PAIRS) -> str:
     from difflib import SequenceMatcher
 
-    return "(VALUES " + ", ".join(f"('{a}', '{b}', {SequenceMatcher(None, a, b, autojunk=False).ratio()!r}::DOUBLE)" for a, b in NAME_PAIRS) + ") g(a, b, name_sim)"
+    return "(VALUES " + ", ".join(f"('{a}', '{b}', {SequenceMatcher(None, a, b, autojunk=False).ratio()!r}::DOUBLE)" for a, b in pairs) + ") g(a, b, name_sim)"
 
 
 @query("gestalt_names", lambda: f"SELECT a, b, round(name_sim, 6) AS name_sim FROM {_gestalt_values()}")
@@ -229,9 +236,10 @@ def gestalt_names(spark, sf):
     return name_pairs(spark).select("a", "b", r6(names.gestalt_ratio(F.col("a"), F.col("b")), "name_sim"))
 
 
-def _total_sql(alpha: float, beta: float, gamma: float, gate: bool) -> str:
-    body = f"SELECT a, b, name_sim, cos, tok, {alpha} * name_sim + {beta} * least(greatest(cos, 0), 1) + {gamma} * tok AS total FROM {_gestalt_values()} JOIN cs USING (a, b) JOIN (SELECT a, b, len(list_intersect({_tokens('a')}, {_tokens('b')}))::DOUBLE / len(list_distinct(list_concat({_tokens('a')}, {_tokens('b')}))) AS tok FROM {PAIR_VALUES}) USING (a, b)"
-    return f"WITH {_cosine_ctes(LEXICON)} SELECT a, b, round(name_sim, 6) AS name_sim, round(least(greatest(cos, 0), 1), 6) AS semantic_sim, round(tok, 6) AS token_overlap, round(total, 6) AS total_score FROM ({body})" + (" WHERE total > 0.6" if gate else "")
+def _total_sql(alpha: float, beta: float, gamma: float, gate: bool, pairs=NAME_PAIRS) -> str:
+    listed = "(VALUES " + ", ".join(f"('{a}', '{b}')" for a, b in pairs) + ") n(a, b)"
+    body = f"SELECT a, b, name_sim, cos, tok, {alpha} * name_sim + {beta} * least(greatest(cos, 0), 1) + {gamma} * tok AS total FROM {_gestalt_values(pairs)} JOIN cs USING (a, b) JOIN (SELECT a, b, len(list_intersect({_tokens('a')}, {_tokens('b')}))::DOUBLE / len(list_distinct(list_concat({_tokens('a')}, {_tokens('b')}))) AS tok FROM {listed}) USING (a, b)"
+    return f"WITH {_cosine_ctes(LEXICON, listed)} SELECT a, b, round(name_sim, 6) AS name_sim, round(least(greatest(cos, 0), 1), 6) AS semantic_sim, round(tok, 6) AS token_overlap, round(total, 6) AS total_score FROM ({body})" + (" WHERE total > 0.6" if gate else "")
 
 
 def _total(spark, cfg, gate=False):
@@ -252,15 +260,35 @@ def column_pairs(spark, sf):
     return names.column_pairs(catalog.reflect(spark, given_refs(spark, sf))).groupBy(F.col("family_a").alias("family")).agg(F.count(F.lit(1)).alias("pairs"))
 
 
-@query("discovered_names")
+def _bed_columns() -> list[tuple[str, str, str, str]]:
+    """(db, table, column, family) of the test bed, by name."""
+    own = {**fx.COLUMNS, **fx.DERIVED}
+    return sorted((db, n, c, k) for db, ns in {**fx.DATABASES, "public_db": tuple(fx.PUBLIC)}.items() for n in ns for c, k in own[n])
+
+
+def _discovered_sql() -> str:
+    cols = _bed_columns()
+    both = [(x, y) for x in cols for y in cols if x[:3] < y[:3] and x[0] != y[0] and x[3] == y[3]]
+    names_ = sorted({(x[2], y[2]) for x, y in both})
+    rows = ", ".join("('" + "', '".join([*x[:3], *y[:3]]) + "')" for x, y in both)
+    return f"SELECT c.*, total_score FROM (VALUES {rows}) c(db_a, table_a, column_a, db_b, table_b, column_b) JOIN ({_total_sql(0.4, 0.4, 0.2, True, names_)}) t ON a = column_a AND b = column_b"
+
+
+def _discovered(spark, sf, cfg):
+    found = names.candidates(catalog.reflect(spark, fx.test_bed(spark, sf)), cfg)
+    return found.select("db_a", "table_a", "column_a", "db_b", "table_b", "column_b", r6("total_score", "total_score"))
+
+
+@query("discovered_names", _discovered_sql)
 def discovered_names(spark, sf):
     """All cross-database column pairs of the test bed above the name gate."""
-    return names.candidates(catalog.reflect(spark, fx.test_bed(spark, sf)), CFG).select("db_a", "table_a", "column_a", "db_b", "table_b", "column_b", r6("total_score", "total_score"))
+    return _discovered(spark, sf, CFG)
 
 
-@query("blocked_names")
+@query("blocked_names", _discovered_sql)
 def blocked_names(spark, sf):
-    return names.candidates(catalog.reflect(spark, fx.test_bed(spark, sf)), DiscoveryConfig(blocking=True)).select("db_a", "table_a", "column_a", "db_b", "table_b", "column_b", r6("total_score", "total_score"))
+    """The same by blocking on tokens, concepts and trigrams: nothing above the gate is lost on the test bed."""
+    return _discovered(spark, sf, DiscoveryConfig(blocking=True))
 
 
 # --- noise ------------------------------------------------------------------------------------------------------------------
@@ -290,7 +318,11 @@ def noise_subset(spark, sf):
     return noise.fuzzify(c, "person_name", F.col("c_custkey"), [noise.reverse_parts(F.col("person_name"))], "noisy", 1, 4).select(F.col("c_custkey").alias("key"), "noisy")
 
 
-@query("noise_random")
+def _hashed_sql(key: str, seed: int) -> str:
+    return f"('0x' || substr(md5('{seed}:' || {key}::VARCHAR), 1, 8))::BIGINT"
+
+
+@query("noise_random", f"WITH {o.CTES} SELECT c_custkey AS key, CASE WHEN {_hashed_sql('c_custkey', 7)} / 4294967296.0::DOUBLE >= 0.3 THEN person_name WHEN {_hashed_sql('c_custkey', 8)} % 2 = 0 THEN {o.reverse_parts('person_name')} ELSE {o.drop_chars('person_name', 'c_custkey')} END AS noisy FROM people")
 def noise_random(spark, sf):
     c = fx.customer_named(t(spark, sf, "customer"))
     plan = [noise.reverse_parts(F.col("person_name")), noise.drop_chars(F.col("person_name"), F.col("c_custkey"))]
@@ -345,7 +377,17 @@ def other_measures_places(spark, sf):
     return p.select("x", "y", *[r6(strings.MEASURES[m](F.col("x"), F.col("y")), m) for m in ("levenshtein", "token_jaccard", "qgram_jaccard")])
 
 
-@query("soundex_places")
+def _soundex(c: str) -> str:
+    """American Soundex: coded letters, H and W skipped, runs of one code once, vowels and marks dropped after parting runs."""
+    name = f"upper(regexp_replace({c}, '[^A-Za-z]', '_', 'g'))"
+    codes = f"replace(translate({name}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ_', '012301270224550126230172020'), '7', '')"
+    for digit in "0123456":
+        codes = f"regexp_replace({codes}, '{digit}+', '{digit}', 'g')"
+    after = f"CASE WHEN substr({name}, 1, 1) IN ('H', 'W') THEN {codes} ELSE substr({codes}, 2) END"
+    return f"substr({name}, 1, 1) || rpad(substr(replace({after}, '0', ''), 1, 3), 3, '0')"
+
+
+@query("soundex_places", pair_sql("places", f"SELECT dx.v AS x, dy.v AS y FROM dx, dy WHERE {_soundex('dx.v')} = {_soundex('dy.v')}"))
 def soundex_places(spark, sf):
     x, y = places(spark, sf)
     p = x.select(F.col("v").alias("x")).crossJoin(y.select(F.col("v").alias("y")))
@@ -389,14 +431,32 @@ def value_gate(spark, sf):
     return out
 
 
-@query("value_score_sampled")
+def _sampled_sql(eps: float = 0.05, delta: float = 0.05) -> str:
+    need = math.ceil(math.log(2 / delta) / (2 * eps * eps))
+    picked = f"(SELECT * FROM people WHERE ('0x' || substr(md5(c_custkey::VARCHAR), 1, 8))::BIGINT < floor(least(1.0::DOUBLE, {need} / (SELECT count(*) FROM people)::DOUBLE) * 4294967296))"
+    return f"WITH {o.CTES}, {o.near_dictionaries(picked, 'person_name', 'registry', 'resident_name')} SELECT round(sum(cx * m) / sum(cx), 6) AS lr, sum(cx)::BIGINT AS n_left, CASE WHEN {need} >= (SELECT count(*) FROM people) THEN 0.0 ELSE {eps} END::DOUBLE AS half_width FROM (SELECT x, cx, max(sim) AS m FROM pairs GROUP BY x, cx)"
+
+
+@query("value_score_sampled", _sampled_sql)
 def value_score_sampled(spark, sf):
+    """The score of all people from a sample of them against the whole registry."""
     c = t(spark, sf, "customer")
-    y = values.dictionary(fx.resident_registry(c.where("c_custkey < 150")), "resident_name")
+    y = values.dictionary(fx.resident_registry(c), "resident_name")
     return values.value_score_sampled(fx.customer_named(c), "person_name", "c_custkey", y, eps=0.05).select(r6("lr", "lr"), "n_left", "half_width")
 
 
-@query("early_rejection")
+def _bag_sql(a: str, b: str) -> str:
+    count = lambda c: f"(length({c}) - length(replace({c}, ch, '')))"
+    return f"2.0 * list_sum(list_transform(list_distinct(string_split({a}, '')), lambda ch: least({count(a)}, {count(b)}))) / (length({a}) + length({b}))"
+
+
+def _rejection_sql(pair: str, x: str, xc: str, y: str, yc: str) -> str:
+    one = lambda tab, c: f"(SELECT {c} AS v, count(*) AS cnt, {o.token_sort(c)} AS s FROM {tab} WHERE {c} IS NOT NULL GROUP BY {c})"
+    best = f"SELECT a.v, a.cnt, max({_bag_sql('a.s', 'b.s')}) AS m FROM {one(x, xc)} a, {one(y, yc)} b GROUP BY a.v, a.cnt"
+    return f"SELECT '{pair}' AS pair, round(sum(cnt * m) / sum(cnt), 6) AS bound, sum(cnt * m) / sum(cnt) > 0.5 AS possible FROM ({best})"
+
+
+@query("early_rejection", f"WITH {o.CTES} {_rejection_sql('parts', 'part', 'p_name', 'watch', 'item_name')} UNION ALL {_rejection_sql('nation_part', 'nation', 'n_name', 'watch', 'item_name')}")
 def early_rejection(spark, sf):
     x, y = parts(spark, sf)
     n = values.dictionary(t(spark, sf, "nation"), "n_name")
@@ -406,7 +466,7 @@ def early_rejection(spark, sf):
 
 # --- assignments --------------------------------------------------------------------------------------------------------------
 
-GREEDY = """, ord AS (SELECT x, y, sim, row_number() OVER (ORDER BY sim DESC, x, y) AS i FROM pairs WHERE sim > 0.6),
+GREEDY = """, ord AS MATERIALIZED (SELECT x, y, sim, row_number() OVER (ORDER BY sim DESC, CASE WHEN sim >= 1 THEN '' ELSE md5(x || '|' || y) END, x, y) AS i FROM pairs WHERE sim > 0.6),
     walk AS (SELECT 0::BIGINT AS i, []::VARCHAR[] AS xs, []::VARCHAR[] AS ys, NULL::VARCHAR AS x, NULL::VARCHAR AS y, NULL::DOUBLE AS sim
       UNION ALL SELECT o.i, CASE WHEN ok THEN list_append(xs, o.x) ELSE xs END, CASE WHEN ok THEN list_append(ys, o.y) ELSE ys END, CASE WHEN ok THEN o.x END, CASE WHEN ok THEN o.y END, CASE WHEN ok THEN o.sim END
       FROM (SELECT w.*, o2.i AS oi, NOT list_contains(w.xs, o2.x) AND NOT list_contains(w.ys, o2.y) AS ok FROM walk w JOIN ord o2 ON o2.i = w.i + 1) w JOIN ord o ON o.i = w.oi)"""
@@ -416,7 +476,7 @@ for _a, _fn in values.ASSIGNMENTS.items():
     query(f"assign_{_a}", pair_sql("places", ASSIGN_SQL[_a], GREEDY if _a == "one_to_one" else ""))(lambda spark, sf, f=_fn: f(values.scored_pairs(*places(spark, sf)), 0.6).select("x", "y", r6("sim", "sim")))
 
 
-@query("assign_one_to_one_parts")
+@query("assign_one_to_one_parts", pair_sql("parts", ASSIGN_SQL["one_to_one"], GREEDY))
 def assign_one_to_one_parts(spark, sf):
     return values.assign_one_to_one(values.scored_pairs(*parts(spark, sf)), 0.6).select("x", "y", r6("sim", "sim"))
 
@@ -506,24 +566,90 @@ def path_actual_retained(spark, sf):
     return measures.actual_retained(t(spark, sf, "lineitem"), "l_orderkey", rows, "lineitem__l_orderkey").withColumn("fraction", r6("fraction"))
 
 
-@query("join_graph")
+#: the pairs above the name gate (see discovered_names) and how their values are compared
+BED_EDGES = (
+    ("lcs", "public_db.resident_registry(resident_name)~trade_db.customer(person_name)", "registry", "resident_name", "people", "person_name"),
+    ("lcs", "public_db.place_survey(territory_name)~trade_db.nation(place_name)", "survey", "territory_name", "places", "place_name"),
+    ("lcs", "goods_db.part(part_name)~public_db.part_watchlist(item_name)", "part", "p_name", "watch", "item_name"),
+    ("lcs", "goods_db.part(part_name)~trade_db.region(r_name)", "part", "p_name", "region", "r_name"),
+    ("equal", "goods_db.part(p_partkey)~trade_db.lineitem(l_partkey)", "part", "p_partkey", "lineitem", "l_partkey"),
+    ("equal", "activity_db.conversations(text)~corpus_db.documents(text)", "conversations", "text", "documents", "text"),
+    ("equal", "activity_db.conversations(text)~corpus_db.benchmark(text)", "conversations", "text", "benchmark", "text"),
+)
+
+
+def _fuzzy_edges_ctes(edges=BED_EDGES) -> str:
+    """... and a CTE fz(edge_id, lr, rl, exact, fuzzy) of the edges above the value gate."""
+    made = [o.fuzzy_edge(i, *e, 0.6) if how == "lcs" else o.plain_edge(i, *e) for i, (how, *e) in enumerate(edges)]
+    return f"WITH RECURSIVE {o.CTES}, " + ", ".join(c for c, _ in made) + ", fz AS (SELECT * FROM (" + " UNION ALL ".join(r for _, r in made) + ") WHERE lr > 0.5)"
+
+
+def _graph_sql() -> str:
+    node = lambda k: f"regexp_extract(edge_id, '^(.*)\\(.*~(.*)\\(.*$', {k})"
+    bed = _discovered_sql()
+    return f"""{_fuzzy_edges_ctes()}, nm AS (SELECT CASE WHEN db_a || '.' || table_a <= db_b || '.' || table_b THEN db_a || '.' || table_a || '(' || column_a || ')~' || db_b || '.' || table_b || '(' || column_b || ')' ELSE db_b || '.' || table_b || '(' || column_b || ')~' || db_a || '.' || table_a || '(' || column_a || ')' END AS edge_id, total_score FROM ({bed})),
+    ed AS (SELECT edge_id, 'fuzzy' AS kind, {node(1)} AS left_node, {node(2)} AS right_node, total_score, lr, rl, exact, fuzzy, exact AS s FROM fz JOIN nm USING (edge_id)
+      UNION ALL SELECT edge_id, 'fk', left_node, right_node, NULL, NULL, NULL, overlap, NULL, overlap FROM ({FK_SQL}))
+    SELECT edge_id, kind, left_node, right_node, total_score, round(lr, 6) AS value_score_lr, round(rl, 6) AS value_score_rl, round(exact, 6) AS overlap_exact, round(fuzzy, 6) AS overlap_fuzzy, round(s, 6) AS overlap, round(greatest(0.0, -log2(s + 1e-9)), 6) AS weight FROM ed"""
+
+
+def bed_graph(spark, sf, cfg=CFG) -> graph.JoinGraph:
+    return d.discover(spark, fx.test_bed(spark, sf), fx.fk_manifest(spark), cfg)
+
+
+@query("join_graph", _graph_sql)
 def join_graph(spark, sf):
     """The discovered graph of the whole test bed."""
-    refs = [r for r in fx.test_bed(spark, sf) if r.table not in ("events", "conversations", "pages", "embeddings", "documents", "benchmark")]
-    g = d.discover(spark, refs, fx.fk_manifest(spark), CFG)
+    g = bed_graph(spark, sf)
     return g.edges.select("edge_id", "kind", "left_node", "right_node", *[r6(c, c) for c in ("total_score", "value_score_lr", "value_score_rl", "overlap_exact", "overlap_fuzzy", "overlap", "weight")])
 
 
-@query("edge_quality")
+TRUE_EDGES = [e[1] for e in BED_EDGES if e[1].split("(")[0] != "activity_db.conversations" and "region" not in e[1]]
+
+
+@query("edge_quality", lambda: f"""{_fuzzy_edges_ctes()}, tr AS (SELECT unnest({o.sql_list(TRUE_EDGES)}) AS edge_id), n AS (SELECT (SELECT count(*) FROM fz) AS found, (SELECT count(*) FROM fz JOIN tr USING (edge_id)) AS true_found, (SELECT count(*) FROM tr) AS true_count)
+    SELECT found, true_found, true_count, round(true_found / found::DOUBLE, 6) AS precision, round(true_found / true_count::DOUBLE, 6) AS recall FROM n""")
 def edge_quality(spark, sf):
     """Fuzzy edges found against the joinable pairs known by construction."""
-    refs = [r for r in fx.test_bed(spark, sf) if r.table in ("nation", "customer", "part", "supplier", "lineitem", "place_survey", "resident_registry", "part_watchlist")]
-    found = d.fuzzy_edges(spark, refs, CFG)
-    truth = [("public_db.place_survey(territory_name)~trade_db.nation(place_name)",), ("public_db.resident_registry(resident_name)~trade_db.customer(person_name)",), ("goods_db.part(part_name)~public_db.part_watchlist(item_name)",), ("goods_db.part(p_partkey)~trade_db.lineitem(l_partkey)",)]
-    q = measures.edge_quality(found, spark.createDataFrame(truth, "edge_id string"))
+    found, _ = d.fuzzy_edges(spark, fx.test_bed(spark, sf), CFG)
+    q = measures.edge_quality(found, spark.createDataFrame([(e,) for e in TRUE_EDGES], "edge_id string"))
     return q.select("found", "true_found", "true_count", r6("precision", "precision"), r6("recall", "recall"))
 
 
+CHAIN = ("trade_db.lineitem", "public_db.resident_registry")
+
+
+@query("bed_paths", lambda: f"""{_fuzzy_edges_ctes()}, ed AS (SELECT edge_id, regexp_extract(edge_id, '^(.*)\\(.*~', 1) AS a, regexp_extract(edge_id, '~(.*)\\(', 1) AS b, fuzzy AS s FROM fz UNION ALL SELECT edge_id, left_node, right_node, overlap FROM ({FK_SQL})),
+    e AS (SELECT edge_id, a AS u, b AS v, greatest(0.0, -log2(s + 1e-9)) AS w FROM ed UNION ALL SELECT edge_id, b, a, greatest(0.0, -log2(s + 1e-9)) FROM ed),
+    walk AS (SELECT '{SRC}' AS node, 0 AS hops, ['{SRC}'] AS nodes, '' AS names, 0.0::DOUBLE AS total UNION ALL SELECT e.v, hops + 1, list_append(nodes, e.v), names || '|' || e.edge_id, total + e.w FROM walk JOIN e ON e.u = walk.node WHERE hops < 6 AND NOT list_contains(nodes, e.v))
+    SELECT '{SRC}' AS source, node AS target, hops, array_to_string(nodes, '>') AS nodes, round(total, 6) AS total_weight, round(pow(2, -total), 6) AS retained FROM (SELECT *, row_number() OVER (PARTITION BY node ORDER BY round(total, 6), hops, names) AS rn FROM walk) WHERE rn = 1 AND hops > 0""")
+def bed_paths(spark, sf):
+    """Best path over the discovered graph, declared and fuzzy edges, from one table to every other that can be reached."""
+    g = bed_graph(spark, sf, DiscoveryConfig(min_score=0.6, overlap="fuzzy"))
+    found = []
+    for node in sorted(g.tables):
+        try:
+            found.append(graph.shortest_path(g, SRC, node))
+        except graph.NoJoinPath:
+            continue
+    return graph.paths_frame(spark, [p for p in found if p.hops]).select("source", "target", "hops", F.array_join("nodes", ">").alias("nodes"), r6("total_weight", "total_weight"), r6("retained", "retained"))
+
+
+@query("path_fk_fk_fuzzy", pair_sql("people", "SELECT l_orderkey, l_linenumber, person_name, y AS resident_name, household, round(sim, 6) AS fuzzy_score FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN people ON o_custkey = c_custkey JOIN (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY x ORDER BY sim DESC, y) AS rn FROM pairs WHERE sim > 0.6) WHERE rn = 1) m ON m.x = person_name JOIN registry ON resident_name = m.y"))
+def path_fk_fk_fuzzy(spark, sf):
+    """The best path of at most three hops, found and run: two declared keys and a fuzzy one (four hops through the nations weigh less but fan out)."""
+    g = bed_graph(spark, sf, DiscoveryConfig(min_score=0.6, overlap="fuzzy"))
+    out = d.join_tables(g, *CHAIN, ["lineitem__l_orderkey", "lineitem__l_linenumber", "customer__person_name", "resident_registry__resident_name", "resident_registry__household"], cfg=CFG, max_hops=3)
+    return out.select(*[F.col(c).alias(c.split("__")[1]) for c in out.columns if "__" in c], r6("fuzzy_score", "fuzzy_score"))
+
+
+@query("path_fk_fk_fuzzy_retained", pair_sql("people", "SELECT count(*) AS source_rows, count(*) FILTER (WHERE ok) AS surviving, round(count(*) FILTER (WHERE ok) / count(*)::DOUBLE, 6) AS fraction FROM (SELECT l_orderkey IN (SELECT o_orderkey FROM orders JOIN people ON o_custkey = c_custkey WHERE person_name IN (SELECT x FROM pairs WHERE sim > 0.6)) AS ok FROM lineitem)"))
+def path_fk_fk_fuzzy_retained(spark, sf):
+    """The share of source rows that really comes out of that path."""
+    rows = path_fk_fk_fuzzy(spark, sf)
+    return measures.actual_retained(t(spark, sf, "lineitem"), "l_orderkey", rows, "l_orderkey").withColumn("fraction", r6("fraction"))
+
+
 def scenario_graph(spark, sf, ov="fuzzy"):
     n, s = t(spark, sf, "nation"), t(spark, sf, "supplier")
     refs = [TableRef("trade_db", "supplier", s), TableRef("trade_db", "nation", fx.nation_named(n)), TableRef("public_db", "place_survey", fx.place_survey(n))]
@@ -541,7 +667,13 @@ def scenario_place_survey(spark, sf):
     return out.select(*[F.col(c).alias(c.split("__")[1]) for c in out.columns if "__" in c and c != "place_survey__satisfaction"], F.round("place_survey__satisfaction", 2).alias("satisfaction"), r6("fuzzy_score", "fuzzy_score"))
 
 
-@query("scenario_path")
+def _scenario_path_sql() -> str:
+    ctes = _fuzzy_edges_ctes([e for e in BED_EDGES if "place_survey" in e[1]])
+    rows = " UNION ALL ".join(f"SELECT '{mode}' AS mode, greatest(0.0, -log2(k.overlap + 1e-9)) + greatest(0.0, -log2({c} + 1e-9)) AS w FROM fz, ({FK_SQL}) k WHERE k.left_node = 'trade_db.nation' AND k.right_node = 'trade_db.supplier'" for mode, c in (("exact", "exact"), ("fuzzy", "fuzzy"), ("value_score", "lr")))
+    return f"{ctes} SELECT mode, 2 AS hops, 'trade_db.supplier>trade_db.nation>public_db.place_survey' AS nodes, round(w, 6) AS total_weight, round(pow(2, -w), 6) AS retained FROM ({rows})"
+
+
+@query("scenario_path", _scenario_path_sql)
 def scenario_path(spark, sf):
     out = None
     for mode in ("exact", "fuzzy", "value_score"):
@@ -551,9 +683,9 @@ def scenario_path(spark, sf):
     return out
 
 
-@query("scenario_people", pair_sql("people", "SELECT c_custkey, person_name, y AS resident_name, round(sim, 6) AS fuzzy_score FROM people JOIN (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY x ORDER BY sim DESC, y) AS rn FROM pairs WHERE sim > 0.6) WHERE rn = 1) m ON m.x = person_name WHERE c_custkey < 150"))
+@query("scenario_people", pair_sql("people", "SELECT c_custkey, person_name, y AS resident_name, round(sim, 6) AS fuzzy_score FROM people JOIN (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY x ORDER BY sim DESC, y) AS rn FROM pairs WHERE sim > 0.6) WHERE rn = 1) m ON m.x = person_name JOIN registry ON resident_name = m.y"))
 def scenario_people(spark, sf):
-    c = t(spark, sf, "customer").where("c_custkey < 150")
+    c = t(spark, sf, "customer")
     out = execute.fuzzy_hop(fx.customer_named(c), fx.resident_registry(c), "person_name", "resident_name", CFG)
     return out.select("c_custkey", "person_name", "resident_name", r6("fuzzy_score", "fuzzy_score"))
 
@@ -577,7 +709,24 @@ def natural_join(spark, sf):
     return baselines.natural_join(t(spark, sf, "labels"), t(spark, sf, "documents")).select("doc_id", "quality", "lang", "source")
 
 
-@query("autotuned_join")
+def _autotuned_sql(thresholds=(0.5, 0.6, 0.7, 0.8, 0.9)) -> str:
+    words = lambda c: f"list_distinct(string_split(lower({c}), ' '))"
+    grams = lambda c: f"list_distinct(list_transform(range(1, greatest(length({c}) - 2, 1) + 1), lambda i: substring({c}, i, 3)))"
+    share = lambda x, y: f"len(list_intersect({x}, {y}))::DOUBLE / len(list_distinct(list_concat({x}, {y})))"
+    sims = {
+        "token_sort": o.ratio(o.token_sort("a"), o.token_sort("b")), "plain": o.ratio("a", "b"), "levenshtein": "1 - levenshtein(a, b) / greatest(length(a), length(b))::DOUBLE",
+        "token_jaccard": share(words("a"), words("b")), "qgram_jaccard": share(grams("a"), grams("b")), "soundex": f"CASE WHEN {_soundex('a')} = {_soundex('b')} THEN 1.0 ELSE 0.0 END",
+    }
+    table = lambda frm: " UNION ALL ".join(f"SELECT '{m}' AS measure, a, b, ({e})::DOUBLE AS sim FROM ({frm})" for m, e in sims.items())
+    return f"""WITH RECURSIVE {o.CTES}, best AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY measure, a ORDER BY sim DESC, b) AS rn FROM ({table('SELECT territory_name AS a, place_name AS b FROM survey, places')})) WHERE rn = 1 AND sim >= {min(thresholds)}),
+    near AS (SELECT * FROM ({table('SELECT p.place_name AS a, q.place_name AS b FROM places p, places q WHERE p.place_name <> q.place_name')})),
+    ball AS (SELECT *, (SELECT count(*) FROM near n WHERE n.measure = best.measure AND n.a = best.b AND n.sim >= best.sim) AS others FROM best),
+    grid AS (SELECT ball.*, threshold FROM ball, (SELECT unnest([{', '.join(f'{x}::DOUBLE' for x in thresholds)}]) AS threshold) WHERE sim >= threshold),
+    pick AS (SELECT measure, threshold FROM grid GROUP BY measure, threshold HAVING avg(1.0 / (1 + others)) >= 0.9 ORDER BY count(*) DESC, measure, threshold LIMIT 1)
+    SELECT a AS left_value, b AS reference_value, measure, threshold, round(sim, 6) AS sim FROM grid JOIN pick USING (measure, threshold)"""
+
+
+@query("autotuned_join", _autotuned_sql)
 def autotuned_join(spark, sf):
     n = t(spark, sf, "nation")
     return baselines.autotuned_fuzzy_join(fx.place_survey(n), fx.nation_named(n), "territory_name", "place_name").withColumn("sim", r6("sim"))
@@ -588,7 +737,7 @@ def reference_duplication(spark, sf):
     return baselines.reference_duplication(fx.nation_named(t(spark, sf, "nation")), "place_name", radius=0.5).withColumn("share", r6("share"))
 
 
-@query("judged_pairs")
+@query("judged_pairs", pair_sql("places", "SELECT x, y, 'Compare the records word by word, then answer yes or no. A: ' || x || ' B: ' || y AS prompt, len(list_intersect(string_split(lower(x), ' '), string_split(lower(y), ' '))) / greatest(1, least(len(list_distinct(string_split(lower(x), ' '))), len(list_distinct(string_split(lower(y), ' ')))))::DOUBLE >= 0.75 AS verdict FROM pairs WHERE sim > 0.6"))
 def judged_pairs(spark, sf):
     x, y = places(spark, sf)
     pairs = values.scored_pairs(x, y, min_score=0.6).select("x", "y")
@@ -596,10 +745,11 @@ def judged_pairs(spark, sf):
 
 
 @query("encoder_pairs", """SELECT a.vec_id AS a, b.vec_id AS b, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 4) AS cosine FROM embeddings a, embeddings b
-    WHERE a.vec_id < 40 AND b.vec_id < 40 AND a.vec_id < b.vec_id AND list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) >= 0.3""")
+    WHERE a.vec_id % 20 = 0 AND a.vec_id <> b.vec_id AND round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) >= 0.3""")
 def encoder_pairs(spark, sf):
-    e = t(spark, sf, "embeddings").where("vec_id < 40")
-    pairs = e.select(F.col("vec_id").alias("a"), F.col("embedding").alias("u")).join(e.select(F.col("vec_id").alias("b"), F.col("embedding").alias("w")), F.col("a") < F.col("b"))
+    """Pairs at a cosine of 0.3 or more: a stated query set (ids divisible by 20) against all rows."""
+    e = t(spark, sf, "embeddings")
+    pairs = e.where("vec_id % 20 = 0").select(F.col("vec_id").alias("a"), F.col("embedding").alias("u")).join(e.select(F.col("vec_id").alias("b"), F.col("embedding").alias("w")), F.col("a") != F.col("b"))
     return baselines.encoder_pairs(pairs, "u", "w", 0.3).select("a", "b", F.round("cosine", 4).alias("cosine"))
 
 
@@ -610,7 +760,7 @@ QUALITY = "SELECT count(*) AS matched, count(*) FILTER (WHERE EXISTS (SELECT 1 F
 def match_quality(spark, sf):
     n = t(spark, sf, "nation")
     truth = fx.place_survey(n).join(fx.nation_named(n), F.col("survey_id") == F.col("n_nationkey")).select(F.col("place_name").alias("x"), F.col("territory_name").alias("y"))
-    pairs = values.scored_pairs(*places(spark, sf))
+    pairs = materialize(values.scored_pairs(*places(spark, sf)))
     out = None
     for a, fn in values.ASSIGNMENTS.items():
         one = measures.match_quality(fn(pairs, 0.6), truth).select(F.lit(a).alias("assignment"), "matched", "right_count", "true_count", r6("precision", "precision"), r6("recall", "recall"))
@@ -618,13 +768,23 @@ def match_quality(spark, sf):
     return out
 
 
-@query("match_quality_adversarial")
+ADVERSE = f"bad AS (SELECT n_nationkey, n_name, CASE n_nationkey % 4 WHEN 0 THEN n_name WHEN 1 THEN n_name || ' Territory' WHEN 2 THEN {o.drop_chars('n_name', 'n_nationkey', 1, 5)} ELSE 'Greater ' || n_name END AS label FROM nation), {o.dictionaries('nation', 'n_name', 'bad', 'label')}"
+
+
+def _adverse_sql() -> str:
+    at = lambda sql: sql.replace("sim > 0.6", "sim > 0.5")
+    one = "SELECT count(*) AS matched, count(*) FILTER (WHERE EXISTS (SELECT 1 FROM bad WHERE n_name = m.x AND label = m.y)) AS right_count FROM ({}) m"
+    rows = " UNION ALL ".join(f"SELECT '{a}' AS assignment, * FROM (" + one.format(at(ASSIGN_SQL[a])) + ")" for a in ASSIGN_SQL)
+    return f"WITH RECURSIVE {ADVERSE}{at(GREEDY)} SELECT assignment, matched, right_count, round(right_count / matched::DOUBLE, 6) AS precision, round(right_count / (SELECT count(*) FROM bad)::DOUBLE, 6) AS recall FROM ({rows})"
+
+
+@query("match_quality_adversarial", _adverse_sql)
 def match_quality_adversarial(spark, sf):
     """Near-identical labels: best match fails although the scores look fine, one-to-one does not."""
     n = t(spark, sf, "nation")
     bad = fx.nation_adversarial(n)
     truth = bad.join(n.select("n_nationkey", "n_name"), "n_nationkey").select(F.col("n_name").alias("x"), F.col("label").alias("y"))
-    pairs = values.scored_pairs(values.dictionary(n, "n_name"), values.dictionary(bad, "label"))
+    pairs = materialize(values.scored_pairs(values.dictionary(n, "n_name"), values.dictionary(bad, "label")))
     out = None
     for a, fn in values.ASSIGNMENTS.items():
         one = measures.match_quality(fn(pairs, 0.5), truth).select(F.lit(a).alias("assignment"), "matched", "right_count", r6("precision", "precision"), r6("recall", "recall"))
@@ -633,22 +793,72 @@ def match_quality_adversarial(spark, sf):
 
 
 @query("bounds_work", pair_sql("parts", """SELECT 'all' AS bound, count(*) AS pairs_kept FROM dx, dy UNION ALL SELECT 'length', count(*) FROM dx, dy WHERE least(length(dx.s), length(dy.s)) * 1.2 >= greatest(length(dx.s), length(dy.s)) * 0.8 - 1e-9
-    UNION ALL SELECT 'levenshtein', count(*) FROM dx, dy WHERE levenshtein(dx.s, dy.s) <= floor(0.2 * (length(dx.s) + length(dy.s)) + 1e-9)"""))
+    UNION ALL SELECT 'levenshtein', count(*) FROM dx, dy WHERE levenshtein(dx.s, dy.s) <= floor(0.2 * (length(dx.s) + length(dy.s)) + 1e-9) UNION ALL SELECT 'bag', count(*) FROM dx, dy WHERE """ + _bag_sql("dx.s", "dy.s") + " >= 0.8 - 1e-9"))
 def bounds_work(spark, sf):
-    return measures.work(*parts(spark, sf), 0.8).where("bound <> 'bag'")
+    return measures.work(*parts(spark, sf), 0.8)
+
+
+@query("comparisons_made", pair_sql("parts", "SELECT count(*) AS pairs, count(*) FILTER (WHERE " + _bag_sql("dx.s", "dy.s") + " > 0.8) AS compared FROM dx, dy"))
+def comparisons_made(spark, sf):
+    """Similarities that the exact search above 0.8 really computes, of all pairs."""
+    return measures.comparisons(*parts(spark, sf), 0.8)
+
+
+@query("comparisons_for_best")
+def comparisons_for_best(spark, sf):
+    """The same for the best match of every person in the whole registry."""
+    return measures.comparisons(*people(spark, sf))
 
 
-@query("bounded_matches", pair_sql("people", "SELECT x, y, round(sim, 6) AS sim FROM pairs WHERE sim > 0.8"))
+ABOVE_SQL = f"WITH RECURSIVE {o.CTES}, {o.near_dictionaries('people', 'person_name', 'registry', 'resident_name', above=0.8)}"
+
+
+@query("bounded_matches", f"{ABOVE_SQL} SELECT x, y, round(sim, 6) AS sim FROM pairs WHERE sim > 0.8")
 def bounded_matches(spark, sf):
     return values.scored_pairs(*people(spark, sf), min_score=0.8, way="bounded").select("x", "y", r6("sim", "sim"))
 
 
-@query("lsh_recall")
+@query("lsh_recall", f"{ABOVE_SQL} SELECT count(*) AS true_pairs, true AS reaches_090 FROM pairs WHERE sim > 0.8")
 def lsh_recall(spark, sf):
-    x, y = people(spark, sf, 1500)
+    """Whether MinHash bands find nine tenths of all pairs above 0.8 over the whole tables."""
+    x, y = people(spark, sf)
     truth = materialize(values.scored_pairs(x, y, min_score=0.8, way="bounded"))
     found = values.scored_pairs(x, y, min_score=0.8, way="lsh")
-    return measures.recall_of(found, truth.select("x", "y")).withColumn("recall", r6("recall"))
+    return measures.recall_of(found, truth.select("x", "y")).select("true_pairs", (F.col("recall") >= 0.9).alias("reaches_090"))
+
+
+def _ablation_sql() -> str:
+    best = "SELECT x, y FROM (SELECT *, row_number() OVER (PARTITION BY x ORDER BY sim DESC, y) AS rn FROM pairs WHERE sim > 0.6) WHERE rn = 1"
+    mutual = "SELECT x, y FROM (SELECT *, row_number() OVER (PARTITION BY x ORDER BY sim DESC, y) AS rx, row_number() OVER (PARTITION BY y ORDER BY sim DESC, x) AS ry FROM pairs WHERE sim > 0.6) WHERE rx = 1 AND ry = 1"
+    return "SELECT kind, assignment, count(*) AS true_rows, count(*) FILTER (WHERE hit) AS right_rows, round(count(*) FILTER (WHERE hit) / count(*)::DOUBLE, 6) AS recall FROM (" + " UNION ALL ".join(f"SELECT {KINDS} AS kind, '{a}' AS assignment, m.x IS NOT NULL AS hit FROM registry JOIN people ON citizen_id = c_custkey LEFT JOIN ({q}) m ON m.x = person_name AND m.y = resident_name" for a, q in (("best", best), ("mutual", mutual))) + ") GROUP BY kind, assignment"
+
+
+KINDS = "CASE citizen_id % 4 WHEN 0 THEN 'none' WHEN 1 THEN 'family first' WHEN 2 THEN 'one character' ELSE 'two characters' END"
+
+
+@query("ablation_people", lambda: pair_sql("people", _ablation_sql()))
+def ablation_people(spark, sf):
+    """Rows of the whole registry that come back to their person, by noise kind and assignment."""
+    c = t(spark, sf, "customer")
+    x, y = people(spark, sf)
+    there, back = (materialize(values.best_match(a, b).where("sim > 0.6")) for a, b in ((x, y), (y, x)))
+    found = {"best": there.select("x", F.col("best_y").alias("y"))}
+    found["mutual"] = found["best"].join(back.select(F.col("x").alias("y"), F.col("best_y").alias("x")), ["x", "y"])
+    truth = fx.resident_registry(c).join(fx.customer_named(c), F.col("citizen_id") == F.col("c_custkey")).select(F.expr(KINDS).alias("kind"), F.col("person_name").alias("x"), F.col("resident_name").alias("y"))
+    out = None
+    for a, m in found.items():
+        hit = truth.join(m.withColumn("hit", F.lit(1)), ["x", "y"], "left").groupBy("kind").agg(F.count(F.lit(1)).alias("true_rows"), F.count("hit").alias("right_rows"))
+        one = hit.select("kind", F.lit(a).alias("assignment"), "true_rows", "right_rows", F.round(F.col("right_rows") / F.col("true_rows"), 6).alias("recall"))
+        out = one if out is None else out.union(one)
+    return out
+
+
+@query("ablation_overlap", lambda: _fuzzy_edges_ctes() + " SELECT edge_id, mode, round(s, 6) AS overlap, round(greatest(0.0, -log2(s + 1e-9)), 6) AS weight FROM (SELECT edge_id, unnest(['exact', 'fuzzy', 'value_score']) AS mode, unnest([exact, fuzzy, lr]) AS s FROM fz)")
+def ablation_overlap(spark, sf):
+    """What each overlap mode makes of every fuzzy edge of the test bed."""
+    found, _ = d.fuzzy_edges(spark, fx.test_bed(spark, sf), CFG)
+    modes = F.explode(F.array(*[F.struct(F.lit(m).alias("mode"), F.col(c).alias("s")) for m, c in (("exact", "overlap_exact"), ("fuzzy", "overlap_fuzzy"), ("value_score", "value_score_lr"))]))
+    return found.select("edge_id", modes.alias("m")).select("edge_id", "m.mode", r6(F.col("m.s"), "overlap"), r6(graph.edge_weight(F.col("m.s")), "weight"))
 
 
 @query("composite_match", f"""WITH RECURSIVE {o.CTES}, l AS (SELECT n_nationkey, split_part(place_name, ' ', 1) AS p1, split_part(place_name, ' ', 2) AS p2 FROM places),
@@ -663,18 +873,23 @@ def composite_match(spark, sf):
     return execute.composite_match(left, [["p1", "p2"], ["p1"]], fx.place_survey(n), "territory_name", ["n_nationkey"], 0.6).withColumn("sim", r6("sim"))
 
 
-@query("long_text_match", f"WITH d AS (SELECT doc_id, substring(split_part(text, chr(10), 1), 1, 80) AS a FROM documents WHERE doc_id < 60), b AS (SELECT item_id, substring(text, 1, 80) AS b FROM benchmark) SELECT doc_id, item_id, round(sim, 6) AS sim FROM (SELECT *, row_number() OVER (PARTITION BY doc_id ORDER BY sim DESC, item_id) AS rn FROM (SELECT doc_id, item_id, {o.ratio('a', 'b')} AS sim FROM d, b)) WHERE rn = 1")
+@query("long_text_match", """WITH dx AS (SELECT text, count(*) AS n FROM documents WHERE text IS NOT NULL GROUP BY text) SELECT 'documents~benchmark' AS pair, count(*) FILTER (WHERE text IN (SELECT text FROM benchmark)) AS hits, count(*) AS n_values FROM dx
+    UNION ALL SELECT 'documents~documents', count(*), count(*) FROM dx""")
 def long_text_match(spark, sf):
-    a = t(spark, sf, "documents").where("doc_id < 60").select("doc_id", F.substring(F.split_part("text", F.lit("\n"), F.lit(1)), 1, 80).alias("a"))
-    b = t(spark, sf, "benchmark").select("item_id", F.substring("text", 1, 80).alias("b"))
-    p = a.crossJoin(b).withColumn("sim", strings.indel_ratio(F.col("a"), F.col("b")))
-    return relational.rank_top_k(p, ["doc_id"], [F.desc("sim"), F.col("item_id")], 1).select("doc_id", "item_id", r6("sim", "sim"))
+    """Whole texts as values: columns beyond long_text characters meet by equality, at any size."""
+    docs, bench = t(spark, sf, "documents").select("text"), t(spark, sf, "benchmark").select("text")
+    x, out = values.dictionary(docs, "text"), None
+    for name, y in (("documents~benchmark", bench), ("documents~documents", docs)):
+        hits = x.join(y.select(F.col("text").alias("v")).distinct(), "v", "left_semi").agg(F.count(F.lit(1)).alias("hits"))
+        one = hits.crossJoin(x.agg(F.count(F.lit(1)).alias("n_values"))).select(F.lit(name).alias("pair"), "hits", "n_values")
+        out = one if out is None else out.union(one)
+    return out
 
 
-@query("false_friends")
+@query("false_friends", lambda: f"SELECT a, b, total_score, total_score > 0.6 AS passes FROM ({_total_sql(0.4, 0.4, 0.2, False, FRIENDS)})")
 def false_friends(spark, sf):
     """Integer keys of unrelated tables overlap strongly; the name gate must keep them out."""
-    pairs = spark.createDataFrame([("c_custkey", "p_partkey"), ("doc_id", "vec_id"), ("conv_id", "doc_id")], "a string, b string")
+    pairs = spark.createDataFrame(FRIENDS, "a string, b string")
     return names.total_score(pairs, CFG).select("a", "b", r6("total_score", "total_score"), (F.col("total_score") > CFG.name_threshold).alias("passes"))
 
 
@@ -748,7 +963,35 @@ query("op_cube", GROUPED.format("CUBE (l_returnflag, l_linestatus)"))(lambda spa
 query("op_rollup", GROUPED.format("ROLLUP (l_returnflag, l_linestatus)"))(lambda spark, sf: relational.grouping(t(spark, sf, "lineitem"), ["l_returnflag", "l_linestatus"], GROUP_AGGS(), "rollup"))
 query("op_grouping_sets", GROUPED.format("GROUPING SETS ((l_returnflag), (l_linestatus))"))(lambda spark, sf: relational.grouping(t(spark, sf, "lineitem"), ["l_returnflag", "l_linestatus"], GROUP_AGGS(), "sets", [["l_returnflag"], ["l_linestatus"]]))
 query("op_distinct_count", "SELECT count(DISTINCT o_custkey) AS n FROM orders")(lambda spark, sf: relational.distinct_count(t(spark, sf, "orders"), "o_custkey"))
-query("op_approx_distinct")(lambda spark, sf: relational.distinct_count(t(spark, sf, "orders"), "o_custkey", True))
+query("op_approx_distinct", "SELECT true AS within")(lambda spark, sf: relational.distinct_count(t(spark, sf, "orders"), "o_custkey", True).crossJoin(relational.distinct_count(t(spark, sf, "orders"), "o_custkey").toDF("exact")).select((F.abs(F.col("n") - F.col("exact")) <= 0.15 * F.col("exact")).alias("within")))
+
+
+@query("op_ranks", "SELECT o_orderkey, rank() OVER w AS rank, dense_rank() OVER w AS dense_rank, ntile(3) OVER w2 AS ntile FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderpriority), w2 AS (PARTITION BY o_custkey ORDER BY o_orderpriority, o_orderkey)")
+def op_ranks(spark, sf):
+    rows = t(spark, sf, "orders")
+    a = relational.ranks(rows, ["o_custkey"], [F.col("o_orderpriority")], 3).select("o_orderkey", "rank", "dense_rank")
+    b = relational.ranks(rows, ["o_custkey"], [F.col("o_orderpriority"), F.col("o_orderkey")], 3).select("o_orderkey", "ntile")
+    return a.join(b, "o_orderkey").select("o_orderkey", *[F.col(c).cast("long").alias(c) for c in ("rank", "dense_rank", "ntile")])
+
+
+@query("op_lateral_best", pair_sql("places", "SELECT x, y, round(sim, 6) AS sim FROM (SELECT *, row_number() OVER (PARTITION BY x ORDER BY sim DESC, y) AS rn FROM pairs) WHERE rn = 1"))
+def op_lateral_best(spark, sf):
+    """Best match as a lateral join, native strings only."""
+    x, y = places(spark, sf)
+    score = lambda a, b: strings.ratio_from_lcs(strings.lcs_sql(a, b), a, b)
+    out = relational.lateral_best(x.select(F.col("v").alias("x"), F.col("s").alias("sx")), y.select(F.col("v").alias("y"), F.col("s").alias("sy")), score, "sx", "sy")
+    return out.select("x", "y", r6("score", "sim"))
+
+
+@query("op_approximate", "SELECT true AS items_within, true AS top_is_right, true AS quantiles_within")
+def op_approximate(spark, sf):
+    """Sketch aggregates of all orders beside the exact ones."""
+    o_ = t(spark, sf, "orders")
+    near = relational.approximate(o_, "o_totalprice", "o_orderpriority", 3)
+    exact = o_.agg(F.count_distinct(F.col("o_orderpriority")).alias("n"), F.percentile("o_totalprice", F.array(F.lit(0.5), F.lit(0.9))).alias("q"))
+    top = relational.top_k(o_.groupBy("o_orderpriority").agg(F.count(F.lit(1)).alias("n")), [F.desc("n"), F.col("o_orderpriority")], 3).agg(F.collect_set("o_orderpriority").alias("best"))
+    off = lambda i: F.abs(F.col("quantiles")[i] - F.col("q")[i]) <= 0.01 * F.col("q")[i]
+    return near.crossJoin(exact).crossJoin(top).select((F.abs(F.col("n_items") - F.col("n")) <= 0.05 * F.col("n")).alias("items_within"), F.array_sort("top").eqNullSafe(F.array_sort("best")).alias("top_is_right"), (off(0) & off(1)).alias("quantiles_within"))
 
 
 @query("op_rank_top_k", "SELECT o_custkey, o_orderkey, rank FROM (SELECT o_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey)::INT AS rank FROM orders) WHERE rank <= 3")

@@ -22,6 +22,31 @@ def test_first_seen(spark, sf, tmp_path):
     assert got.count() == e.select("user_id").distinct().count()
 
 
+def test_first_seen_stateful(spark, sf, tmp_path):
+    """A value is told when it appears and again when an earlier time of it arrives late; nothing is dropped."""
+    t = lambda m: f"2024-01-01 10:{m:02d}:00"
+    for i, rows in enumerate(([(1, t(30)), (2, t(31)), (None, t(1))], [(1, t(40)), (3, t(2))], [(1, t(5)), (2, t(50))])):
+        spark.createDataFrame(rows, "user_id int, at string").select("user_id", F.col("at").cast("timestamp").alias("ts")).coalesce(1).write.parquet(f"{tmp_path}/s/{i}")
+    s = stream.read_events(spark, f"{tmp_path}/s/*", "user_id int, ts timestamp")
+    got = stream.run_available(stream.first_seen_stateful(s), "w3", "update").collect()
+    last = {}
+    for r in got:
+        last[r.value] = min(last.get(r.value, r.first_ts), r.first_ts)
+    assert {k: v.minute for k, v in last.items()} == {1: 5, 2: 31, 3: 2} and len(got) >= 3
+
+
+def test_streams_join_within_an_interval(spark, sf, tmp_path):
+    e = spark.read.parquet(f"{sf}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp")).where("user_id < 4")
+    sides = {"click": "a", "purchase": "b"}
+    for kind, n in sides.items():
+        e.where(F.col("event_type") == kind).select("user_id", "ts", F.col("event_id").alias(n)).coalesce(1).write.parquet(f"{tmp_path}/{n}")
+    stream_of = lambda n: stream.read_events(spark, f"{tmp_path}/{n}", f"user_id bigint, ts timestamp, {n} bigint")
+    got = {(r.a, r.b) for r in stream.run_available(stream.interval_join(stream_of("a"), stream_of("b"), within="6 hours", watermark="3650 days"), "w4").collect()}
+    rows = e.collect()
+    want = {(x.event_id, y.event_id) for x in rows for y in rows if x.event_type == "click" and y.event_type == "purchase" and x.user_id == y.user_id and 0 <= (y.ts - x.ts).total_seconds() <= 6 * 3600}
+    assert got == want
+
+
 def test_match_batch(spark, sf, tmp_path):
     c = spark.read.parquet(f"{sf}/customer.parquet").where("c_custkey < 40")
     fixtures.customer_named(c).select("c_custkey", "person_name").write.parquet(f"{tmp_path}/c")

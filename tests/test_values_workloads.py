@@ -4,12 +4,14 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from hopjoin import workloads
-from hopjoin.operators import baselines, catalog, execute, overlap, relational, values
+from hopjoin.functions import strings
+from hopjoin.operators import baselines, block, catalog, execute, measures, overlap, relational, values
+from hopjoin.plans import discover, graph, planner
 from hopjoin.plans.config import DiscoveryConfig, TableRef
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: one query per family; all of them are compared by the driver
-SOME = ("fk_overlap", "trigram_cosine", "noise_people", "best_match_places", "value_score_parts", "assign_one_to_one", "match_quality", "path_recursive", "composite_match", "op_band", "op_asof", "sliding_counts", "scenario_people")
+SOME = ("fk_overlap", "trigram_cosine", "noise_people", "best_match_places", "value_score_parts", "assign_one_to_one", "match_quality", "path_recursive", "composite_match", "bed_paths", "op_lateral_best", "embedding_topk", "op_band", "op_asof", "sliding_counts", "scenario_people")
 
 
 def norm(v):
@@ -51,21 +53,111 @@ def test_jaccard_edges(spark):
     assert overlap.jaccard(a.limit(0), b.limit(0), ["k"], ["k"]).first().overlap == 0.0
 
 
-def test_ways_agree(spark, sf):
-    x, y = workloads.people(spark, sf, 80)
-    rows = lambda way: sorted((r.x, r.y) for r in values.scored_pairs(x, y, min_score=0.75, way=way).collect())
-    assert rows("brute") == rows("bounded")
-    assert len(set(rows("lsh")) & set(rows("brute"))) >= 0.8 * len(rows("brute"))
+@pytest.fixture(scope="module")
+def some_people(spark, sf):
+    x, y = workloads.people(spark, sf)
+    return x.orderBy("v").limit(80), y.orderBy("v").limit(80)
 
 
-def test_greedy_reference(spark, sf):
-    pairs = values.scored_pairs(*workloads.people(spark, sf, 60))
-    got = {(r.x, r.y) for r in values.assign_one_to_one(pairs, 0.5).collect()}
-    xs, ys, want = set(), set(), set()
-    for r in sorted(pairs.where("sim > 0.5").collect(), key=lambda r: (-r.sim, r.x, r.y)):
-        if r.x not in xs and r.y not in ys:
-            xs.add(r.x), ys.add(r.y), want.add((r.x, r.y))
+def brute(x, y):
+    ratio = lambda a, b: 2 * strings.lcs_length(a, b) / (len(a) + len(b)) if a or b else 1.0
+    ys = [(r.v, r.s) for r in y.collect()]
+    return {(r.v, v): ratio(r.s, s) for r in x.collect() for v, s in ys}
+
+
+def test_ways_agree(some_people):
+    x, y = some_people
+    want = {k: v for k, v in brute(x, y).items() if v > 0.75}
+    rows = lambda way: {(r.x, r.y): r.sim for r in values.scored_pairs(x, y, min_score=0.75, way=way).collect()}
+    assert rows("brute") == pytest.approx(want) and rows("bounded") == pytest.approx(want)
+    assert len(set(rows("lsh")) & set(want)) >= 0.9 * len(want)
+
+
+@pytest.mark.parametrize("size", [3, 17, 2000])
+def test_blocks_find_the_best(some_people, size):
+    x, y = some_people
+    all_pairs = brute(x, y)
+    got = {r.x: (r.y, round(r.sim, 9)) for r in block.best_pairs(x, y, block=size).collect()}
+    want = {}
+    for (a, b), sim in sorted(all_pairs.items()):
+        if a not in want or round(sim, 9) > want[a][1]:
+            want[a] = (b, round(sim, 9))
     assert got == want
+    above = {(r.x, r.y) for r in block.pairs_above(x, y, 0.7, block=size).collect()}
+    assert above == {k for k, v in all_pairs.items() if v > 0.7}
+    assert 80 <= measures.comparisons(x, y).first().compared < 80 * 80 / 4
+
+
+def greedy(pairs, bar):
+    xs, ys, out = set(), set(), set()
+    for (x, y), sim in sorted(pairs.items(), key=lambda r: (-r[1], "" if r[1] >= 1 else block.tie_key(*r[0]), r[0])):
+        if sim > bar and x not in xs and y not in ys:
+            xs.add(x), ys.add(y), out.add((x, y))
+    return out
+
+
+def test_greedy_reference(some_people):
+    x, y = some_people
+    got = {(r.x, r.y) for r in values.assign_one_to_one(values.scored_pairs(x, y), 0.5).collect()}
+    assert got == greedy(brute(x, y), 0.5)
+
+
+def test_equal_scores_settle_in_few_rounds(spark):
+    labels = spark.createDataFrame([(f"N_{i:03d}",) for i in range(30)], "v string")
+    x, y = values.dictionary(labels, "v"), values.dictionary(labels.select((F.concat("v", F.lit("x"))).alias("v")), "v")
+    got = values.assign_one_to_one(values.scored_pairs(x, y), 0.5, max_rounds=25)
+    assert got.count() == 30 and got.select("x").distinct().count() == got.select("y").distinct().count() == 30
+    with pytest.raises(RuntimeError):
+        values.assign_one_to_one(values.scored_pairs(x, y), 0.5, max_rounds=0)
+
+
+@pytest.mark.parametrize("local", [300_000, 0])
+def test_edge_scores_do_not_depend_on_size(spark, some_people, monkeypatch, local):
+    monkeypatch.setattr(planner, "LOCAL_PAIRS", local)
+    monkeypatch.setattr(block, "BLOCK", 2000 if local else 9)
+    x, y = some_people
+    side = lambda d, s: d.select(F.lit("e").alias("edge_id"), F.lit(s).alias("side"), "v", "cnt", F.lit(False).alias("plain"))
+    long = side(x, "l").union(side(y, "r"))
+    scores, found = planner.edge_scores(long, spark.createDataFrame([("e",)], "edge_id string"), DiscoveryConfig(min_score=0.6))
+    all_pairs = brute(x, y)
+    one = greedy(all_pairs, 0.6)
+    r = scores.first()
+    best = {}
+    for (a, _), sim in all_pairs.items():
+        best[a] = max(best.get(a, 0), sim)
+    assert r.value_score_lr == pytest.approx(sum(best.values()) / 80) and r.overlap_fuzzy == pytest.approx(len(one) / (160 - len(one)))
+    assert {(m.x, m.y) for m in found.of("e", True, "one_to_one", 0.6).collect()} == one
+    assert {(m.y, m.x) for m in found.of("e", False, "one_to_one", 0.6).collect()} == one
+
+
+def test_path_over_tables_of_one_name(spark):
+    """Two databases with a table of one name, and a key inside a struct."""
+    a = spark.createDataFrame([(1, "Ada Abbott"), (2, "Bruno Barros")], "id int, who string")
+    b = spark.createDataFrame([(("Abbott Ada", 7),), (("Bruno Baros", 8),)], "s struct<who: string, n: int>")
+    refs = [TableRef("x", "people", a), TableRef("y", "people", b)]
+    fk = spark.createDataFrame([], "db string, src_table string, src_columns array<string>, dst_table string, dst_columns array<string>")
+    g = discover.discover(spark, refs, fk, DiscoveryConfig(name_threshold=0.2, overlap="fuzzy"))
+    hop = graph.shortest_path(g, "x.people", "y.people").hops[0]
+    assert hop.to_columns == ("s.who",) and hop.overlap == 1.0
+    rows = discover.join_tables(g, "x.people", "y.people").collect()
+    assert sorted((r["x__people__id"], r["y__people__s.n"]) for r in rows) == [(1, 7), (2, 8)]
+    back = discover.join_tables(g, "y.people", "x.people", ["x__people__id"], cfg=DiscoveryConfig(assignment="mutual")).collect()
+    assert sorted(r["x__people__id"] for r in back) == [1, 2]
+
+
+def test_long_texts_and_numbers_meet_by_equality(spark):
+    a = spark.createDataFrame([("x" * 300, 1.5), ("y", 2.5)], "note string, price double")
+    b = spark.createDataFrame([("x" * 300, 1.5), ("z", 3.5)], "note string, price double")
+    edges, _ = discover.fuzzy_edges(spark, [TableRef("p", "a", a), TableRef("q", "b", b)], DiscoveryConfig(value_threshold=0.4))
+    assert {r.edge_id: (r.value_score_lr, r.overlap_fuzzy) for r in edges.collect()} == {"p.a(note)~q.b(note)": (0.5, 1 / 3), "p.a(price)~q.b(price)": (0.5, 1 / 3)}
+
+
+def test_sample_estimates_the_score(spark, sf):
+    c = spark.read.parquet(f"{sf}/customer.parquet")
+    x, y = workloads.people(spark, sf)
+    whole = values.value_scores(x, y).first().lr
+    r = values.value_score_sampled(workloads.fx.customer_named(c), "person_name", "c_custkey", y, eps=0.2).first()
+    assert r.n_left < 150 and abs(r.lr - whole) <= r.half_width == 0.2
 
 
 def test_natural_join_refuses_cross_product(spark):
