@@ -3,14 +3,17 @@
 1. Every document gets a permutation key from a digest of its id; the key's leading bits name a block of its source.
 2. Source targets: weights in source order share `share` of all words; a target stops at `cap` times its source, what is
    left over goes to the others by weight until none is above (closed form over the sorted cap-to-weight ratios).
-3. A source is drawn whole floor(target / size) times; the rest is a run of permuted blocks, the last one cut inside,
-   followed by a few best-fitting single documents, so the words taken come within a few words of the target.
+3. A source is drawn whole floor(target / size) times; the rest is a run of permuted blocks, the last one cut inside.  A
+   document that is longer than what is still wanted is skipped and the run goes on behind it, until nothing fits; one
+   document that overshoots follows if that comes nearer to the target.
 4. The block draws of all sources are dealt to output shards by a binary tree: at each node the left half's count of each
    source is drawn from the multivariate hypergeometric law (sequential sampling with hashed uniforms: same rows, same
    draw, whatever the partitioning).  A shard then takes the next disjoint run of permuted blocks of each source and is
    shuffled locally.
 
-Only sources x blocks rows (at most about 65,536 while there are fewer sources than that) are ever gathered for the tree.
+Blocks and shards grow with the data: about BLOCKS_PER_SHARD blocks of each source a shard, up to MAX_CELLS cells (source,
+block) and 2**MAX_LEVELS shards; the cells go to the documents by broadcast up to BROADCAST_CELLS and by a join beyond.
+Only the tree's counts per source, and one row per source, meet in single tasks.
 
 Defined results: a null text has size 0, a null source is a source of its own (last in order), a null id hashes like an
 empty one; equal ids share a key and are taken together; an empty table gives an empty mix; a source without words has
@@ -28,8 +31,10 @@ from .common import WORD_CLASS, materialize, safe_prefix, table, whole_text
 
 WEIGHTS = (5, 2, 1)
 KEY_BITS = 60
-MAX_CELLS = 65_536
-FIT_ROUNDS = 6
+MAX_CELLS, BROADCAST_CELLS = 1 << 22, 65_536
+MAX_LEVELS, BLOCKS_PER_SHARD, LEAST_CELLS = 19, 8, 4096
+#: rounds of skipping documents that do not fit, at most; the oracle has so many of them
+SKIPS = 16
 
 
 def permutation_key(doc_id: Column, seed: int) -> Column:
@@ -79,6 +84,30 @@ def split_tree(quotas: DataFrame, levels: int, seed: int) -> DataFrame:
     return nodes.select(F.col("node").alias("shard"), "skey", "n")
 
 
+def _run_on(units: DataFrame, plan: DataFrame, block: Column, bits: int, small) -> DataFrame:
+    """One more run of each open source: documents behind its cut that fit into what is left, in permuted order, while they fit.
+
+    plan(skey, ..., cut, left, runs, open): a run (lo, hi, g) takes the documents of size g at most with lo < u <= hi.
+    """
+    live = plan.where("open").select("skey", "cut", "left")
+    fits = units.join(small(live), "skey").where((F.col("u") > F.col("cut")) & (F.col("size") > 0) & (F.col("size") <= F.col("left"))).withColumn("block", block)
+    upto = F.sum("words").over(Window.partitionBy("skey").orderBy("block"))
+    sums = fits.groupBy("skey", "block").agg(F.sum("size").alias("words"), F.max("u").alias("last")).withColumn("upto", upto).join(small(live), "skey")
+    within = sums.where("upto <= left").groupBy("skey").agg(F.max("upto").alias("base"), F.max("last").alias("hi0"))
+    edge = sums.where("upto > left and upto - words <= left").groupBy("skey").agg(F.min("block").alias("edge"), F.min_by(F.col("upto") - F.col("words"), "block").alias("before"))
+    inside = fits.join(small(edge), "skey").where(F.col("block") == F.col("edge"))
+    inside = inside.withColumn("cum", F.col("before") + F.sum("size").over(Window.partitionBy("skey").orderBy("u"))).where("cum <= left")
+    inside = inside.groupBy("skey").agg(F.max("u").alias("hi1"), F.max("cum").alias("taken1"))
+    step = within.join(inside, "skey", "full").select("skey", F.greatest("hi0", "hi1").alias("hi"), F.greatest("base", "taken1").alias("taken"))
+    out = plan.join(step, "skey", "left")
+    run = F.array(F.struct(F.col("cut").alias("lo"), F.col("hi"), F.col("left").alias("g")))
+    moved = F.col("hi").isNotNull()
+    return out.select(
+        "skey", "source_size", "target", "full", F.coalesce("hi", "cut").alias("cut"), (F.col("left") - F.coalesce("taken", F.lit(0))).alias("left"),
+        F.when(moved, F.concat("runs", run)).otherwise(F.col("runs")).alias("runs"), moved.alias("open"),
+    )
+
+
 def mix_plan(docs: DataFrame, text: str = "text", source: str = "source", doc_id: str = "doc_id", weights=WEIGHTS, share: float = 1.5, cap: float = 2.0, words_per_shard: int = 4_000_000, seed: int = 17) -> tuple[DataFrame, str]:
     """docs with helper columns <p>size, <p>source_size, <p>target, <p>u and <p>shards (one entry per copy the mix takes).
 
@@ -89,42 +118,35 @@ def mix_plan(docs: DataFrame, text: str = "text", source: str = "source", doc_id
     skey = F.coalesce(F.concat(F.lit("s"), F.col(source).cast("string")), F.lit("n"))
     u = permutation_key(F.col(doc_id), seed)
     slim = docs.select(skey.alias("skey"), F.col(source).alias("source"), u.alias("u"), size.alias("size"))
-    units = materialize(slim.groupBy("skey", "u").agg(F.first("source").alias("source"), F.sum("size").alias("size")))
+    units = materialize(slim.groupBy("skey", "u").agg(F.first("source").alias("source"), F.sum("size").alias("size"), F.count(F.lit(1)).alias("n")))
     by_source = materialize(units.groupBy("skey").agg(F.first("source").alias("source"), F.sum("size").alias("source_size")))
     n_sources, total = by_source.agg(F.count(F.lit(1)), F.coalesce(F.sum("source_size"), F.lit(0))).first()
-    bits = max(0, min(12, int(math.log2(max(1, MAX_CELLS // max(1, n_sources))))))
-    levels = max(0, math.ceil(math.log2(max(1.0, share * total / words_per_shard))))
+    levels = max(0, min(MAX_LEVELS, math.ceil(math.log2(max(1.0, share * total / words_per_shard)))))
+    cells = min(MAX_CELLS, max(LEAST_CELLS * max(1, n_sources), n_sources * BLOCKS_PER_SHARD << levels))
+    bits = max(0, int(math.log2(max(1, cells // max(1, n_sources)))))
     block = F.shiftright(F.col("u"), KEY_BITS - bits).cast("long")
 
     targets = source_targets(by_source, weights, share, cap)
     full = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0)).cast("long")
     targets = targets.withColumn("full", full).withColumn("rest", F.col("target") - F.col("full") * F.col("source_size"))
-    targets = materialize(targets)
-
-    blocks = units.groupBy("skey", block.alias("block")).agg(F.sum("size").alias("words"))
-    run = F.sum("words").over(Window.partitionBy("skey").orderBy("block"))
-    blocks = materialize(blocks.withColumn("upto", run).join(targets, "skey"))
-    edge = blocks.where("upto > rest and upto - words <= rest").groupBy("skey").agg(F.min("block").alias("edge"), F.min_by(F.col("upto") - F.col("words"), "block").alias("base"), F.first("rest").alias("rest"))
+    blocks = materialize(units.groupBy("skey", block.alias("block")).agg(F.lit(1).alias("one")).drop("one").join(targets.select("skey", "full"), "skey"))
     small = lambda df: F.broadcast(df) if n_sources <= 4096 else df  # noqa: E731  one row per source, counted above
-    inside = units.join(small(edge), "skey").where(block == F.col("edge"))
-    inside = inside.withColumn("cum", F.col("base") + F.sum("size").over(Window.partitionBy("skey").orderBy("u")))
-    lower = F.col("edge") * F.lit(1 << (KEY_BITS - bits)) - 1
-    cut = edge.join(inside.where("cum <= rest").groupBy("skey").agg(F.max("u").alias("cu"), F.max("cum").alias("cw")), "skey", "left")
-    cut = cut.select("skey", F.coalesce("cu", lower).alias("cut"), (F.col("rest") - F.coalesce("cw", "base")).alias("left"))
-    plan = targets.join(cut, "skey", "left").select("skey", "source_size", "target", "full", F.coalesce("cut", F.lit(-1).cast("long")).alias("cut"), F.coalesce("left", F.lit(0.0)).alias("left"), F.array().cast("array<bigint>").alias("picks"))
+    none = F.array().cast("array<struct<lo:bigint,hi:bigint,g:double>>")
+    plan = targets.select("skey", "source_size", "target", "full", F.lit(-1).cast("long").alias("cut"), F.col("rest").alias("left"), none.alias("runs"), F.lit(True).alias("open"))
     plan = materialize(plan)
-    for i in range(FIT_ROUNDS + 1):  # the last round may overshoot, if that comes nearer
-        last = i == FIT_ROUNDS
-        room = (F.col("size") > F.col("left")) & (F.col("size") < 2 * F.col("left")) if last else (F.col("size") > 0) & (F.col("size") <= F.col("left"))
-        fits = units.join(small(plan), "skey").where((F.col("u") > F.col("cut")) & room & ~F.array_contains("picks", F.col("u")))
-        best = fits.groupBy("skey").agg((F.min if last else F.max)(F.struct("size", "u")).alias("b"))
-        plan = materialize(plan.join(best, "skey", "left").select("skey", "source_size", "target", "full", "cut", (F.col("left") - F.coalesce(F.col("b.size"), F.lit(0))).alias("left"), F.when(F.col("b").isNull(), F.col("picks")).otherwise(F.concat("picks", F.array(F.col("b.u")))).alias("picks")))
+    for _ in range(SKIPS):
+        plan = materialize(_run_on(units, plan, block, bits, small))
+        if not plan.where("open").limit(1).count():
+            break
+    over = units.join(small(plan.select("skey", "cut", "left")), "skey").where((F.col("u") > F.col("cut")) & (F.col("size") > F.col("left")) & (F.col("size") < 2 * F.col("left")))
+    best = over.groupBy("skey").agg(F.min(F.struct("size", "u")).alias("b"))
+    plan = materialize(plan.join(best, "skey", "left").select("skey", "source_size", "target", "full", "cut", "runs", F.col("b.u").alias("pick")))
 
     # draws: whole copies of each block, then the blocks up to the cut, then one draw for the single documents
-    each = blocks.select("skey", "block", "full").join(plan.select("skey", "cut", F.size("picks").alias("np")), "skey")
+    each = blocks.select("skey", "block", "full").join(plan.select("skey", "cut"), "skey")
     extra = F.when(F.col("block") <= F.shiftright(F.greatest(F.col("cut"), F.lit(0)), KEY_BITS - bits), F.when(F.col("cut") >= 0, 1).otherwise(0)).otherwise(0)
     copies = each.withColumn("c", F.explode(F.sequence(F.lit(0).cast("long"), F.col("full")))).where((F.col("c") < F.col("full")) | (extra == 1)).select("skey", "block", "c", (F.col("c") == F.col("full")).alias("extra"))
-    single = plan.where(F.size("picks") > 0).select("skey", F.lit(-1).cast("long").alias("block"), F.col("full").alias("c"), F.lit(True).alias("extra"))
+    single = plan.where("pick is not null").select("skey", F.lit(-1).cast("long").alias("block"), F.col("full").alias("c"), F.lit(True).alias("extra"))
     draws = copies.union(single).withColumn("rank", F.row_number().over(Window.partitionBy("skey").orderBy("c", F.col("block") < 0, "block")).cast("long"))
     draws = materialize(draws)
     quota = materialize(split_tree(draws.groupBy("skey").agg(F.count(F.lit(1)).alias("n")), levels, seed))
@@ -134,17 +156,23 @@ def mix_plan(docs: DataFrame, text: str = "text", source: str = "source", doc_id
     cells = placed.groupBy("skey", "block").agg(F.sort_array(F.collect_list(F.when(~F.col("extra"), F.struct("c", "shard")))).alias("whole"), F.max(F.when(F.col("extra"), F.col("shard"))).alias("part"))
     singles = cells.where("block = -1").select("skey", F.col("part").alias("single"))
     cells = blocks.select("skey", "block").join(cells.where("block >= 0"), ["skey", "block"], "left").join(plan, "skey").join(singles, "skey", "left")
-    cells = materialize(cells.select(*[F.col(c).alias(f"{p}{c}") for c in ("skey", "block", "whole", "part", "single", "source_size", "target", "cut", "picks")]))
+    cells = materialize(cells.select(*[F.col(c).alias(f"{p}{c}") for c in ("skey", "block", "whole", "part", "single", "source_size", "target", "runs", "pick")]))
 
     rows = docs.withColumns({f"{p}size": size, f"{p}skey": skey, f"{p}u": u})
     rows = rows.withColumn(f"{p}block", F.shiftright(F.col(f"{p}u"), KEY_BITS - bits).cast("long"))
-    bounded = n_sources <= 4096  # then cells has at most MAX_CELLS rows
-    rows = rows.join(F.broadcast(cells) if bounded else cells, [f"{p}skey", f"{p}block"], "left")
-    c = {k: F.col(f"{p}{k}") for k in ("whole", "part", "single", "u", "cut", "picks", "size")}
+    rows = rows.join(F.broadcast(cells) if n_sources << bits <= BROADCAST_CELLS else cells, [f"{p}skey", f"{p}block"], "left")
+    c = {k: F.col(f"{p}{k}") for k in ("whole", "part", "single", "u", "runs", "pick", "size")}
     whole = F.transform(F.coalesce(c["whole"], F.array().cast("array<struct<c:bigint,shard:bigint>>")), lambda x: x["shard"])
-    more = F.when(c["u"] <= c["cut"], F.array(c["part"])).when(F.array_contains(c["picks"], c["u"]), F.array(c["single"])).otherwise(F.array().cast("array<bigint>"))
+    # equal ids are one unit: its size is that of all their rows
+    unit = units.select(F.col("skey").alias(f"{p}skey"), F.col("u").alias(f"{p}u"), F.col("size").alias(f"{p}unit"), "n").where("n > 1").drop("n")
+    if unit.limit(1).count():
+        rows = rows.join(unit, [f"{p}skey", f"{p}u"], "left").withColumn(f"{p}unit", F.coalesce(f"{p}unit", f"{p}size"))
+    else:
+        rows = rows.withColumn(f"{p}unit", c["size"])
+    run = F.exists(c["runs"], lambda r: (c["u"] > r["lo"]) & (c["u"] <= r["hi"]) & (F.col(f"{p}unit") <= r["g"]))
+    more = F.when(run, F.array(c["part"])).when(c["u"] == c["pick"], F.array(c["single"])).otherwise(F.array().cast("array<bigint>"))
     taken = F.when(c["size"] > 0, F.concat(whole, more)).otherwise(F.array().cast("array<bigint>"))
-    rows = rows.withColumn(f"{p}shards", taken).drop(*[f"{p}{k}" for k in ("skey", "block", "whole", "part", "single", "cut", "picks")])
+    rows = rows.withColumn(f"{p}shards", taken).drop(*[f"{p}{k}" for k in ("skey", "block", "whole", "part", "single", "runs", "pick", "unit")])
     return rows, p
 
 
@@ -163,16 +191,13 @@ def op3_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def oracle(docs: str = "documents", weights=WEIGHTS, share: float = 1.5, cap: float = 2.0, seed: int = 17) -> str:
-    """The same rows in DuckDB: no blocks and no tree, the cut is found on the whole permuted order."""
-    picks = []
-    prev = "cutp"
-    for i in range(FIT_ROUNDS + 1):
-        last = i == FIT_ROUNDS
-        room = "u.size > p.left_words AND u.size < 2 * p.left_words" if last else "u.size > 0 AND u.size <= p.left_words"
-        picks.append(f""", best{i} AS (SELECT p.skey, {'min' if last else 'max'}(struct_pack(size := u.size, u := u.u)) AS b FROM units u JOIN {prev} p USING (skey)
-          WHERE u.u > p.cut AND {room} AND NOT list_contains(p.picks, u.u) GROUP BY p.skey),
-        p{i} AS (SELECT p.* REPLACE (p.left_words - coalesce(b.b.size, 0) AS left_words, CASE WHEN b.b IS NULL THEN p.picks ELSE list_append(p.picks, b.b.u) END AS picks) FROM {prev} p LEFT JOIN best{i} b USING (skey))""")
-        prev = f"p{i}"
+    """The same rows in DuckDB: no blocks and no tree, the runs are found on the whole permuted order."""
+    runs, prev = [], "k0"
+    for i in range(1, SKIPS + 1):
+        runs.append(f""", c{i} AS (SELECT skey, max(u) AS hi, max(cum) AS cum FROM (SELECT u.skey, u.u, p.left_words, sum(u.size) OVER (PARTITION BY u.skey ORDER BY u.u) AS cum FROM units u JOIN {prev} p USING (skey)
+            WHERE u.u > p.cut AND u.size > 0 AND u.size <= p.left_words) WHERE cum <= left_words GROUP BY skey),
+        k{i} AS (SELECT p.* REPLACE (coalesce(c.hi, p.cut) AS cut, p.left_words - coalesce(c.cum, 0) AS left_words, CASE WHEN c.hi IS NULL THEN p.runs ELSE list_append(p.runs, struct_pack(lo := p.cut, hi := c.hi, g := p.left_words)) END AS runs) FROM {prev} p LEFT JOIN c{i} c USING (skey))""")
+        prev = f"k{i}"
     ws = ", ".join(f"{float(x)}" for x in weights)
     return f"""
     WITH base AS (SELECT doc_id, source, coalesce('s' || source, 'n') AS skey, len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+'))::BIGINT AS size,
@@ -186,9 +211,8 @@ def oracle(docs: str = "documents", weights=WEIGHTS, share: float = 1.5, cap: fl
     s4 AS (SELECT skey, source_size, CASE WHEN lv.level IS NULL THEN most ELSE least(most, lv.level * w) END AS target FROM s3 CROSS JOIN lv),
     s5 AS (SELECT *, CASE WHEN source_size > 0 THEN floor(target / source_size) ELSE 0 END::BIGINT AS full_copies FROM s4),
     s6 AS (SELECT *, target - full_copies * source_size AS rest FROM s5),
-    runs AS (SELECT u.skey, u.u, sum(u.size) OVER (PARTITION BY u.skey ORDER BY u.u) AS cum FROM units u),
-    cuts AS (SELECT r.skey, max(r.u) AS cut, max(r.cum) AS cum FROM runs r JOIN s6 USING (skey) WHERE r.cum <= s6.rest GROUP BY r.skey),
-    cutp AS (SELECT s6.skey, source_size, target, full_copies, coalesce(cut, -1) AS cut, CASE WHEN source_size > rest THEN rest - coalesce(cum, 0) ELSE 0 END AS left_words, []::BIGINT[] AS picks FROM s6 LEFT JOIN cuts USING (skey))
-    {''.join(picks)}
-    SELECT b.doc_id, b.size, p.source_size, p.target, (b.size * (p.full_copies + CASE WHEN b.u <= p.cut OR list_contains(p.picks, b.u) THEN 1 ELSE 0 END))::BIGINT AS taken
-    FROM base b JOIN {prev} p USING (skey)"""
+    k0 AS (SELECT skey, source_size, target, full_copies, -1::BIGINT AS cut, rest AS left_words, []::STRUCT(lo BIGINT, hi BIGINT, g DOUBLE)[] AS runs FROM s6)
+    {''.join(runs)},
+    best AS (SELECT p.skey, min(struct_pack(size := u.size, u := u.u)) AS b FROM units u JOIN {prev} p USING (skey) WHERE u.u > p.cut AND u.size > p.left_words AND u.size < 2 * p.left_words GROUP BY p.skey)
+    SELECT d.doc_id, d.size, p.source_size, p.target, (d.size * (p.full_copies + CASE WHEN u.size > 0 AND (len(list_filter(p.runs, lambda r: u.u > r.lo AND u.u <= r.hi AND u.size <= r.g)) > 0 OR u.u = b.b.u) THEN 1 ELSE 0 END))::BIGINT AS taken
+    FROM base d JOIN {prev} p USING (skey) JOIN units u USING (skey, u) LEFT JOIN best b USING (skey)"""
