@@ -142,6 +142,41 @@ def test_mix_targets_and_shards(spark, docs, odd):
     assert out.count() == odd.count() and p != "__mix_" and op3_mix.mix(odd.limit(0)).count() == 0
 
 
+def test_mix_skips_what_does_not_fit(spark):
+    """A very long document at the cut does not end the run: the words taken come within a document of every target."""
+    rows = [(i, "w " * 200, "a") for i in range(600)] + [(9000 + i, "w " * 60_000, "a") for i in range(3)] + [(20_000 + i, "w " * (50 + i), "b") for i in range(40)] + [(30_000, None, None), (30_001, "", "b")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, source string")
+    for seed in (17, 18, 19):
+        out, p = op3_mix.mix_plan(df, weights=(1, 5), share=0.7, words_per_shard=30_000, seed=seed)
+        got = out.groupBy("source").agg(F.sum(F.col(f"{p}size") * F.size(f"{p}shards")).alias("taken"), F.first(f"{p}target").alias("target")).collect()
+        assert all(abs(r.taken - r.target) <= 200 for r in got), got
+
+
+def test_mix_shards_are_runs_of_blocks(spark, docs):
+    """A block's draw goes to one shard, shards take consecutive blocks of a source, and their draws differ by one at most."""
+    out, p = op3_mix.mix_plan(docs, words_per_shard=10_000)
+    rows = out.select("source", F.col(f"{p}u").alias("u"), F.col(f"{p}shards").alias("s"), F.col(f"{p}size").alias("n")).collect()
+    shards = {x for r in rows for x in r.s}
+    assert len(shards) >= 4
+    for source in {r.source for r in rows}:
+        for copy in range(2):  # copies of a source follow one another
+            mine = [r.s[copy] for r in sorted((r for r in rows if r.source == source and len(r.s) > copy and r.n), key=lambda r: r.u)]
+            assert sum(a > b for a, b in zip(mine, mine[1:])) <= 1  # the one single document behind the cut
+    words = collections.Counter()
+    for r in rows:
+        for x in r.s:
+            words[x] += r.n
+    assert max(words.values()) <= 6 * min(words.values())
+
+
+def test_split_tree_follows_the_law(spark):
+    """Left counts over many seeds have the mean and spread of the hypergeometric law."""
+    q = spark.createDataFrame([("a", 30), ("b", 10)], "skey string, n bigint")
+    left = [sum(r.n for r in op3_mix.split_tree(q, 1, seed).collect() if r.shard == 0 and r.skey == "a") for seed in range(24)]
+    var = 20 * 30 / 40 * 10 / 40 * 20 / 39
+    assert abs(np.mean(left) - 15) <= 4 * math.sqrt(var / 24) and 0.3 * var <= np.var(left) <= 2.5 * var
+
+
 def test_split_tree_keeps_quotas(spark):
     q = spark.createDataFrame([("a", 40), ("b", 7), ("c", 0)], "skey string, n bigint")
     got = op3_mix.split_tree(q, 3, 1).collect()
