@@ -123,14 +123,20 @@ def _compare(xv, xs, yv, ys, floor: float | None, what: str):
             yield v, yv[min(found)], low, min((tie_key(v, yv[j]), yv[j]) for j in found)[1]
 
 
-def _met(x: DataFrame, y: DataFrame, keys: list[str], floor: float | None, what: str, block: int) -> DataFrame:
-    """Every block of x beside every block of y of its key: both sides are dealt by (key, block, block), so that no key is one task."""
+def _met(x: DataFrame, y: DataFrame, keys: list[str], floor: float | None, what: str, block: int | None, counts: list[tuple] | None = None) -> DataFrame:
+    """Every block of x beside every block of y of its key: both sides are dealt by (key, block, block), so that no key is one task.
+
+    counts: rows (key, values of x, values of y) if they are known, or bounds of them.
+    """
     block = block or BLOCK
-    size = lambda df, out: df.groupBy(*keys).agg(F.count(F.lit(1)).alias("n")).where("n > 0").select(*keys, F.ceil(F.col("n") / block).cast("int").alias(out))
-    sizes = size(x, "__nx").join(size(y, "__ny"), keys) if keys else size(x, "__nx").crossJoin(size(y, "__ny"))
-    rows = sizes.collect()  # one row per column pair
-    sizes = x.sparkSession.createDataFrame(rows, sizes.schema)
-    tasks = max(1, min(sum(r["__nx"] * r["__ny"] for r in rows), 20_000))
+    kinds = dict(x.dtypes)
+    schema = ", ".join([*[f"`{k}` {kinds[k]}" for k in keys], "__nx int, __ny int"])
+    if counts is None:
+        size = lambda df, out: df.groupBy(*keys).agg(F.count(F.lit(1)).alias(out))
+        counts = (size(x, "nx").join(size(y, "ny"), keys) if keys else size(x, "nx").crossJoin(size(y, "ny"))).collect()  # one row per column pair
+    rows = [(*c[:-2], -(-c[-2] // block), -(-c[-1] // block)) for c in map(tuple, counts) if c[-2] and c[-1]]
+    sizes = x.sparkSession.createDataFrame(rows, schema)
+    tasks = max(1, min(sum(r[-2] * r[-1] for r in rows), 20_000))
 
     def packed(df: DataFrame, mine: str, other: str) -> DataFrame:
         df = df.join(F.broadcast(sizes), keys) if keys else df.crossJoin(F.broadcast(sizes))
@@ -140,7 +146,6 @@ def _met(x: DataFrame, y: DataFrame, keys: list[str], floor: float | None, what:
         return out.repartition(tasks, *keys, "__bx", "__by")
 
     both = packed(x, "x", "y").join(packed(y, "y", "x"), [*keys, "__bx", "__by"]).select(*keys, "xv", "xs", "yv", "ys")
-    kinds = dict(x.dtypes)
     n = len(keys)
 
     def run(batches):
@@ -157,14 +162,14 @@ def _met(x: DataFrame, y: DataFrame, keys: list[str], floor: float | None, what:
     return both.mapInArrow(run, schema)
 
 
-def best_pairs(x: DataFrame, y: DataFrame, keys: list[str] | None = None, floor: float | None = None, block: int | None = None) -> DataFrame:
+def best_pairs(x: DataFrame, y: DataFrame, keys: list[str] | None = None, floor: float | None = None, block: int | None = None, counts: list[tuple] | None = None) -> DataFrame:
     """x(keys, v, s), y(keys, v, s) of distinct values -> (keys, x, y, sim, tied): each x's best y within its key, exact.
 
     y is the least of equally good values, tied the one with the least tie key.  With a floor, x without a better y give no
     row; without one, only x whose key has no y at all give none.
     """
     keys = keys or []
-    found = _met(x.select(*keys, "v", "s"), y.select(*keys, "v", "s"), keys, floor, "best", block)
+    found = _met(x.select(*keys, "v", "s"), y.select(*keys, "v", "s"), keys, floor, "best", block, counts)
     tie = F.md5(F.concat_ws("|", "x", "tied").cast("binary"))
     best = found.groupBy(*keys, "x").agg(F.min(F.struct((-F.col("sim")).alias("m"), F.col("y"))).alias("b"), F.min(F.struct((-F.col("sim")).alias("m"), tie.alias("k"), F.col("tied"))).alias("t"))
     return best.select(*keys, "x", F.col("b.y").alias("y"), (-F.col("b.m")).alias("sim"), F.col("t.tied").alias("tied"))

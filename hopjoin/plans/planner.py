@@ -37,27 +37,41 @@ class EdgeMatches:
 
 
 def _finish(min_score: float):
-    """The greedy assignment of what is left of one edge, in one task."""
+    """The greedy assignment of what is left of one edge, in one task; plain values match their equals only."""
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         sides = [[t.column(c).to_pylist() for c in ("v", "s")] for t in (left, right)]
-        pairs = list(block._compare(*sides[0], *sides[1], min_score, "above")) if left.num_rows and right.num_rows else []
+        some = left if left.num_rows else right
+        if some.column("plain")[0].as_py():
+            pairs = [(v, v, 1.0, None) for v in set(sides[0][0]) & set(sides[1][0])]
+        else:
+            pairs = list(block._compare(*sides[0], *sides[1], min_score, "above")) if left.num_rows and right.num_rows else []
+        tie = lambda r: "" if r[2] >= 1 else block.tie_key(r[0], r[1])
         xs, ys, out = set(), set(), []
-        for x, y, sim, _ in sorted(pairs, key=lambda r: (-r[2], block.tie_key(r[0], r[1]), r[0], r[1])):
+        for x, y, sim, _ in sorted(pairs, key=lambda r: (-r[2], tie(r), r[0], r[1])):
             if x not in xs and y not in ys:
                 xs.add(x), ys.add(y), out.append((x, y, sim))
-        edge = (left if left.num_rows else right).column("edge_id")[0].as_py()
+        edge = some.column("edge_id")[0].as_py()
         return pa.table([pa.array([edge] * len(out), pa.string()), *[pa.array([r[i] for r in out], t) for i, t in enumerate((pa.string(), pa.string(), pa.float64()))]], names=["edge_id", "x", "y", "sim"])
 
     return run
 
 
-def one_to_one(left: DataFrame, right: DataFrame, min_score: float, max_rounds: int = 1000) -> DataFrame:
+def _finished(left: DataFrame, right: DataFrame, min_score: float) -> DataFrame:
+    pick = lambda d: d.select("edge_id", "v", "s", "plain").groupBy("edge_id")
+    return pick(left).cogroup(pick(right)).applyInArrow(_finish(min_score), "edge_id string, x string, y string, sim double")
+
+
+def one_to_one(left: DataFrame, right: DataFrame, min_score: float, most: int | None = None, max_rounds: int = 1000) -> DataFrame:
     """left(edge_id, v, s, plain), right -> the greedy one-to-one matches (edge_id, x, y, sim) above min_score, per edge.
 
+    most: a bound of the pairs of any edge, if one is known; edges that are all small are finished at once, one task each.
+
     Values of one sorted form pair up by rank; plain values (compared by equality) end there.  Rounds of mutually best
     pairs follow until the rest of every edge is small enough for one task, which finishes it: the same greedy throughout.
     """
+    if most is not None and most <= LOCAL_PAIRS:
+        return materialize(_finished(left, right, min_score))
     ranked = lambda d, c: d.select("edge_id", "s", F.col("v").alias(c), F.row_number().over(Window.partitionBy("edge_id", "s").orderBy("v")).alias("i"))
     taken = materialize(ranked(left, "x").join(ranked(right, "y"), ["edge_id", "s", "i"]).select("edge_id", "x", "y", F.lit(1.0).alias("sim")))
     rest = lambda d, now, c: materialize(d.where("not plain").join(now.select("edge_id", F.col(c).alias("v")), ["edge_id", "v"], "left_anti").select("edge_id", "v", "s", "plain"))
@@ -66,8 +80,7 @@ def one_to_one(left: DataFrame, right: DataFrame, min_score: float, max_rounds:
         size = lambda d, c: d.groupBy("edge_id").agg(F.count(F.lit(1)).alias(c))
         most = size(left, "n").join(size(right, "m"), "edge_id").agg(F.max(F.col("n") * F.col("m"))).first()[0] or 0
         if most <= LOCAL_PAIRS:
-            last = left.select("edge_id", "v", "s").groupBy("edge_id").cogroup(right.select("edge_id", "v", "s").groupBy("edge_id")).applyInArrow(_finish(min_score), "edge_id string, x string, y string, sim double")
-            return materialize(taken.unionByName(last))
+            return materialize(taken.unionByName(_finished(left, right, min_score)))
         there = block.best_pairs(left, right, ["edge_id"], min_score).select("edge_id", "x", F.col("tied").alias("y"), "sim")
         back = block.best_pairs(right, left, ["edge_id"], min_score).select("edge_id", F.col("x").alias("y"), F.col("tied").alias("x"))
         now = materialize(there.join(back, ["edge_id", "x", "y"]).select("edge_id", "x", "y", "sim"))
@@ -91,7 +104,10 @@ def edge_scores(long: DataFrame, edges: DataFrame, cfg: DiscoveryConfig) -> tupl
     looked = d.join(forms, ["edge_id", "side", "s"], "left")
     hits = looked.where("y is not null").select("edge_id", "side", F.col("v").alias("x"), "cnt", "y", F.lit(1.0).alias("sim"))
     rest = looked.where("y is null").select("edge_id", "side", "v", "s", "cnt", "plain")
-    met = block.best_pairs(rest.where("not plain"), d.where("not plain").select("edge_id", flipped, "v", "s"), ["edge_id", "side"])
+    of = lambda x: F.count_if(F.col("side") == x)
+    counts = d.groupBy("edge_id").agg(of("l").alias("l"), of("r").alias("r"), F.bool_or("plain").alias("plain")).collect()  # one row per column pair
+    bounds = [(r.edge_id, s_, n, m) for r in counts if not r.plain for s_, n, m in (("l", r.l, r.r), ("r", r.r, r.l))]
+    met = block.best_pairs(rest.where("not plain"), d.where("not plain").select("edge_id", flipped, "v", "s"), ["edge_id", "side"], counts=bounds)
     others = rest.withColumnRenamed("v", "x").join(met.select("edge_id", "side", "x", "y", "sim"), ["edge_id", "side", "x"], "left").select("edge_id", "side", "x", "cnt", "y", F.coalesce("sim", F.lit(0.0)).alias("sim"))
     best = materialize(hits.unionByName(others))
     mean = lambda x: F.sum(F.when(F.col("side") == x, F.col("cnt") * F.col("sim"))) / F.nullif(F.sum(F.when(F.col("side") == x, F.col("cnt"))), F.lit(0))
@@ -99,7 +115,7 @@ def edge_scores(long: DataFrame, edges: DataFrame, cfg: DiscoveryConfig) -> tupl
     sides = d.groupBy("edge_id", "v").agg(F.bool_or(F.col("side") == "l").alias("l"), F.bool_or(F.col("side") == "r").alias("r"))
     sizes = sides.groupBy("edge_id").agg(F.count_if("l").alias("n_l"), F.count_if("r").alias("n_r"), F.count_if(F.col("l") & F.col("r")).alias("n_both"), F.count(F.lit(1)).alias("n_any"))
     pick = lambda x: d.where(F.col("side") == x).select("edge_id", "v", "s", "plain")
-    one = one_to_one(pick("l"), pick("r"), cfg.min_score)
+    one = one_to_one(pick("l"), pick("r"), cfg.min_score, max((r.l * r.r for r in counts), default=0))
     matched = one.groupBy("edge_id").agg(F.count(F.lit(1)).alias("m"))
     m = F.coalesce("m", F.lit(0))
     overlaps = sizes.join(matched, "edge_id", "left").select("edge_id", (F.col("n_both") / F.nullif(F.col("n_any"), F.lit(0))).alias("overlap_exact"), F.coalesce(m / F.nullif(F.col("n_l") + F.col("n_r") - m, F.lit(0)), F.lit(0.0)).alias("overlap_fuzzy"))
