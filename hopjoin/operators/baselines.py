@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from hopjoin.functions.names import cosine
 from hopjoin.functions.strings import MEASURES
-from hopjoin.operators import values
+from hopjoin.operators import block, values
 from hopjoin.operators.catalog import family
 
 
@@ -35,9 +35,12 @@ def brute_force_matches(x: DataFrame, y: DataFrame, **options) -> DataFrame:
 
 def reference_duplication(reference: DataFrame, column: str, measure: str = "token_sort", radius: float = 0.9) -> DataFrame:
     """Share of reference values with another reference value within the radius: how far its no-duplicates assumption fails."""
-    d = reference.where(F.col(column).isNotNull()).select(F.col(column).cast("string").alias("v")).distinct()
-    both = d.select(F.col("v").alias("a")).crossJoin(d.select(F.col("v").alias("b"))).where("a <> b")
-    near = both.where(MEASURES[measure](F.col("a"), F.col("b")) >= radius).select("a").distinct()
+    d = values.dictionary(reference, column)
+    if measure == "token_sort":  # block by block, behind the character-bag bound
+        near = block.pairs_above(d, d, radius - 1e-9).where("x <> y").select("x").distinct()
+    else:
+        both = d.select(F.col("v").alias("a")).crossJoin(d.select(F.col("v").alias("b"))).where("a <> b")
+        near = both.where(MEASURES[measure](F.col("a"), F.col("b")) >= radius).select("a").distinct()
     return d.agg(F.count(F.lit(1)).alias("n_values")).crossJoin(near.agg(F.count(F.lit(1)).alias("n_near"))).withColumn("share", F.coalesce(F.col("n_near") / F.nullif(F.col("n_values"), F.lit(0)), F.lit(0.0)))
 
 

@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import itertools
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from hopjoin.operators import values
+from hopjoin.functions.strings import token_sort
+from hopjoin.operators import block, values
 from hopjoin.operators.catalog import flat_columns
 from hopjoin.operators.storage import materialize
 from hopjoin.plans.config import DiscoveryConfig
@@ -77,6 +79,21 @@ def composite_key(columns: list[str], sep: str = " ") -> Column:
     return F.concat_ws(sep, *[F.col(c).cast("string") for c in columns])
 
 
+def group_candidates(left: DataFrame, columns: list[str], right: DataFrame, right_on: str, max_size: int = 3) -> DataFrame:
+    """(columns, value_score): column groups of left, in the given order, scored against one column of right - all groups in one job.
+
+    The best of them are the branches that composite_match joins on.
+    """
+    groups = [list(g) for n in range(1, max_size + 1) for g in itertools.combinations(columns, n)]
+    made = F.explode(F.array(*[F.struct(F.array(*[F.lit(c) for c in g]).alias("columns"), composite_key(g).alias("v")) for g in groups]))
+    name = F.array_join("columns", ",").alias("grp")
+    x = left.select(made.alias("g")).select("g.columns", "g.v").groupBy("columns", "v").agg(F.count(F.lit(1)).alias("cnt")).select(name, "columns", "v", "cnt", token_sort(F.col("v")).alias("s"))
+    x = materialize(x)
+    y = values.dictionary(right, right_on).select("v", "s", F.explode(F.array(*[F.lit(",".join(g)) for g in groups])).alias("grp"))
+    best = block.best_pairs(x, y, ["grp"])
+    return x.join(best.select("grp", F.col("x").alias("v"), "sim"), ["grp", "v"], "left").groupBy("columns").agg((F.sum(F.col("cnt") * F.coalesce("sim", F.lit(0.0))) / F.sum("cnt")).alias("value_score"))
+
+
 def composite_match(left: DataFrame, groups: list[list[str]], right: DataFrame, right_on: str, keys: list[str], min_score: float = 0.5) -> DataFrame:
     """Many-to-many intermediate join: every column group (branch) is matched and the best branch kept per row of left.
 

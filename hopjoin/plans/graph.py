@@ -183,8 +183,37 @@ def k_paths(g: JoinGraph, s: str, t: str, k: int, kinds=("fk", "fuzzy")) -> list
     return found
 
 
-def all_pairs(edges: DataFrame, max_hops: int = 8, sources: list[str] | None = None) -> DataFrame:
-    """(source, target, hops, total_weight) for all tables: frontier relaxation, one round per hop, each round written out."""
+def _all_pairs_local(rows: list, max_hops: int | None, sources: list[str] | None) -> list[tuple[str, str, int, float]]:
+    """The same relaxation over a collected edge list."""
+    out: dict[str, dict[str, float]] = {}
+    for r in rows:
+        for u, v in ((r.left_node, r.right_node), (r.right_node, r.left_node)):
+            out.setdefault(u, {})[v] = min(r.weight, out.get(u, {}).get(v, math.inf))
+    found = []
+    for s in sorted(out) if sources is None else [x for x in sources if x in out]:
+        best, frontier, hops = {s: (0.0, 0, 0.0)}, [s], 0
+        while frontier and (max_hops is None or hops < max_hops):
+            hops, step = hops + 1, {}
+            for u in frontier:
+                for v, w in out[u].items():
+                    total = best[u][2] + w
+                    step[v] = min(step.get(v, (math.inf,)), (round(total, 6), hops, total))
+            frontier = [v for v, x in step.items() if v not in best or x[:2] < best[v][:2]]
+            best |= {v: step[v] for v in frontier}
+        found += [(s, t, n, total) for t, (_, n, total) in best.items()]
+    return found
+
+
+def all_pairs(edges: DataFrame, max_hops: int | None = None, sources: list[str] | None = None, local_edges: int = 10_000) -> DataFrame:
+    """(source, target, hops, total_weight) for all tables, to the fixpoint or max_hops.
+
+    Up to local_edges edges are collected and relaxed on the driver; beyond, frontiers are relaxed as joins, one round per hop,
+    each round written out.
+    """
+    spark = edges.sparkSession
+    few = edges.select("left_node", "right_node", "weight").limit(local_edges + 1).collect()
+    if len(few) <= local_edges:
+        return spark.createDataFrame(_all_pairs_local(few, max_hops, sources), "source string, target string, hops int, total_weight double")
     both = edges.select(F.col("left_node").alias("u"), F.col("right_node").alias("v"), "weight").union(edges.select("right_node", "left_node", "weight"))
     both = materialize(both.groupBy("u", "v").agg(F.min("weight").alias("weight")))
     start = both.select(F.col("u").alias("source")).distinct()
@@ -193,7 +222,7 @@ def all_pairs(edges: DataFrame, max_hops: int = 8, sources: list[str] | None = N
     dist = materialize(start.select("source", F.col("source").alias("node"), F.lit(0.0).alias("total"), F.lit(0).alias("hops")))
     best = lambda df: df.groupBy("source", "node").agg(F.min(F.struct(F.round("total", 6).alias("r"), "hops", "total")).alias("b")).select("source", "node", F.col("b.total").alias("total"), F.col("b.hops").alias("hops"))
     frontier = dist
-    for _ in range(max_hops):
+    for _ in range(max_hops) if max_hops is not None else itertools.count():
         step = frontier.join(both, frontier["node"] == both["u"]).select("source", F.col("v").alias("node"), (F.col("total") + F.col("weight")).alias("total"), (F.col("hops") + 1).alias("hops"))
         new = materialize(best(dist.union(step)))
         frontier = new.join(dist.withColumnsRenamed({"total": "t0", "hops": "h0"}), ["source", "node"], "left").where("t0 is null or round(total, 6) < round(t0, 6) or (round(total, 6) = round(t0, 6) and hops < h0)").select("source", "node", "total", "hops")

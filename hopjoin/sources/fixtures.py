@@ -107,11 +107,15 @@ def part_named(part: DataFrame) -> DataFrame:
     return part.withColumnRenamed("p_name", "part_name")
 
 
-def part_watchlist(part: DataFrame) -> DataFrame:
-    """One row per distinct part name (a 64-value dictionary by construction, hence one window)."""
-    from pyspark.sql import Window
+def part_ranks(part: DataFrame) -> DataFrame:
+    """(k, p_name): the distinct part names (64 by construction) and their rank, from one small set."""
+    names = part.agg(F.array_sort(F.collect_set("p_name")).alias("names"))
+    return names.select(F.posexplode("names").alias("k", "p_name"))
+
 
-    named = part.where(F.col("p_name").isNotNull()).select("p_name").distinct().withColumn("k", F.row_number().over(Window.orderBy("p_name")) - 1)
+def part_watchlist(part: DataFrame) -> DataFrame:
+    """One row per distinct part name."""
+    named = part_ranks(part)
     k, name = F.col("k"), F.col("p_name")
     plan = [name, noise.reverse_parts(name), noise.drop_chars(name, k), F.concat(name, F.lit(" Item")), noise.synonyms(name, MISSPELT)]
     return named.select(k.cast("int").alias("watch_id"), noise.choose(k, plan).alias("item_name"), F.pmod(k, F.lit(3)).cast("int").alias("risk"))

@@ -5,7 +5,7 @@ from __future__ import annotations
 import math
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hopjoin import oracle_parts as o
@@ -296,7 +296,7 @@ def blocked_names(spark, sf):
 
 @query("noise_parts", f"WITH {o.CTES} SELECT watch_id AS key, name AS clean, item_name AS noisy FROM watch")
 def noise_parts(spark, sf):
-    p = t(spark, sf, "part").select("p_name").where("p_name is not null").distinct().withColumn("k", (F.row_number().over(Window.orderBy("p_name")) - 1).cast("int"))
+    p = fx.part_ranks(t(spark, sf, "part"))
     return p.select(F.col("k").alias("key"), F.col("p_name").alias("clean")).join(fx.part_watchlist(t(spark, sf, "part")).select(F.col("watch_id").alias("key"), F.col("item_name").alias("noisy")), "key")
 
 
@@ -520,9 +520,13 @@ def path_shortest(spark, sf):
     return _paths(spark, [graph.shortest_path(g, SRC, x) for x in ("trade_db.customer", "trade_db.region")])
 
 
-@query("path_all_pairs", walk_sql(f"SELECT '{SRC}' AS source, node AS target, hops, round(total, 6) AS total_weight FROM best WHERE rn = 1"))
+ALL_SQL = WALK.format(edges=FK_SQL, s="", order="round(total, 6), hops, names").replace("SELECT '' AS node, 0 AS hops, [''] AS nodes", "SELECT u AS node, 0 AS hops, [u] AS nodes").replace("0.0::DOUBLE AS total UNION ALL", "0.0::DOUBLE AS total FROM (SELECT DISTINCT u FROM e) UNION ALL").replace("PARTITION BY node", "PARTITION BY nodes[1], node").replace("hops < 5", "hops < 7")
+
+
+@query("path_all_pairs", ALL_SQL + " SELECT nodes[1] AS source, node AS target, hops, round(total, 6) AS total_weight FROM best WHERE rn = 1")
 def path_all_pairs(spark, sf):
-    return graph.all_pairs(fk_graph(spark, sf).edges, 5, [SRC]).select("source", "target", "hops", r6("total_weight", "total_weight"))
+    """Every table to every other, to the fixpoint."""
+    return graph.all_pairs(fk_graph(spark, sf).edges).select("source", "target", "hops", r6("total_weight", "total_weight"))
 
 
 @query("fewest_hops_path", walk_sql(f"SELECT '{SRC}' AS source, node AS target, hops, array_to_string(nodes, '>') AS nodes, round(total, 6) AS total_weight FROM best WHERE rn = 1 AND node = 'trade_db.region'", "hops, names"))
@@ -873,6 +877,23 @@ def composite_match(spark, sf):
     return execute.composite_match(left, [["p1", "p2"], ["p1"]], fx.place_survey(n), "territory_name", ["n_nationkey"], 0.6).withColumn("sim", r6("sim"))
 
 
+def _groups_sql() -> str:
+    parts_ = " UNION ALL ".join(f"SELECT '{g}' AS grp, {e} AS v FROM l" for g, e in (("p1", "p1"), ("p2", "p2"), ("region", "region"), ("p1+p2", "p1 || ' ' || p2"), ("p1+region", "p1 || ' ' || region"), ("p2+region", "p2 || ' ' || region")))
+    return f"""WITH RECURSIVE {o.CTES}, l AS (SELECT split_part(place_name, ' ', 1) AS p1, split_part(place_name, ' ', 2) AS p2, r_name AS region FROM places JOIN region ON n_regionkey = r_regionkey), g AS ({parts_}),
+    d AS (SELECT grp, v, count(*) AS cnt FROM g GROUP BY grp, v), m AS (SELECT grp, v, cnt, max({o.ratio(o.token_sort('v'), o.token_sort('territory_name'))}) AS m FROM d, survey GROUP BY grp, v, cnt)
+    SELECT grp, round(sum(cnt * m) / sum(cnt), 6) AS value_score FROM m GROUP BY grp"""
+
+
+@query("group_candidates", _groups_sql)
+def group_candidates(spark, sf):
+    """Which columns, alone or together, best make up the surveyed name: the right group is found, not given."""
+    n = t(spark, sf, "nation")
+    left = fx.nation_named(n).join(t(spark, sf, "region").select("r_regionkey", F.col("r_name").alias("region")), F.col("n_regionkey") == F.col("r_regionkey"))
+    left = left.select(F.split_part("place_name", F.lit(" "), F.lit(1)).alias("p1"), F.split_part("place_name", F.lit(" "), F.lit(2)).alias("p2"), "region")
+    out = execute.group_candidates(left, ["p1", "p2", "region"], fx.place_survey(n), "territory_name", 2)
+    return out.select(F.array_join("columns", "+").alias("grp"), r6("value_score", "value_score"))
+
+
 @query("long_text_match", """WITH dx AS (SELECT text, count(*) AS n FROM documents WHERE text IS NOT NULL GROUP BY text) SELECT 'documents~benchmark' AS pair, count(*) FILTER (WHERE text IN (SELECT text FROM benchmark)) AS hits, count(*) AS n_values FROM dx
     UNION ALL SELECT 'documents~documents', count(*), count(*) FROM dx""")
 def long_text_match(spark, sf):

@@ -1,6 +1,7 @@
 import pytest
 from pyspark.sql import functions as F
 
+from hopjoin.operators import measures
 from hopjoin.plans import graph
 
 
@@ -22,13 +23,24 @@ CASES = [
 def test_paths(spark, edges, nodes, kept):
     g = make(spark, edges)
     p = graph.shortest_path(g, "A", "B")
-    assert p.nodes == nodes and p.retained == pytest.approx(kept, abs=1e-6)
+    assert measures.path_equal(p, nodes) and not measures.path_equal(p, nodes[::-1]) and p.retained == pytest.approx(kept, abs=1e-6)
     r = graph.paths_sql(g.edges, "A", 3).where("target = 'B'").first()
     assert r.nodes == nodes and r.total_weight == pytest.approx(p.total_weight)
     f = graph.all_pairs(g.edges, 3, ["A"]).where("target = 'B'").first()
     assert f.total_weight == pytest.approx(p.total_weight, abs=1e-6) and f.hops == len(p.hops)
 
 
+def test_frontiers_equal_the_driver(spark):
+    """Chains longer than any hop limit, a shortcut that weighs more, and a part of its own."""
+    chain = [(f"n{i:02d}", f"n{i + 1:02d}", 0.9, "fk") for i in range(12)] + [("n00", "n12", 0.2, "fk"), ("x", "y", 0.5, "fk")]
+    g = make(spark, chain)
+    rows = lambda **o: sorted((r.source, r.target, r.hops, round(r.total_weight, 6)) for r in graph.all_pairs(g.edges, **o).collect())
+    local, joined = rows(sources=["n00", "x"]), rows(sources=["n00", "x"], local_edges=0)
+    assert local == joined and ("n00", "n12", 12, round(12 * graph.weight(0.9), 6)) in local and len(local) == 15
+    assert rows(max_hops=3, sources=["n00"]) == rows(max_hops=3, sources=["n00"], local_edges=0)
+    assert len(rows()) == 13 * 13 + 4
+
+
 def test_parallel_edges_and_kinds(spark):
     g = make(spark, [("A", "B", 0.5, "fuzzy"), ("A", "B", 0.8, "fk")])
     assert graph.shortest_path(g, "A", "B").hops[0].kind == "fk"
