@@ -1,18 +1,19 @@
 """Language identification by error-correcting output codes over character n-grams.
 
 Training rows are hashed to a bounded sample per language (ROWS_PER_LANGUAGE, a parameter; languages with fewer rows keep
-all of them).  Each task adds up hashed n-gram counts per language; the driver receives one count vector of BUCKETS cells
+all of them) of the LANGUAGES most frequent labels (a parameter; ties to the first in code point order).  Each task adds up hashed n-gram counts per language; the driver receives one count vector of BUCKETS cells
 per language, nothing that grows with the documents.  From them every code bit gets a binary n-gram classifier: the
 log-ratio of the bucket's frequency in the languages whose codeword has the bit to that in the others.
 
 Codewords are rows of a pseudo-random matrix with greedily widened Hamming distance.  Decoding is loss-weighted: the margin
 of each bit is the mean log-ratio over the text's n-grams, a codeword pays the exponential loss of each margin times the
-bit's weight for that language (how often the bit is right on the language's own training rows), and the cheapest codeword
-wins.  The score is the softmax of the negative losses; `ambiguous` is set when the runner-up is within AMBIGUOUS of it.
+bit's weight for that language (the logistic function of the bit's mean margin on the language's own n-grams, so bits that
+the language's text leaves undecided weigh little), and the cheapest codeword wins.  The score is the softmax of the negative losses; `ambiguous` is set when the runner-up is within AMBIGUOUS of it.
 
 Defined results: a null text or one without any letter is `und` with score 0, as is every text when no labelled row
 exists; with a single language everything with a letter is that language, score 1; ties go to the first language in code
-point order; long texts are read whole in blocks; other columns play no part in a prediction.
+point order; long texts are read whole, in blocks that count every n-gram once; an empty table gives no rows and, as training
+data, no language; other columns play no part in a prediction; an input column named like a result column is replaced by it.
 """
 
 from __future__ import annotations
@@ -29,6 +30,8 @@ from .common import table
 BUCKETS = 1 << 15
 ORDERS = (1, 2, 3)
 ROWS_PER_LANGUAGE = 4000
+#: labels that are learned: 256 KB of counts each reach the driver
+LANGUAGES = 256
 AMBIGUOUS = 0.2
 BLOCK = 1 << 18
 _U = np.uint64
@@ -54,8 +57,8 @@ def normalized(text: str) -> np.ndarray:
     return out if out[-1] == 32 else np.r_[out, np.uint32(32)]
 
 
-def buckets_of(cps: np.ndarray) -> np.ndarray:
-    """Bucket of every n-gram of the text, the orders one after the other."""
+def buckets_of(cps: np.ndarray, starts: int | None = None) -> np.ndarray:
+    """Bucket of every n-gram of the text that begins at one of the first `starts` places, the orders one after the other."""
     c = cps.astype(_U)
     found, h = [], np.zeros(len(c), _U)
     for n in ORDERS:
@@ -63,10 +66,16 @@ def buckets_of(cps: np.ndarray) -> np.ndarray:
             break
         h = h[: len(c) - n + 1] * _U(0x100000001B3) + c[n - 1 :] + _U(n)
         m = h * _U(0x9E3779B97F4A7C15)
-        found.append((m >> _U(49)).astype(np.int64))
+        found.append((m[:starts] >> _U(49)).astype(np.int64))
     return np.concatenate(found)
 
 
+def blocks_of(cps: np.ndarray):
+    """Buckets of all n-grams of a text, a block of BLOCK places at a time."""
+    for at in range(0, len(cps), BLOCK):
+        yield buckets_of(cps[at : at + BLOCK + max(ORDERS) - 1], BLOCK)
+
+
 def codewords(k: int, seed: int = 5) -> np.ndarray:
     """k codewords of +1/-1 with widely separated rows; every column has both signs."""
     if k < 2:
@@ -111,8 +120,7 @@ class Model:
         if len(self.langs) == 1:
             return self.langs[0], 1.0, False
         total, n = np.zeros(self.code.shape[1]), 0
-        for at in range(0, len(cps), BLOCK):
-            b = buckets_of(cps[at : at + BLOCK + max(ORDERS) - 1])
+        for b in blocks_of(cps):
             total += (np.bincount(b, minlength=BUCKETS) @ self.bits) if len(b) > 4 * BUCKETS else self.bits[b].sum(0, dtype=np.float64)
             n += len(b)
         margin = total / n * self.scale
@@ -127,7 +135,7 @@ class Model:
 def train(docs: DataFrame, text: str, lang: str, key: str, rows_per_language: int = ROWS_PER_LANGUAGE) -> Model:
     """Fit on rows with a language: a hashed sample of about rows_per_language rows of each."""
     labelled = docs.where(F.col(lang).isNotNull())
-    sizes = labelled.groupBy(lang).agg(F.count(F.lit(1)).alias("n")).collect()  # one row per language
+    sizes = labelled.groupBy(lang).agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), lang).limit(LANGUAGES).collect()
     if not sizes:
         return Model({})
     one = 1 << 20
@@ -140,8 +148,8 @@ def train(docs: DataFrame, text: str, lang: str, key: str, rows_per_language: in
             for l, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
                 mine = counts.setdefault(l, np.zeros(BUCKETS))
                 cps = normalized(t) if t else np.zeros(0, np.uint32)
-                for at in range(0, len(cps), BLOCK):
-                    mine += np.bincount(buckets_of(cps[at : at + BLOCK + max(ORDERS) - 1]), minlength=BUCKETS)
+                for x in blocks_of(cps):
+                    mine += np.bincount(x, minlength=BUCKETS)
         for l, c in counts.items():
             nz = np.flatnonzero(c)
             yield pa.RecordBatch.from_arrays([pa.array([l] * len(nz), pa.string()), pa.array(nz.astype(np.int32)), pa.array(c[nz].astype(np.int64))], names=["l", "b", "n"])
@@ -157,6 +165,7 @@ def train(docs: DataFrame, text: str, lang: str, key: str, rows_per_language: in
 def identify(docs: DataFrame, model: Model, text: str = "text", names=("lang_pred", "score", "ambiguous")) -> DataFrame:
     """docs with the prediction of every whole text."""
     shipped = docs.sparkSession.sparkContext.broadcast(vars(model))  # plain arrays, BUCKETS x bits floats
+    docs = docs.drop(*[n for n in names if n != text])
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema) + f", `{names[0]}` string, `{names[1]}` double, `{names[2]}` boolean"
 
     def run(batches):

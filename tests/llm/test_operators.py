@@ -48,6 +48,16 @@ def test_language_odd(spark, odd):
     assert got[2, None].lang_pred == "und" and got[8, "%%% 123"].score == 0 and got[7, "Der Hund und die Katze sind in dem Haus"].lang_pred == "de"
 
 
+def test_language_in_small_blocks(spark, odd, monkeypatch):
+    """Blocks count every n-gram once: seams change nothing."""
+    text = op1_langid.normalized("The cat and the dog of the house, " * 40)
+    whole = np.bincount(op1_langid.buckets_of(text), minlength=op1_langid.BUCKETS)
+    monkeypatch.setattr(op1_langid, "BLOCK", 7)
+    assert (sum(np.bincount(b, minlength=op1_langid.BUCKETS) for b in op1_langid.blocks_of(text)) == whole).all()
+    model = op1_langid.train(odd, "text", "lang", "doc_id")
+    assert op1_langid.identify(odd.limit(0), model).count() == 0 and model.langs == ["de", "en"]
+
+
 def test_codewords_are_apart():
     code = op1_langid.codewords(6)
     assert min((code[i] != code[j]).sum() for i in range(6) for j in range(i)) >= 4
