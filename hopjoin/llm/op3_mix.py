@@ -4,8 +4,8 @@
 2. Source targets: weights in source order share `share` of all words; a target stops at `cap` times its source, what is
    left over goes to the others by weight until none is above (closed form over the sorted cap-to-weight ratios).
 3. A source is drawn whole floor(target / size) times; the rest is a run of permuted blocks, the last one cut inside.  A
-   document that is longer than what is still wanted is skipped and the run goes on behind it, until nothing fits; one
-   document that overshoots follows if that comes nearer to the target.
+   document that is longer than what is still wanted is skipped and the run goes on behind it, as long as PICKS of the
+   largest documents that fit would not fill the gap; those follow, and one that overshoots if that comes nearer.
 4. The block draws of all sources are dealt to output shards by a binary tree: at each node the left half's count of each
    source is drawn from the multivariate hypergeometric law (sequential sampling with hashed uniforms: same rows, same
    draw, whatever the partitioning).  A shard then takes the next disjoint run of permuted blocks of each source and is
@@ -35,6 +35,8 @@ MAX_CELLS, BROADCAST_CELLS = 1 << 22, 65_536
 MAX_LEVELS, BLOCKS_PER_SHARD, LEAST_CELLS = 19, 8, 4096
 #: rounds of skipping documents that do not fit, at most; the oracle has so many of them
 SKIPS = 16
+#: single documents behind the runs, the largest that fit
+PICKS = 6
 
 
 def permutation_key(doc_id: Column, seed: int) -> Column:
@@ -84,13 +86,18 @@ def split_tree(quotas: DataFrame, levels: int, seed: int) -> DataFrame:
     return nodes.select(F.col("node").alias("shard"), "skey", "n")
 
 
-def _run_on(units: DataFrame, plan: DataFrame, block: Column, bits: int, small) -> DataFrame:
+def _run_on(units: DataFrame, plan: DataFrame, block: Column, bits: int, small, first: bool) -> DataFrame:
     """One more run of each open source: documents behind its cut that fit into what is left, in permuted order, while they fit.
 
+    After the first, only sources run on that PICKS of the largest documents that fit would leave unfilled.
+
     plan(skey, ..., cut, left, runs, open): a run (lo, hi, g) takes the documents of size g at most with lo < u <= hi.
     """
     live = plan.where("open").select("skey", "cut", "left")
-    fits = units.join(small(live), "skey").where((F.col("u") > F.col("cut")) & (F.col("size") > 0) & (F.col("size") <= F.col("left"))).withColumn("block", block)
+    behind = lambda sources: units.join(small(sources), "skey").where((F.col("u") > F.col("cut")) & (F.col("size") > 0) & (F.col("size") <= F.col("left"))).withColumn("block", block)
+    if not first:
+        live = materialize(live.join(behind(live).groupBy("skey").agg(F.max("size").alias("top")), "skey").where(F.col("left") > PICKS * F.col("top")).drop("top"))
+    fits = behind(live)
     upto = F.sum("words").over(Window.partitionBy("skey").orderBy("block"))
     sums = fits.groupBy("skey", "block").agg(F.sum("size").alias("words"), F.max("u").alias("last")).withColumn("upto", upto).join(small(live), "skey")
     within = sums.where("upto <= left").groupBy("skey").agg(F.max("upto").alias("base"), F.max("last").alias("hi0"))
@@ -134,19 +141,23 @@ def mix_plan(docs: DataFrame, text: str = "text", source: str = "source", doc_id
     none = F.array().cast("array<struct<lo:bigint,hi:bigint,g:double>>")
     plan = targets.select("skey", "source_size", "target", "full", F.lit(-1).cast("long").alias("cut"), F.col("rest").alias("left"), none.alias("runs"), F.lit(True).alias("open"))
     plan = materialize(plan)
-    for _ in range(SKIPS):
-        plan = materialize(_run_on(units, plan, block, bits, small))
+    for i in range(SKIPS):
+        plan = materialize(_run_on(units, plan, block, bits, small, i == 0))
         if not plan.where("open").limit(1).count():
             break
-    over = units.join(small(plan.select("skey", "cut", "left")), "skey").where((F.col("u") > F.col("cut")) & (F.col("size") > F.col("left")) & (F.col("size") < 2 * F.col("left")))
-    best = over.groupBy("skey").agg(F.min(F.struct("size", "u")).alias("b"))
-    plan = materialize(plan.join(best, "skey", "left").select("skey", "source_size", "target", "full", "cut", "runs", F.col("b.u").alias("pick")))
+    plan = materialize(plan.withColumn("picks", F.array().cast("array<bigint>")))
+    for i in range(PICKS + 1):  # the last round may overshoot
+        last = i == PICKS
+        room = (F.col("size") > F.col("left")) & (F.col("size") < 2 * F.col("left")) if last else (F.col("size") > 0) & (F.col("size") <= F.col("left"))
+        fits = units.join(small(plan.select("skey", "cut", "left", "picks")), "skey").where((F.col("u") > F.col("cut")) & room & ~F.array_contains("picks", F.col("u")))
+        best = fits.groupBy("skey").agg((F.min if last else F.max)(F.struct("size", "u")).alias("b"))
+        plan = materialize(plan.join(best, "skey", "left").select("skey", "source_size", "target", "full", "cut", "runs", (F.col("left") - F.coalesce(F.col("b.size"), F.lit(0))).alias("left"), F.when(F.col("b").isNull(), F.col("picks")).otherwise(F.concat("picks", F.array(F.col("b.u")))).alias("picks")))
 
     # draws: whole copies of each block, then the blocks up to the cut, then one draw for the single documents
     each = blocks.select("skey", "block", "full").join(plan.select("skey", "cut"), "skey")
     extra = F.when(F.col("block") <= F.shiftright(F.greatest(F.col("cut"), F.lit(0)), KEY_BITS - bits), F.when(F.col("cut") >= 0, 1).otherwise(0)).otherwise(0)
     copies = each.withColumn("c", F.explode(F.sequence(F.lit(0).cast("long"), F.col("full")))).where((F.col("c") < F.col("full")) | (extra == 1)).select("skey", "block", "c", (F.col("c") == F.col("full")).alias("extra"))
-    single = plan.where("pick is not null").select("skey", F.lit(-1).cast("long").alias("block"), F.col("full").alias("c"), F.lit(True).alias("extra"))
+    single = plan.where(F.size("picks") > 0).select("skey", F.lit(-1).cast("long").alias("block"), F.col("full").alias("c"), F.lit(True).alias("extra"))
     draws = copies.union(single).withColumn("rank", F.row_number().over(Window.partitionBy("skey").orderBy("c", F.col("block") < 0, "block")).cast("long"))
     draws = materialize(draws)
     quota = materialize(split_tree(draws.groupBy("skey").agg(F.count(F.lit(1)).alias("n")), levels, seed))
@@ -156,12 +167,12 @@ def mix_plan(docs: DataFrame, text: str = "text", source: str = "source", doc_id
     cells = placed.groupBy("skey", "block").agg(F.sort_array(F.collect_list(F.when(~F.col("extra"), F.struct("c", "shard")))).alias("whole"), F.max(F.when(F.col("extra"), F.col("shard"))).alias("part"))
     singles = cells.where("block = -1").select("skey", F.col("part").alias("single"))
     cells = blocks.select("skey", "block").join(cells.where("block >= 0"), ["skey", "block"], "left").join(plan, "skey").join(singles, "skey", "left")
-    cells = materialize(cells.select(*[F.col(c).alias(f"{p}{c}") for c in ("skey", "block", "whole", "part", "single", "source_size", "target", "runs", "pick")]))
+    cells = materialize(cells.select(*[F.col(c).alias(f"{p}{c}") for c in ("skey", "block", "whole", "part", "single", "source_size", "target", "runs", "picks")]))
 
     rows = docs.withColumns({f"{p}size": size, f"{p}skey": skey, f"{p}u": u})
     rows = rows.withColumn(f"{p}block", F.shiftright(F.col(f"{p}u"), KEY_BITS - bits).cast("long"))
     rows = rows.join(F.broadcast(cells) if n_sources << bits <= BROADCAST_CELLS else cells, [f"{p}skey", f"{p}block"], "left")
-    c = {k: F.col(f"{p}{k}") for k in ("whole", "part", "single", "u", "runs", "pick", "size")}
+    c = {k: F.col(f"{p}{k}") for k in ("whole", "part", "single", "u", "runs", "picks", "size")}
     whole = F.transform(F.coalesce(c["whole"], F.array().cast("array<struct<c:bigint,shard:bigint>>")), lambda x: x["shard"])
     # equal ids are one unit: its size is that of all their rows
     unit = units.select(F.col("skey").alias(f"{p}skey"), F.col("u").alias(f"{p}u"), F.col("size").alias(f"{p}unit"), "n").where("n > 1").drop("n")
@@ -170,9 +181,9 @@ def mix_plan(docs: DataFrame, text: str = "text", source: str = "source", doc_id
     else:
         rows = rows.withColumn(f"{p}unit", c["size"])
     run = F.exists(c["runs"], lambda r: (c["u"] > r["lo"]) & (c["u"] <= r["hi"]) & (F.col(f"{p}unit") <= r["g"]))
-    more = F.when(run, F.array(c["part"])).when(c["u"] == c["pick"], F.array(c["single"])).otherwise(F.array().cast("array<bigint>"))
+    more = F.when(run, F.array(c["part"])).when(F.array_contains(c["picks"], c["u"]), F.array(c["single"])).otherwise(F.array().cast("array<bigint>"))
     taken = F.when(c["size"] > 0, F.concat(whole, more)).otherwise(F.array().cast("array<bigint>"))
-    rows = rows.withColumn(f"{p}shards", taken).drop(*[f"{p}{k}" for k in ("skey", "block", "whole", "part", "single", "runs", "pick", "unit")])
+    rows = rows.withColumn(f"{p}shards", taken).drop(*[f"{p}{k}" for k in ("skey", "block", "whole", "part", "single", "runs", "picks", "unit")])
     return rows, p
 
 
@@ -194,10 +205,19 @@ def oracle(docs: str = "documents", weights=WEIGHTS, share: float = 1.5, cap: fl
     """The same rows in DuckDB: no blocks and no tree, the runs are found on the whole permuted order."""
     runs, prev = [], "k0"
     for i in range(1, SKIPS + 1):
-        runs.append(f""", c{i} AS (SELECT skey, max(u) AS hi, max(cum) AS cum FROM (SELECT u.skey, u.u, p.left_words, sum(u.size) OVER (PARTITION BY u.skey ORDER BY u.u) AS cum FROM units u JOIN {prev} p USING (skey)
-            WHERE u.u > p.cut AND u.size > 0 AND u.size <= p.left_words) WHERE cum <= left_words GROUP BY skey),
+        runs.append(f""", c{i} AS (SELECT skey, max(u) AS hi, max(cum) AS cum FROM (SELECT u.skey, u.u, p.left_words, max(u.size) OVER (PARTITION BY u.skey) AS top, sum(u.size) OVER (PARTITION BY u.skey ORDER BY u.u) AS cum FROM units u JOIN {prev} p USING (skey)
+            WHERE u.u > p.cut AND u.size > 0 AND u.size <= p.left_words) WHERE cum <= left_words{f' AND left_words > {PICKS} * top' if i > 1 else ''} GROUP BY skey),
         k{i} AS (SELECT p.* REPLACE (coalesce(c.hi, p.cut) AS cut, p.left_words - coalesce(c.cum, 0) AS left_words, CASE WHEN c.hi IS NULL THEN p.runs ELSE list_append(p.runs, struct_pack(lo := p.cut, hi := c.hi, g := p.left_words)) END AS runs) FROM {prev} p LEFT JOIN c{i} c USING (skey))""")
         prev = f"k{i}"
+    picks = [f", p AS (SELECT *, []::BIGINT[] AS picks FROM {prev})"]
+    prev = "p"
+    for i in range(PICKS + 1):
+        last = i == PICKS
+        room = "u.size > p.left_words AND u.size < 2 * p.left_words" if last else "u.size > 0 AND u.size <= p.left_words"
+        picks.append(f""", best{i} AS (SELECT p.skey, {'min' if last else 'max'}(struct_pack(size := u.size, u := u.u)) AS b FROM units u JOIN {prev} p USING (skey)
+          WHERE u.u > p.cut AND {room} AND NOT list_contains(p.picks, u.u) GROUP BY p.skey),
+        p{i} AS (SELECT p.* REPLACE (p.left_words - coalesce(b.b.size, 0) AS left_words, CASE WHEN b.b IS NULL THEN p.picks ELSE list_append(p.picks, b.b.u) END AS picks) FROM {prev} p LEFT JOIN best{i} b USING (skey))""")
+        prev = f"p{i}"
     ws = ", ".join(f"{float(x)}" for x in weights)
     return f"""
     WITH base AS (SELECT doc_id, source, coalesce('s' || source, 'n') AS skey, len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+'))::BIGINT AS size,
@@ -212,7 +232,6 @@ def oracle(docs: str = "documents", weights=WEIGHTS, share: float = 1.5, cap: fl
     s5 AS (SELECT *, CASE WHEN source_size > 0 THEN floor(target / source_size) ELSE 0 END::BIGINT AS full_copies FROM s4),
     s6 AS (SELECT *, target - full_copies * source_size AS rest FROM s5),
     k0 AS (SELECT skey, source_size, target, full_copies, -1::BIGINT AS cut, rest AS left_words, []::STRUCT(lo BIGINT, hi BIGINT, g DOUBLE)[] AS runs FROM s6)
-    {''.join(runs)},
-    best AS (SELECT p.skey, min(struct_pack(size := u.size, u := u.u)) AS b FROM units u JOIN {prev} p USING (skey) WHERE u.u > p.cut AND u.size > p.left_words AND u.size < 2 * p.left_words GROUP BY p.skey)
-    SELECT d.doc_id, d.size, p.source_size, p.target, (d.size * (p.full_copies + CASE WHEN u.size > 0 AND (len(list_filter(p.runs, lambda r: u.u > r.lo AND u.u <= r.hi AND u.size <= r.g)) > 0 OR u.u = b.b.u) THEN 1 ELSE 0 END))::BIGINT AS taken
-    FROM base d JOIN {prev} p USING (skey) JOIN units u USING (skey, u) LEFT JOIN best b USING (skey)"""
+    {''.join(runs)}{''.join(picks)}
+    SELECT d.doc_id, d.size, p.source_size, p.target, (d.size * (p.full_copies + CASE WHEN u.size > 0 AND (len(list_filter(p.runs, lambda r: u.u > r.lo AND u.u <= r.hi AND u.size <= r.g)) > 0 OR list_contains(p.picks, u.u)) THEN 1 ELSE 0 END))::BIGINT AS taken
+    FROM base d JOIN {prev} p USING (skey) JOIN units u USING (skey, u)"""
