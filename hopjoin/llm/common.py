@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import gc
+import time
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -74,6 +76,14 @@ def forget(df: DataFrame) -> None:
         path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def release(spark: SparkSession) -> None:
+    """Let the driver drop shuffle files whose frames are gone, and give it a moment to do so before more are written."""
+    gc.collect()
+    time.sleep(0.5)  # frames dropped here are let go on the other side first
+    spark.sparkContext._jvm.System.gc()
+    time.sleep(1.5)
+
+
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Connected components of edges(a, b): rows (node, root), root the least node reachable.
 

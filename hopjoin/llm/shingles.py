@@ -3,12 +3,13 @@
 At similarity 0.8 two SimHash fingerprints of 64 bits differ in 5 to 14 bits, for which covering masks would need thousands
 of tables; covering with radius 2 therefore only proposes the closest pairs.  Further pairs come from 16 bands of 4 minimum
 hashes (a pair at 0.8 shares a band with odds above 0.999).  A first round cuts a bucket by the fingerprint's first byte and
-pairs every document with the least of its part, and those with the bucket's least, which settles most copies.  The second round proposes every pair of a
-bucket whose documents are in different groups by then, so that no pair of a bucket is left out, however large the bucket:
-pairs inside a group need no look, and of the others only those leave the task that sizes and all 64 minima leave possible
-(a pair at 0.8 is refused here with odds below a millionth).  Sketches, the SKETCH smallest 32-bit shingle hashes,
-decide pairs of texts with fewer shingles than that; of the others they only refuse those MARGIN (six standard errors) below
-the bar, and the full sets of distinct shingles decide the rest.
+pairs every document with the least of its part, and those with the bucket's least, which settles most copies.  Sketches,
+the SKETCH smallest 32-bit shingle hashes, decide these pairs where texts have fewer shingles than that; of the others they
+only refuse those MARGIN (six standard errors) below the bar, and the full sets of distinct shingles decide the rest.  The
+second round takes the buckets whose documents are in different groups by then, with the full sets of their documents, and
+compares every pair across groups in place, so that no pair of a bucket is left out, however large the bucket: sizes and all
+64 minima refuse first (a pair at 0.8 with odds below a millionth), exact common shingles decide, and only links that join
+two groups leave the task.  A mixed bucket is one task's work; what it holds are the sets of that bucket.
 
 Defined results: a null or wordless text has no shingle and is a group of all such rows; fewer words than a shingle are one
 shingle; equal word sequences are one class and need no comparison; rows without an id get no group; rows that share an id
@@ -25,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, components, materialize, whole_text, words_of
+from .common import ascii_lower, components, forget, materialize, release, whole_text, words_of
 from .op7_simhash import class_links, majority, shingle_hashes
 
 BANDS, ROWS, SKETCH = 16, 4, 384
@@ -77,39 +78,56 @@ def least_equal(similarity: float, odds: float = 1e-6) -> int:
     return k
 
 
-def cross_pairs(similarity: float, limit: int = 1 << 16):
-    """Rows (band, key, rep, label, n, minima) sorted by band and key -> the possible pairs of a bucket with two labels."""
+def cross_links(similarity: float):
+    """Rows (band, key, rep, label, n, minima, s) sorted by band and key -> links (a, b) at the bar between groups of a bucket.
+
+    Each document outside the bucket's largest group meets the whole bucket at once: its shingles' posting lists, added up,
+    are the exact common shingles with every other member.  Only links that join two groups leave, so a bucket of m documents
+    gives fewer than m rows, however many of its pairs are at the bar.
+    """
     need = least_equal(similarity)
 
+    def bucket(label, n, minima, sets):
+        group, of, size = np.unique(label, return_inverse=True, return_counts=True)
+        ids = np.concatenate(sets)
+        owner = np.repeat(np.arange(len(sets)), n)
+        order = np.argsort(ids, kind="stable")
+        ids, owner = ids[order], owner[order]
+        comp, largest = np.arange(len(group)), int(np.argmax(size))
+        for i in np.lexsort((of, size[of])):
+            if of[i] == largest:
+                continue  # it meets the others, never itself
+            mine = comp[of]
+            other = np.flatnonzero(mine != mine[i])
+            other = other[np.minimum(n[other], n[i]) >= similarity * np.maximum(n[other], n[i]) - 1e-9]
+            other = other[(minima[other] == minima[i]).sum(axis=1) >= need]
+            if not len(other):
+                continue
+            lo, hi = np.searchsorted(ids, sets[i], "left"), np.searchsorted(ids, sets[i], "right")
+            m = hi - lo
+            at = np.repeat(lo - np.r_[0, np.cumsum(m)[:-1]], m) + np.arange(m.sum())
+            common = np.bincount(owner[at], minlength=len(sets))
+            near = other[common[other] >= similarity * (n[other] + n[i] - common[other]) - 1e-9]
+            for j in near[np.unique(mine[near], return_index=True)[1]]:  # one link a group is enough
+                yield i, j
+                comp[comp == comp[of[j]]] = comp[of[i]]
+
     def work(t):
         t = t.combine_chunks()
         reps = t.column("rep").combine_chunks()
         reps = pa.concat_arrays(reps.chunks) if isinstance(reps, pa.ChunkedArray) else reps
-        keys = [t.column(c).to_numpy() for c in ("band", "key")]
-        label = np.unique(t.column("label").to_numpy(), return_inverse=True)[1]
-        n = t.column("n").to_numpy().astype(float)
+        band, key, label, n = (t.column(c).to_numpy() for c in ("band", "key", "label", "n"))
         minima = np.frombuffer(b"".join(t.column("minima").to_pylist()), np.uint8).reshape(-1, BANDS * ROWS)
-        new = np.flatnonzero(np.r_[True, (keys[0][1:] != keys[0][:-1]) | (keys[1][1:] != keys[1][:-1])])
-        a, b, held = [], [], 0
-        out = lambda: pa.RecordBatch.from_arrays([reps.take(pa.array(np.concatenate(x))) for x in (a, b)], names=["a", "b"])
+        lists = t.column("s").combine_chunks()
+        lists = pa.concat_arrays(lists.chunks) if isinstance(lists, pa.ChunkedArray) else lists
+        offsets, values = np.asarray(lists.offsets, dtype=np.int64), np.asarray(lists.values)
+        sets = [np.sort(values[x:y]) for x, y in zip(offsets[:-1], offsets[1:])]
+        n = np.array([len(x) for x in sets], np.int64)
+        new = np.flatnonzero(np.r_[True, (band[1:] != band[:-1]) | (key[1:] != key[:-1])])
         for s, e in zip(new, np.r_[new[1:], len(n)]):
-            _, of, size = np.unique(label[s:e], return_inverse=True, return_counts=True)
-            order = s + np.lexsort((of, size[of]))  # the largest group last: it meets the others, never itself
-            ends = np.cumsum(np.sort(size))
-            for start, end in zip(np.r_[0, ends[:-2]], ends[:-1]):
-                others = order[end:]
-                for i in order[start:end]:
-                    near = others[np.minimum(n[others], n[i]) >= similarity * np.maximum(n[others], n[i]) - 2]
-                    near = near[(minima[near] == minima[i]).sum(axis=1) >= need]
-                    if len(near):
-                        a.append(np.full(len(near), i))
-                        b.append(near)
-                        held += len(near)
-                    if held > limit:
-                        yield out()
-                        a, b, held = [], [], 0
-        if held:
-            yield out()
+            found = [(s + i, s + j) for i, j in bucket(label[s:e], n[s:e], minima[s:e], sets[s:e])]
+            if found:
+                yield pa.RecordBatch.from_arrays([reps.take(pa.array([x[k] for x in found], pa.int64())) for k in (0, 1)], names=["a", "b"])
 
     def run(batches):
         held, last = [], None  # rows of the last, unfinished bucket
@@ -160,16 +178,19 @@ def word_key(text: str):
     return F.sha2(F.array_join(words_of(ascii_lower(whole_text(text))), " "), 256)
 
 
-def decided(pairs: DataFrame, docs: DataFrame, classes: DataFrame, text: str, doc_id: str, k: int, similarity: float) -> DataFrame:
-    """Pairs (a, b) whose full sets of distinct shingles are at the bar; only the texts of these pairs are read again."""
-    asked = pairs.select(F.explode(F.array("a", "b")).alias("rep")).distinct()
+def shingle_sets(asked: DataFrame, docs: DataFrame, classes: DataFrame, text: str, doc_id: str, k: int) -> DataFrame:
+    """(rep, s): the distinct shingles of the asked(rep); only their texts are read again."""
     asked = materialize(classes.join(asked, "rep", "left_semi").select("rep", "wh"))
     again = docs.select(F.col(doc_id).alias("rep"), F.col(text).alias("t")).join(asked.select("rep").distinct().hint("merge"), "rep", "left_semi")
     again = again.withColumn("wh", word_key("t")).dropDuplicates(["rep", "wh"]).join(asked.hint("merge"), ["rep", "wh"], "left_semi")
-    sets = materialize(again.select("rep", F.array_distinct(shingle_hashes(whole_text("t"), k)).alias("s")))
+    return materialize(again.select("rep", F.array_distinct(shingle_hashes(whole_text("t"), k)).alias("s")))
+
+
+def decided(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """Pairs (a, b) whose full sets of distinct shingles are at the bar."""
     x, y = sets.select(F.col("rep").alias("a"), F.col("s").alias("x")), sets.select(F.col("rep").alias("b"), F.col("s").alias("y"))
     both = pairs.join(x, "a").join(y, "b").withColumn("common", F.size(F.array_intersect("x", "y")))
-    return both.where(F.col("common") / (F.size("x") + F.size("y") - F.col("common")) >= similarity).select("a", "b")
+    return both.where(F.col("common") >= similarity * (F.size("x") + F.size("y") - F.col("common")) - 1e-9).select("a", "b")
 
 
 def near_duplicate_groups(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", k: int = 5, similarity: float = 0.8) -> DataFrame:
@@ -177,6 +198,9 @@ def near_duplicate_groups(docs: DataFrame, text: str = "text", doc_id: str = "do
     all_rows = materialize(profiles(docs.where(F.col(doc_id).isNotNull()), doc_id, text, k))
     classes = all_rows.groupBy("wh").agg(F.min("d").alias("rep"), F.first("fp").alias("fp"), F.first("bands").alias("bands"), F.first("sketch").alias("sketch"), F.first("n").alias("n"), F.first("minima").alias("minima"))
     classes = materialize(classes)
+    slim = materialize(all_rows.select("d", "wh"))
+    forget(all_rows)
+    release(docs.sparkSession)
     texts = classes.where("n > 0")
     # SimHash: equal fingerprints, then covering links between fingerprints
     fps = texts.groupBy("fp").agg(F.min("rep").alias("least"))
@@ -198,16 +222,23 @@ def near_duplicate_groups(docs: DataFrame, text: str = "text", doc_id: str = "do
         both = pairs.join(sets.select(F.col("rep").alias("a"), F.col("sketch").alias("x")), "a").join(sets.select(F.col("rep").alias("b"), F.col("sketch").alias("y")), "b").select("a", "b", "x", "y")
         seen = materialize(both.mapInArrow(screen(similarity), f"{pair_type}, sure boolean"))
         good, unsure = seen.where("sure").select("a", "b"), seen.where("not sure").select("a", "b")
-        return good.union(decided(unsure, docs, classes, text, doc_id, k, similarity)) if unsure.limit(1).count() else good
+        if not unsure.limit(1).count():
+            return good
+        asked = unsure.select(F.explode(F.array("a", "b")).alias("rep")).distinct()
+        return good.union(decided(unsure, shingle_sets(asked, docs, classes, text, doc_id, k), similarity))
 
     nodes = materialize(components(verified(pairs)))
-    # every pair of a bucket that is in two groups so far
+    release(docs.sparkSession)
+    # buckets whose documents are in several groups so far
     label = texts.select("rep", "bands").join(nodes.withColumnRenamed("node", "rep"), "rep", "left").select("rep", F.coalesce("root", "rep").alias("label"), F.posexplode("bands").alias("band", "key"))
     label = materialize(label)
     mixed = label.groupBy("band", "key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("band", "key")
-    members = materialize(label.join(mixed, ["band", "key"])).join(texts.select("rep", "n", "minima"), "rep").select("band", "key", "rep", "label", "n", "minima")
-    crossed = members.repartition("band", "key").sortWithinPartitions("band", "key").mapInArrow(cross_pairs(similarity), pair_type)
-    crossed = crossed.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-    nodes = components(verified(materialize(crossed)).union(nodes.select(F.col("node").alias("a"), F.col("root").alias("b"))))
+    members = materialize(label.join(mixed, ["band", "key"]))
+    sets = shingle_sets(members.select("rep").distinct(), docs, classes, text, doc_id, k)
+    forget(label)
+    release(docs.sparkSession)
+    full = members.join(texts.select("rep", "n", "minima").join(sets, "rep"), "rep").select("band", "key", "rep", "label", "n", "minima", "s")
+    crossed = full.repartition("band", "key").sortWithinPartitions("band", "key").mapInArrow(cross_links(similarity), pair_type)
+    nodes = components(materialize(crossed).union(nodes.select(F.col("node").alias("a"), F.col("root").alias("b"))))
     named = classes.select("wh", "rep").join(nodes.withColumnRenamed("node", "rep"), "rep", "left").select("wh", F.coalesce("root", "rep").alias("root"))
-    return all_rows.select("d", "wh").join(named, "wh").select("d", "root")
+    return slim.join(named, "wh").select("d", "root")
