@@ -27,7 +27,6 @@ an empty table gives no rows.  Long texts are read whole, in overlapping blocks.
 
 from __future__ import annotations
 
-import gc
 import hashlib
 
 import numpy as np
@@ -35,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, safe_prefix, table, whole_text
+from .common import materialize, release, safe_prefix, table, whole_text
 from .suffixes import common_prefixes, suffix_array
 
 LENGTH = 100
@@ -281,12 +280,6 @@ def _apply(batches):
         yield pa.RecordBatch.from_arrays([*b.columns[: n - 3], *new], names=[*b.schema.names[: n - 3], "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
 
-def _release(spark: SparkSession) -> None:
-    """Let the driver drop shuffle files whose frames are gone."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
-
-
 def _document_keys(docs: DataFrame, text: str, doc_id: str):
     """Columns (d, t) that tell the documents apart: t is 0 unless some id has several texts."""
     d = F.coalesce(F.col(doc_id).cast("long"), F.lit(-(1 << 63)))
@@ -313,7 +306,7 @@ def repeated_spans(texts: DataFrame) -> DataFrame:
     rows = long_enough.mapInArrow(anchor_rows(spark.sparkContext.broadcast(frequent_anchors(long_enough))), SCHEMA)
     dealt = F.when(F.col("kind") == 0, F.col("ah")).when(F.col("kind") == 1, F.xxhash64("d", "t")).otherwise(F.xxhash64("ah", "ph"))
     first = materialize(rows.repartition(dealt).sortWithinPartitions(*order).mapInArrow(resolve, SCHEMA))
-    _release(spark)
+    release(spark)
     marks = first.where("kind = 1")
     asked = first.where("kind = 2").distinct()
     hot = asked.groupBy("ah").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > HOT).select("ah", F.lit(True).alias("hot"))
@@ -323,7 +316,7 @@ def repeated_spans(texts: DataFrame) -> DataFrame:
     found = long_enough.join(wanted, ["d", "t"]).select("d", "t", "x", F.explode("w").alias("w"))
     off, cnt = F.shiftright("w.place", CNT_BITS), F.col("w.place").bitwiseAND(F.lit((1 << CNT_BITS) - 1))
     pieces = materialize(found.select(F.col("w.ah").alias("ah"), "d", "t", F.col("w.place").alias("place"), F.substring(F.col("x"), (off + 1).cast("int"), (cnt + LENGTH - 1).cast("int")).alias("x"), F.col("w.hot").alias("hot")))
-    _release(spark)
+    release(spark)
     sharded = pieces.where("not hot").distinct().repartition("ah").sortWithinPartitions("ah", "d", "t", "place").select("ah", "d", "t", "place", "x").mapInArrow(shard_marks, SCHEMA)
     window = pieces.where("hot").select("d", "t", "place", F.posexplode(F.transform(F.sequence(F.lit(1), F.length("x") - LENGTH + 1), lambda i: F.substring(F.col("x"), i, F.lit(LENGTH)))).alias("i", "y"))
     single = F.shiftleft(F.shiftright("place", CNT_BITS) + F.col("i"), CNT_BITS).bitwiseOR(F.lit(1).cast("long"))
@@ -341,7 +334,7 @@ def deduplicate(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") ->
     d, t = _document_keys(docs, text, doc_id)
     x = whole_text(text).cast("binary")
     marks = materialize(repeated_spans(docs.select(d.alias("d"), t.alias("t"), x.alias("x"))))
-    _release(spark)
+    release(spark)
     spans = marks.groupBy(F.col("d").alias(f"{p}d"), F.col("t").alias(f"{p}t")).agg(F.collect_list("s").alias(f"{p}s"), F.collect_list("e").alias(f"{p}e"))
     keep = [c for c in docs.columns if c != text and c not in RESULT]
     rows = docs.select(*keep, d.alias(f"{p}d"), t.alias(f"{p}t"), x.alias(f"{p}x"))

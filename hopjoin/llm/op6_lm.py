@@ -19,7 +19,6 @@ longer than a block with whatever its hash brings; input columns named like a re
 
 from __future__ import annotations
 
-import gc
 import math
 
 import numpy as np
@@ -27,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, safe_prefix, table, whole_text
+from .common import materialize, release, safe_prefix, table, whole_text
 from .op9_decontaminate import _arrow_bytes, _mix, word_hashes
 
 ORDER = 3
@@ -170,12 +169,6 @@ def score_words(words, counts, totals, n_corpus: float, order: int) -> np.ndarra
     return log
 
 
-def _release(spark: SparkSession) -> None:
-    """Let the driver drop shuffle files whose frames are gone."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
-
-
 RESULT = {"n_words": "bigint", "log_score": "double", "mean_log_score": "double"}
 
 
@@ -195,7 +188,7 @@ def lm_scores(docs: DataFrame, text: str = "text", order: int = ORDER, block_byt
         one = materialize(requests.repartition("r").sortWithinPartitions("r", "block").mapInArrow(_totals(n), ANSWER))
         answers = one if answers is None else answers.unionByName(one)
         del requests
-        _release(spark)
+        release(spark)
     n_corpus = float(answers.where("n = 0").agg(F.sum("words")).first()[0] or 0)
     schema = ", ".join([*[f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*keep).schema], *[f"{c} {k}" for c, k in RESULT.items()]])
     width = len(keep)
