@@ -15,9 +15,9 @@ windows therefore lie in pieces of equal anchors, at equal distance from it, and
 4. Marks are united per document and the kept bytes digested.
 
 Frequent anchors (a greeting that a third of all documents begin with, each going on differently) are never one task's work:
-those that a hashed sample of the documents shows often are dealt by anchor and piece in step 2, and in step 3 they, and
-any anchor with more than HOT different pieces, take their windows one by one through the sorted comparison of step 2,
-dealt by the window's bytes.  Which way an anchor goes changes no result.
+those that a hashed sample of the documents shows often are dealt by anchor and piece in step 2, and in step 3 any anchor
+with more than HOT different pieces takes its windows one by one through the sorted comparison of step 2, dealt by the
+window's bytes.  Which way an anchor goes changes no result.
 
 Defined results: a null text is empty; texts under LENGTH bytes lose nothing; a null doc_id comes before all others; rows
 that share an id are one document if their texts are equal (each such row has the same result) and otherwise are documents
@@ -48,7 +48,7 @@ _BASE = 0x9E3779B97F4A7C15
 #: place = byte offset (any), windows (10 bits)
 CNT_BITS = 10
 #: one document in SAMPLE is looked at for frequent anchors; those with OFTEN pieces there are dealt by piece, MOST at most
-SAMPLE, OFTEN, MOST = 64, 50, 20_000
+SAMPLE, OFTEN, MOST = 64, 256, 20_000
 
 
 def _weights() -> np.ndarray:
@@ -308,10 +308,9 @@ def repeated_spans(texts: DataFrame) -> DataFrame:
     first = materialize(rows.repartition(dealt).sortWithinPartitions(*order).mapInArrow(resolve, SCHEMA))
     release(spark)
     marks = first.where("kind = 1")
-    asked = first.where("kind = 2").distinct()
+    asked = first.where("kind in (2, 4)").select("ah", "d", "t", "place").distinct()
     hot = asked.groupBy("ah").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > HOT).select("ah", F.lit(True).alias("hot"))
     asked = asked.join(hot, "ah", "left").select("ah", "d", "t", "place", F.coalesce("hot", F.lit(False)).alias("hot"))
-    asked = asked.union(first.where("kind = 4").distinct().select("ah", "d", "t", "place", F.lit(True)))
     wanted = asked.groupBy("d", "t").agg(F.collect_list(F.struct("ah", "place", "hot")).alias("w"))
     found = long_enough.join(wanted, ["d", "t"]).select("d", "t", "x", F.explode("w").alias("w"))
     off, cnt = F.shiftright("w.place", CNT_BITS), F.col("w.place").bitwiseAND(F.lit((1 << CNT_BITS) - 1))
