@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import gc
-import time
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -59,11 +57,23 @@ def checkpoint_dir(spark: SparkSession) -> str:
     return found
 
 
+#: runtime setting: shuffle files go when the query that made them ends
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def materialize(df: DataFrame) -> DataFrame:
-    """df written as a Parquet table in the shared folder and read again: lineage is cut, lost executors lose nothing."""
+    """df written as a Parquet table in the shared folder and read again: lineage is cut, lost executors lose nothing.
+
+    The write's shuffle files are dropped as it ends; the session's own setting for that is put back.
+    """
     spark = df.sparkSession
     path = f"{checkpoint_dir(spark)}/tables/{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    before = spark.conf.get(CLEANUP, None)
+    spark.conf.set(CLEANUP, "true")
+    try:
+        df.write.option("compression", "zstd").parquet(path)
+    finally:
+        spark.conf.unset(CLEANUP) if before is None else spark.conf.set(CLEANUP, before)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -76,14 +86,6 @@ def forget(df: DataFrame) -> None:
         path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
-def release(spark: SparkSession) -> None:
-    """Let the driver drop shuffle files whose frames are gone, and give it a moment to do so before more are written."""
-    gc.collect()
-    time.sleep(0.5)  # frames dropped here are let go on the other side first
-    spark.sparkContext._jvm.System.gc()
-    time.sleep(1.5)
-
-
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Connected components of edges(a, b): rows (node, root), root the least node reachable.
 

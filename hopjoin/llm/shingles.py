@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, components, forget, materialize, release, whole_text, words_of
+from .common import ascii_lower, components, forget, materialize, whole_text, words_of
 from .op7_simhash import class_links, majority, shingle_hashes
 
 BANDS, ROWS, SKETCH = 16, 4, 384
@@ -200,7 +200,6 @@ def near_duplicate_groups(docs: DataFrame, text: str = "text", doc_id: str = "do
     classes = materialize(classes)
     slim = materialize(all_rows.select("d", "wh"))
     forget(all_rows)
-    release(docs.sparkSession)
     texts = classes.where("n > 0")
     # SimHash: equal fingerprints, then covering links between fingerprints
     fps = texts.groupBy("fp").agg(F.min("rep").alias("least"))
@@ -228,7 +227,6 @@ def near_duplicate_groups(docs: DataFrame, text: str = "text", doc_id: str = "do
         return good.union(decided(unsure, shingle_sets(asked, docs, classes, text, doc_id, k), similarity))
 
     nodes = materialize(components(verified(pairs)))
-    release(docs.sparkSession)
     # buckets whose documents are in several groups so far
     label = texts.select("rep", "bands").join(nodes.withColumnRenamed("node", "rep"), "rep", "left").select("rep", F.coalesce("root", "rep").alias("label"), F.posexplode("bands").alias("band", "key"))
     label = materialize(label)
@@ -236,7 +234,6 @@ def near_duplicate_groups(docs: DataFrame, text: str = "text", doc_id: str = "do
     members = materialize(label.join(mixed, ["band", "key"]))
     sets = shingle_sets(members.select("rep").distinct(), docs, classes, text, doc_id, k)
     forget(label)
-    release(docs.sparkSession)
     full = members.join(texts.select("rep", "n", "minima").join(sets, "rep"), "rep").select("band", "key", "rep", "label", "n", "minima", "s")
     crossed = full.repartition("band", "key").sortWithinPartitions("band", "key").mapInArrow(cross_links(similarity), pair_type)
     nodes = components(materialize(crossed).union(nodes.select(F.col("node").alias("a"), F.col("root").alias("b"))))
