@@ -327,7 +327,7 @@ RESULT = {"n_bytes": "bigint", "n_removed": "bigint", "n_spans": "bigint", "kept
 
 def deduplicate(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
     """docs' columns but the text, with n_bytes, n_removed, n_spans and kept_sha256 per row."""
-    spark, p = docs.sparkSession, safe_prefix(docs, "sd")
+    p = safe_prefix(docs, "sd")
     d, t = _document_keys(docs, text, doc_id)
     x = whole_text(text).cast("binary")
     marks = materialize(repeated_spans(docs.select(d.alias("d"), t.alias("t"), x.alias("x"))))

@@ -175,7 +175,6 @@ RESULT = {"n_words": "bigint", "log_score": "double", "mean_log_score": "double"
 def lm_scores(docs: DataFrame, text: str = "text", order: int = ORDER, block_bytes: int | None = None) -> DataFrame:
     """docs' columns but the text, with n_words, log_score (sum) and mean_log_score."""
     p = safe_prefix(docs, "lm")
-    spark = docs.sparkSession
     total = docs.agg(F.coalesce(F.sum(F.octet_length(text)), F.lit(0))).first()[0]
     block_bytes = block_bytes or min(BLOCK_BYTES, max(BLOCK_BYTES // 16, total // LEAST_BLOCKS))
     blocks = int(total // block_bytes) + 1
