@@ -74,6 +74,18 @@ def run_path(g, path, select: list[str] | None = None, how: str = "inner", cfg:
     return rows.select(*picked, *scores, "path_score") if picked and scores else rows.select(*picked) if picked else rows
 
 
+def surviving_rows(g, path) -> DataFrame:
+    """Rows of the source with at least one output row on a path of declared keys: semi-joins from the far end, so no hop fans out."""
+    if any(h.kind != "fk" for h in path.hops):
+        raise ValueError("only declared keys; run the path for fuzzy hops")
+    label = labels(path.nodes)
+    rows = qualify(g.tables[path.nodes[-1]].df, label[path.nodes[-1]])
+    for h in reversed(path.hops):
+        left = qualify(g.tables[h.from_node].df, label[h.from_node])
+        rows = fk_hop(left, rows, [f"{label[h.from_node]}__{c}" for c in h.from_columns], [f"{label[h.to_node]}__{c}" for c in h.to_columns], "left_semi")
+    return rows
+
+
 def composite_key(columns: list[str], sep: str = " ") -> Column:
     """Several columns as one value (nulls left out), e.g. the parts of an address against a full address."""
     return F.concat_ws(sep, *[F.col(c).cast("string") for c in columns])

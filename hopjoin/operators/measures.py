@@ -37,6 +37,11 @@ def actual_retained(source: DataFrame, key: str, joined: DataFrame, joined_key:
     return source.agg(F.count(F.lit(1)).alias("source_rows")).crossJoin(alive.agg(F.count(F.lit(1)).alias("surviving"))).withColumn("fraction", _safe(F.col("surviving"), F.col("source_rows")))
 
 
+def retained_rows(source: DataFrame, alive: DataFrame) -> DataFrame:
+    """The same where alive holds the surviving source rows themselves."""
+    return source.agg(F.count(F.lit(1)).alias("source_rows")).crossJoin(alive.agg(F.count(F.lit(1)).alias("surviving"))).withColumn("fraction", _safe(F.col("surviving"), F.col("source_rows")))
+
+
 def work(x: DataFrame, y: DataFrame, t: float) -> DataFrame:
     """(bound, pairs_kept) of two dictionaries: pairs left after each bound at row threshold t, counted inside one plan."""
     pairs = x.select(F.col("s").alias("a")).crossJoin(y.select(F.col("s").alias("b")))

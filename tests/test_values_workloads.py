@@ -177,6 +177,25 @@ def test_fk_hop_has_no_cartesian(spark, sf):
     assert "Cartesian" not in plan and "NestedLoop" not in plan
 
 
+def test_surviving_rows_follow_the_orders_and_never_fan_out(spark, sf, tmp_path):
+    """A line whose order has no customer does not survive, whatever its supplier's nation; one key meets many rows without a product."""
+    for t in TABLES:
+        if t not in ("lineitem", "orders"):
+            (tmp_path / f"{t}.parquet").symlink_to(f"{sf}/{t}.parquet")
+    orders = spark.read.parquet(f"{sf}/orders.parquet").withColumn("o_custkey", F.when(F.col("o_orderkey") % 4 == 0, F.lit(None).cast("bigint")).otherwise(F.col("o_custkey")))
+    orders.write.parquet(f"{tmp_path}/orders.parquet")
+    spark.read.parquet(f"{sf}/lineitem.parquet").withColumn("l_orderkey", F.when(F.col("l_linenumber") == 7, F.lit(None).cast("bigint")).otherwise(F.col("l_orderkey"))).write.parquet(f"{tmp_path}/lineitem.parquet")
+    con = duckdb.connect()
+    for t in ("lineitem", "orders"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{tmp_path}/{t}.parquet/*.parquet'")
+    con.execute(f"CREATE VIEW customer AS SELECT * FROM '{sf}/customer.parquet'")
+    got = workloads.QUERIES["path_actual_retained"](spark, str(tmp_path))
+    want = con.sql(workloads.oracles()["path_actual_retained"]).fetchall()[0]
+    assert tuple(got.select("source_rows", "surviving", "fraction").first()) == tuple(want) and 0 < want[1] < want[0]
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("LeftSemi") == 2 and "s_nationkey" not in plan
+
+
 def test_projection_reaches_the_scan(spark, sf):
     df = relational.project(spark.read.parquet(f"{sf}/orders.parquet"), {"k": "o_orderkey"})
     assert "ReadSchema: struct<o_orderkey:bigint>" in df._jdf.queryExecution().toString()
