@@ -196,6 +196,20 @@ def test_surviving_rows_follow_the_orders_and_never_fan_out(spark, sf, tmp_path)
     assert plan.count("LeftSemi") == 2 and "s_nationkey" not in plan
 
 
+@pytest.mark.parametrize("load", [100_000_000, 7])
+def test_band_join_is_whole_and_dealt_to_all_tasks(spark, monkeypatch, load):
+    monkeypatch.setattr(relational, "BAND_PAIRS", load)
+    vals = [0.49999999999999994, 1.0, 1.5, 1.75, -0.2, None, float("nan"), float("inf"), 9.0] + [3.0] * 12
+    a = spark.createDataFrame([(i, v) for i, v in enumerate(vals)], "i int, u double").coalesce(1)
+    b = a.select(F.col("i").alias("j"), F.col("u").alias("v"))
+    got = relational.band_join(a, b, "u", "v", 0.5)
+    want = sorted((i, j) for i, u in enumerate(vals) for j, v in enumerate(vals) if u is not None and v is not None and abs(u - v) <= 0.5)
+    assert sorted((r.i, r.j) for r in got.collect()) == want and (0, 1) in want
+    assert got.rdd.getNumPartitions() >= spark.sparkContext.defaultParallelism
+    if load == 7:  # one value's 144 pairs are dealt further
+        assert got.where("u = 3").select(F.spark_partition_id()).distinct().count() > 1
+
+
 def test_projection_reaches_the_scan(spark, sf):
     df = relational.project(spark.read.parquet(f"{sf}/orders.parquet"), {"k": "o_orderkey"})
     assert "ReadSchema: struct<o_orderkey:bigint>" in df._jdf.queryExecution().toString()
