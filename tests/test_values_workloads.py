@@ -210,6 +210,17 @@ def test_band_join_is_whole_and_dealt_to_all_tasks(spark, monkeypatch, load):
         assert got.where("u = 3").select(F.spark_partition_id()).distinct().count() > 1
 
 
+def test_encoder_pairs_compare_six_decimals(spark, tmp_path):
+    """A cosine of 0.2999997 counts as 0.3, one of 0.2999993 does not."""
+    near = lambda c: [c, (1 - c * c) ** 0.5]
+    rows = [(20, [1.0, 0.0]), (1, near(0.2999997)), (2, near(0.2999993)), (3, near(0.3000002))]
+    spark.createDataFrame(rows, "vec_id bigint, embedding array<double>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW embeddings AS SELECT * FROM '{tmp_path}/embeddings.parquet/*.parquet'")
+    want = sorted(con.sql(workloads.oracles()["encoder_pairs"]).fetchall())
+    assert sorted(map(tuple, workloads.QUERIES["encoder_pairs"](spark, str(tmp_path)).collect())) == want == [(20, 1, 0.3), (20, 3, 0.3)]
+
+
 def test_projection_reaches_the_scan(spark, sf):
     df = relational.project(spark.read.parquet(f"{sf}/orders.parquet"), {"k": "o_orderkey"})
     assert "ReadSchema: struct<o_orderkey:bigint>" in df._jdf.queryExecution().toString()
