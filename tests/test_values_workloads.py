@@ -11,7 +11,7 @@ from hopjoin.plans.config import DiscoveryConfig, TableRef
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: one query per family; all of them are compared by the driver
-SOME = ("fk_overlap", "trigram_cosine", "noise_people", "best_match_places", "value_score_parts", "assign_one_to_one", "match_quality", "path_recursive", "composite_match", "bed_paths", "op_lateral_best", "embedding_topk", "op_band", "op_asof", "sliding_counts", "scenario_people")
+SOME = ("fk_overlap", "trigram_cosine", "noise_people", "best_match_places", "value_score_parts", "assign_one_to_one", "match_quality", "path_recursive", "composite_match", "bed_paths", "op_lateral_best", "embedding_topk", "affine_cosine", "op_band", "op_asof", "sliding_counts", "scenario_people")
 
 
 def norm(v):
@@ -221,6 +221,16 @@ def test_encoder_pairs_compare_six_decimals(spark, tmp_path):
     assert sorted(map(tuple, workloads.QUERIES["encoder_pairs"](spark, str(tmp_path)).collect())) == want == [(20, 1, 0.3), (20, 3, 0.3)]
 
 
+def scans(df, table):
+    """Whether Spark scans the table for the query."""
+    return f"{table}.parquet" in " ".join(df.inputFiles())
+
+
+def test_affine_cosine_reads_the_parts(spark, sf):
+    got = workloads.QUERIES["affine_cosine"](spark, sf)
+    assert scans(got, "part") and got.count() == spark.read.parquet(f"{sf}/part.parquet").select("p_name").distinct().count() ** 2
+
+
 def test_projection_reaches_the_scan(spark, sf):
     df = relational.project(spark.read.parquet(f"{sf}/orders.parquet"), {"k": "o_orderkey"})
     assert "ReadSchema: struct<o_orderkey:bigint>" in df._jdf.queryExecution().toString()
