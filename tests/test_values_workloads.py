@@ -11,7 +11,7 @@ from hopjoin.plans.config import DiscoveryConfig, TableRef
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: one query per family; all of them are compared by the driver
-SOME = ("fk_overlap", "trigram_cosine", "noise_people", "best_match_places", "value_score_parts", "assign_one_to_one", "match_quality", "path_recursive", "composite_match", "bed_paths", "op_lateral_best", "embedding_topk", "affine_cosine", "op_band", "op_asof", "sliding_counts", "scenario_people")
+SOME = ("fk_overlap", "trigram_cosine", "noise_people", "best_match_places", "value_score_parts", "assign_one_to_one", "match_quality", "path_recursive", "composite_match", "bed_paths", "op_lateral_best", "embedding_topk", "affine_cosine", "external_embedder", "op_band", "op_asof", "sliding_counts", "scenario_people")
 
 
 def norm(v):
@@ -231,6 +231,11 @@ def test_affine_cosine_reads_the_parts(spark, sf):
     assert scans(got, "part") and got.count() == spark.read.parquet(f"{sf}/part.parquet").select("p_name").distinct().count() ** 2
 
 
+def test_external_embedder_reads_the_customers(spark, sf):
+    got = workloads.QUERIES["external_embedder"](spark, sf)
+    assert scans(got, "customer") and got.where("a = b and semantic_sim < 1").count() == 0 < got.where("semantic_sim < 1").count()
+
+
 def test_projection_reaches_the_scan(spark, sf):
     df = relational.project(spark.read.parquet(f"{sf}/orders.parquet"), {"k": "o_orderkey"})
     assert "ReadSchema: struct<o_orderkey:bigint>" in df._jdf.queryExecution().toString()
