@@ -11,7 +11,7 @@ from hopjoin.plans.config import DiscoveryConfig, TableRef
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: one query per family; all of them are compared by the driver
-SOME = ("fk_overlap", "trigram_cosine", "noise_people", "best_match_places", "value_score_parts", "assign_one_to_one", "match_quality", "path_recursive", "composite_match", "bed_paths", "op_lateral_best", "embedding_topk", "affine_cosine", "external_embedder", "false_friends", "op_band", "op_asof", "sliding_counts", "scenario_people")
+SOME = ("fk_overlap", "trigram_cosine", "noise_people", "best_match_places", "value_score_parts", "assign_one_to_one", "match_quality", "path_recursive", "composite_match", "bed_paths", "op_lateral_best", "embedding_topk", "affine_cosine", "external_embedder", "false_friends", "fk_edges", "op_band", "op_asof", "sliding_counts", "scenario_people")
 
 
 def norm(v):
@@ -243,6 +243,11 @@ def test_false_friends_overlap_in_the_tables(spark, sf):
     assert len(rows) == 3 and all(r.overlap > 0.1 and not r.passes for r in rows if r.a == "c_custkey")
 
 
+def test_fk_edges_read_the_tables(spark, sf):
+    got = workloads.QUERIES["fk_edges"](spark, sf)
+    assert scans(got, "lineitem") and got.count() == 7 and got.where("n_common > 0").count() == 7
+
+
 def test_projection_reaches_the_scan(spark, sf):
     df = relational.project(spark.read.parquet(f"{sf}/orders.parquet"), {"k": "o_orderkey"})
     assert "ReadSchema: struct<o_orderkey:bigint>" in df._jdf.queryExecution().toString()
