@@ -11,7 +11,7 @@ from hopjoin.plans.config import DiscoveryConfig, TableRef
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: one query per family; all of them are compared by the driver
-SOME = ("fk_overlap", "trigram_cosine", "noise_people", "best_match_places", "value_score_parts", "assign_one_to_one", "match_quality", "path_recursive", "composite_match", "bed_paths", "op_lateral_best", "embedding_topk", "affine_cosine", "external_embedder", "false_friends", "fk_edges", "op_band", "op_asof", "sliding_counts", "scenario_people")
+SOME = ("fk_overlap", "trigram_cosine", "noise_people", "best_match_places", "value_score_parts", "assign_one_to_one", "match_quality", "path_recursive", "composite_match", "bed_paths", "op_lateral_best", "embedding_topk", "affine_cosine", "external_embedder", "false_friends", "fk_edges", "column_catalog", "op_band", "op_asof", "sliding_counts", "scenario_people")
 
 
 def norm(v):
@@ -248,6 +248,27 @@ def test_fk_edges_read_the_tables(spark, sf):
     assert scans(got, "lineitem") and got.count() == 7 and got.where("n_common > 0").count() == 7
 
 
+def observed(monkeypatch):
+    """Tables that catalog.observe is asked to read."""
+    seen, read = [], catalog.observe
+    monkeypatch.setattr(catalog, "observe", lambda spark, tables: seen.extend(r.table for r in tables) or read(spark, tables))
+    return seen
+
+
+def test_observe_counts_values(spark):
+    df = spark.createDataFrame([(1, (2, None), None, "u"), (None, (3, None), None, "v")], "a int, s struct<b: bigint, c: string>, d double, `e.f` string")
+    rows = catalog.observe(spark, [TableRef("d", "t", df), TableRef("d", "empty", df.limit(0))])
+    key = ["db", "table", "column", "type", "family", "ordinal"]
+    declared = catalog.reflect(spark, [TableRef("d", "t", df), TableRef("d", "empty", df)])
+    assert sorted(map(tuple, rows.select(*key).collect())) == sorted(map(tuple, declared.collect()))
+    assert {r.column: r.n_values for r in rows.where("table = 't'").collect()} == {"a": 1, "s.b": 2, "s.c": 0, "d": 0, "e.f": 2}
+
+
+def test_column_catalog_reads_the_tables(spark, sf, monkeypatch):
+    seen = observed(monkeypatch)
+    assert workloads.QUERIES["column_catalog"](spark, sf).count() == 63 and {"lineitem", "documents"} <= set(seen)
+
+
 def test_projection_reaches_the_scan(spark, sf):
     df = relational.project(spark.read.parquet(f"{sf}/orders.parquet"), {"k": "o_orderkey"})
     assert "ReadSchema: struct<o_orderkey:bigint>" in df._jdf.queryExecution().toString()
