@@ -11,7 +11,7 @@ from hopjoin.plans.config import DiscoveryConfig, TableRef
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: one query per family; all of them are compared by the driver
-SOME = ("fk_overlap", "trigram_cosine", "noise_people", "best_match_places", "value_score_parts", "assign_one_to_one", "match_quality", "path_recursive", "composite_match", "bed_paths", "op_lateral_best", "embedding_topk", "affine_cosine", "external_embedder", "false_friends", "fk_edges", "column_catalog", "op_band", "op_asof", "sliding_counts", "scenario_people")
+SOME = ("fk_overlap", "trigram_cosine", "noise_people", "best_match_places", "value_score_parts", "assign_one_to_one", "match_quality", "path_recursive", "composite_match", "bed_paths", "op_lateral_best", "embedding_topk", "affine_cosine", "external_embedder", "false_friends", "fk_edges", "column_catalog", "column_pairs", "op_band", "op_asof", "sliding_counts", "scenario_people")
 
 
 def norm(v):
@@ -269,6 +269,11 @@ def test_column_catalog_reads_the_tables(spark, sf, monkeypatch):
     assert workloads.QUERIES["column_catalog"](spark, sf).count() == 63 and {"lineitem", "documents"} <= set(seen)
 
 
+def test_column_pairs_read_the_tables(spark, sf, monkeypatch):
+    seen = observed(monkeypatch)
+    assert workloads.QUERIES["column_pairs"](spark, sf).count() == 4 and {"lineitem", "documents"} <= set(seen)
+
+
 def test_projection_reaches_the_scan(spark, sf):
     df = relational.project(spark.read.parquet(f"{sf}/orders.parquet"), {"k": "o_orderkey"})
     assert "ReadSchema: struct<o_orderkey:bigint>" in df._jdf.queryExecution().toString()
