@@ -11,7 +11,7 @@ from hopjoin.plans.config import DiscoveryConfig, TableRef
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: one query per family; all of them are compared by the driver
-SOME = ("fk_overlap", "trigram_cosine", "noise_people", "best_match_places", "value_score_parts", "assign_one_to_one", "match_quality", "path_recursive", "composite_match", "bed_paths", "op_lateral_best", "embedding_topk", "affine_cosine", "external_embedder", "false_friends", "fk_edges", "column_catalog", "column_pairs", "discovered_names", "op_band", "op_asof", "sliding_counts", "scenario_people")
+SOME = ("fk_overlap", "trigram_cosine", "noise_people", "best_match_places", "value_score_parts", "assign_one_to_one", "match_quality", "path_recursive", "composite_match", "bed_paths", "op_lateral_best", "embedding_topk", "affine_cosine", "external_embedder", "false_friends", "fk_edges", "column_catalog", "column_pairs", "discovered_names", "blocked_names", "op_band", "op_asof", "sliding_counts", "scenario_people")
 
 
 def norm(v):
@@ -274,7 +274,7 @@ def test_column_pairs_read_the_tables(spark, sf, monkeypatch):
     assert workloads.QUERIES["column_pairs"](spark, sf).count() == 4 and {"lineitem", "documents"} <= set(seen)
 
 
-@pytest.mark.parametrize("name", ["discovered_names"])
+@pytest.mark.parametrize("name", ["discovered_names", "blocked_names"])
 def test_names_are_those_of_tables_read(spark, sf, monkeypatch, name):
     seen = observed(monkeypatch)
     assert workloads.QUERIES[name](spark, sf).count() == 7 and {"lineitem", "documents", "resident_registry"} <= set(seen)
