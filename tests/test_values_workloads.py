@@ -1,10 +1,12 @@
+import math
+
 import duckdb
 import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from hopjoin import workloads
-from hopjoin.functions import strings
+from hopjoin.functions import names, strings
 from hopjoin.operators import baselines, block, catalog, execute, measures, overlap, relational, values
 from hopjoin.plans import discover, graph, planner
 from hopjoin.plans.config import DiscoveryConfig, TableRef
@@ -221,6 +223,38 @@ def test_encoder_pairs_compare_six_decimals(spark, tmp_path):
     assert sorted(map(tuple, workloads.QUERIES["encoder_pairs"](spark, str(tmp_path)).collect())) == want == [(20, 1, 0.3), (20, 3, 0.3)]
 
 
+def native_pairs(x, y, threshold):
+    """Every row of x(a, u) beside every row of y(b, w), its cosine taken pair by pair."""
+    both = x.crossJoin(y).withColumn("cosine", names.cosine(F.col("u"), F.col("w")))
+    return both.where(F.round("cosine", 6) >= threshold).select("a", "b", "cosine")
+
+
+def test_encoder_pairs_joins_blocks_not_rows(spark, sf):
+    got = workloads.QUERIES["encoder_pairs"](spark, sf)
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "NestedLoop" not in plan and "Cartesian" not in plan
+    e = spark.read.parquet(f"{sf}/embeddings.parquet")
+    want = native_pairs(e.where("vec_id % 20 = 0").selectExpr("vec_id a", "embedding u"), e.selectExpr("vec_id b", "embedding w"), 0.3).where("a <> b")
+    assert got.columns == ["a", "b", "cosine"]
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.withColumn("cosine", F.round("cosine", 4)).collect())) != []
+
+
+@pytest.mark.parametrize("threshold", [0.3, 0.0, -1.0])
+@pytest.mark.parametrize("rows", [7, 8_192])
+def test_encoder_pairs_of_odd_vectors(spark, monkeypatch, rows, threshold):
+    """Blocks change no pair and no bit: null, empty, ragged, zero, huge, tiny vectors, nulls, NaN and infinity in them, ids twice or missing."""
+    monkeypatch.setattr(baselines, "VECTOR_BLOCK", rows)
+    nan, inf = float("nan"), float("inf")
+    odd = [None, [], [], [0.0, 0.0], [1.0], [1.0, 2.0, 3.0], [None, 1.0], [nan, 1.0], [inf, 1.0], [1e200, 1e200], [1e-170, 1e-170], [1e-150, 1e-155], [0.3, -0.7], [3e150, 1.0], [-0.3, 0.7]]
+    vectors = odd + [[math.cos(i), math.sin(i)] for i in range(20)]
+    x = spark.createDataFrame([*enumerate(vectors), (3, [1.0, 0.5]), (None, [0.5, 1.0])], "a int, u array<double>")
+    y = x.selectExpr("'n' || a AS b", "u AS w")
+    bits = lambda df: sorted(map(repr, df.collect()))
+    got = bits(baselines.encoder_pairs(x, y, "u", "w", threshold))
+    assert got == bits(native_pairs(x, y, threshold)) and len(got) > 100
+    assert bits(baselines.encoder_pairs(x.limit(0), y, "u", "w", threshold)) == [] == bits(baselines.encoder_pairs(x, y.limit(0), "u", "w", threshold))
+
+
 def scans(df, table):
     """Whether Spark scans the table for the query."""
     return f"{table}.parquet" in " ".join(df.inputFiles())
